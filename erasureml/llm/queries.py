@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from erasureml.llm import toxicity
+from erasureml.llm import pii, simhash, toxicity
 
 QUERIES = {
     "op1_toxicity": toxicity.op1_toxicity,
+    "op3_pii": pii.op3_pii,
+    "op6_simhash": simhash.op6_simhash,
 }
 
 ORACLES: dict[str, str] = {}
