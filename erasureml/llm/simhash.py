@@ -12,7 +12,7 @@ over `block` members is split into pairs of blocks that go to different tasks.
 star contractions, checkpointed every round.
 
 The pipeline's stage groups by similarity (Jaccard of 5-word shingles, 0.8) rather than by a radius: texts as alike
-as that can differ in more bits than covering tables allow.  There the fingerprint has 256 bits, whose distance
+as that can differ in more bits than covering tables allow.  There the fingerprint has 512 bits, whose distance
 estimates the similarity, and beside the covering tables there are *thinned views*: the SimHash of the smallest few
 shingle hashes in each of 32 hash ranges, equal with high probability in at least one range.
 
@@ -36,7 +36,7 @@ from erasureml.llm.core import mix, read_table, reliable
 RADIUS = 4
 SEED = 42
 BLOCK = 4096
-VIEWS, VIEW_SIZE = 32, 6
+VIEWS, VIEW_SIZE, WIDE = 32, 6, 8
 _BITS = np.array([bin(i).count("1") for i in range(1 << 16)], np.uint8)
 
 
@@ -120,14 +120,17 @@ def bucket_links(f: np.ndarray, node: np.ndarray, limit: int) -> list[tuple[int,
     return out
 
 
-def links(keys: DataFrame, words: int, limit: int, block: int = BLOCK) -> DataFrame:
-    """keys: (t, key, f, node). Links (a, b) of nodes that share a table's key and are within `limit` bits."""
+def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK) -> DataFrame:
+    """Links (a, b) of nodes that share a key of a table and are within `limit` bits.
+
+    keys: (t, key, node). prints: (node, f). The wide fingerprints join only the buckets of two or more.
+    """
     large = keys.groupBy("t", "key").agg(F.count("*").alias("n")).where(F.col("n") >= 2).withColumn("blocks", F.ceil(F.col("n") / block).cast("int"))
     held = keys.join(large.drop("n"), ["t", "key"]).withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     pair = F.when(F.col("blocks") == 1, F.array(F.lit("0"))).otherwise(
         F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.concat(F.least(j, F.col("own")).cast("string"), F.lit("-"), F.greatest(j, F.col("own")).cast("string")))
     )
-    dealt = held.select("node", "f", "t", "key", F.explode(pair).alias("pair")).select("node", "f", F.xxhash64("t", "key", "pair").alias("bucket"))
+    dealt = held.select("node", "t", "key", F.explode(pair).alias("pair")).select("node", F.xxhash64("t", "key", "pair").alias("bucket")).join(prints, "node").select("node", "f", "bucket")
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         kept: pd.DataFrame | None = None
@@ -169,33 +172,34 @@ def components(edges: DataFrame) -> DataFrame:
         mark = now
 
 
-def grouped(prints: DataFrame, words: int, limit: int, radius: int = RADIUS) -> DataFrame:
+def grouped(prints: DataFrame, limit: int, radius: int = RADIUS) -> DataFrame:
     """prints: (doc_id, f, views) -> (doc_id, f, component_id)."""
     prints = reliable(prints)
     distinct = reliable(prints.where(F.col("doc_id").isNotNull()).groupBy("f", "views").agg(F.min("doc_id").alias("node")))
     masks = covering_masks(radius)
     tables = F.array(*(F.struct(F.lit(t).alias("t"), F.col("f")[0].bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))
     seen = F.transform("views", lambda k: F.struct(F.lit(-1).alias("t"), k.alias("key")))
-    keys = distinct.select("node", "f", F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "f", "node")
-    roots = components(links(keys, words, limit))
+    keys = distinct.select("node", F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "node")
+    roots = components(links(keys, distinct.select("node", "f"), limit))
     named = distinct.join(roots, "node", "left").select("f", "views", F.coalesce("root", "node").alias("component_id"))
     linked = prints.join(named, ["f", "views"], "left")
     return linked.select("doc_id", "f", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
 def bits_at(similarity: float, bits: int) -> int:
-    """The number of SimHash bits that two sets of this Jaccard similarity are expected to differ in."""
-    return round(bits * math.acos(2 * similarity / (1 + similarity)) / math.pi)
+    """The number of SimHash bits that two sets of this Jaccard similarity differ in, a standard deviation over the mean."""
+    share = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    return round(bits * share + math.sqrt(bits * share * (1 - share)))
 
 
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = grouped(fingerprints(read_table(spark, sf_dir, "documents")), 1, RADIUS)
+    found = grouped(fingerprints(read_table(spark, sf_dir, "documents")), RADIUS)
     return found.select("doc_id", F.lpad(F.lower(F.hex(F.col("f")[0])), 16, "0").alias("fingerprint"), "component_id")
 
 
 def near_groups(docs: DataFrame, similarity: float = 0.8, size: int = 5) -> DataFrame:
     """(doc_id, component_id) by similarity of word shingles."""
-    return grouped(fingerprints(docs, size, 4, VIEWS), 4, bits_at(similarity, 256)).select("doc_id", "component_id")
+    return grouped(fingerprints(docs, size, WIDE, VIEWS), bits_at(similarity, 64 * WIDE)).select("doc_id", "component_id")
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -53,8 +53,9 @@ def test_components_against_all_pairs(spark, tmp_path):
 def test_blocks_split_a_large_bucket(spark):
     rng = np.random.default_rng(0)
     f = [int(np.bitwise_xor.reduce(np.int64(1) << rng.choice(60, 3, replace=False))) for _ in range(80)]
-    keys = spark.createDataFrame([(0, 0, [x], i) for i, x in enumerate(f)], "t int, key long, f array<long>, node long")
-    roots = [{r.node: r.root for r in simhash.components(simhash.links(keys, 1, 4, block)).collect()} for block in (7, 4096)]
+    keys = spark.createDataFrame([(0, 0, i) for i in range(80)], "t int, key long, node long")
+    prints = spark.createDataFrame([(i, [x]) for i, x in enumerate(f)], "node long, f array<long>")
+    roots = [{r.node: r.root for r in simhash.components(simhash.links(keys, prints, 4, block)).collect()} for block in (7, 4096)]
     assert roots[0] == roots[1] and len(roots[0]) > 40
 
 
