@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from erasureml.llm import pii, simhash, toxicity
+from erasureml.llm import bpe, pii, simhash, tokens, toxicity
 
 QUERIES = {
     "op1_toxicity": toxicity.op1_toxicity,
     "op3_pii": pii.op3_pii,
     "op6_simhash": simhash.op6_simhash,
+    "op7_token_store": tokens.op7_token_store,
+    "op10_byte_bpe": bpe.op10_byte_bpe,
 }
 
 ORACLES: dict[str, str] = {}
