@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-BLOCK_BYTES = 6 << 20
+BLOCK_BYTES = 4 << 20
 CHUNK_BYTES = 1 << 20
 NO_ID = np.iinfo(np.int64).min
 BLOCK_SCHEMA = "block_id long, doc_ids binary, lens binary, body binary"
@@ -83,7 +83,10 @@ def unpack(data: bytes) -> list[np.ndarray]:
 
 
 def text_blocks(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """(doc_id, text) as checkpointed blocks. A null text is empty; a null doc_id is kept (as NO_ID inside)."""
+    """(doc_id, text) as checkpointed blocks. A null text is empty; a null doc_id is kept (as NO_ID inside).
+
+    They are dealt by block_id before they are kept, so that joins with answers move the answers only.
+    """
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         base, seq = TaskContext.get().partitionId() << 32, 0
@@ -123,22 +126,21 @@ def text_blocks(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
         if ids:
             yield flush()
 
-    return reliable(docs.select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA))
+    return reliable(docs.select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA).repartition(shuffle_parts(docs.sparkSession), "block_id"))
 
 
-class Block:
-    """One block opened in a task: doc_ids, lens, starts (byte offsets) and the bytes."""
+class Texts:
+    """UTF-8 texts end to end: lens, starts (byte offsets) and the bytes."""
 
-    def __init__(self, row) -> None:
-        self.block_id = int(row.block_id)
-        self.doc_ids = np.frombuffer(row.doc_ids, np.int64)
-        self.lens = np.frombuffer(row.lens, np.int64)
-        self.body = expand(row.body)
-        self.starts = np.concatenate([[0], np.cumsum(self.lens)]).astype(np.int64)
-        self.row = row
+    def __init__(self, lens: np.ndarray, body: bytes) -> None:
+        self.lens, self.body = lens, body
+        self.starts = np.concatenate([[0], np.cumsum(lens)]).astype(np.int64)
 
-    def ids_out(self) -> list:
-        return [None if x == NO_ID else int(x) for x in self.doc_ids]
+    @classmethod
+    def of(cls, column: pa.Array) -> Texts:
+        text = pc.fill_null(column, "").cast(pa.large_binary())
+        off = np.frombuffer(text.buffers()[1], np.int64)[text.offset : text.offset + len(text) + 1]
+        return cls(np.diff(off), bytes(memoryview(text.buffers()[2] or b"")[off[0] : off[-1]]))
 
     def text(self, i: int) -> bytes:
         return self.body[self.starts[i] : self.starts[i + 1]]
@@ -153,6 +155,19 @@ class Block:
             i = j
 
 
+class Block(Texts):
+    """One block opened in a task, with its doc_ids; row has the answers."""
+
+    def __init__(self, row) -> None:
+        super().__init__(np.frombuffer(row.lens, np.int64), expand(row.body))
+        self.block_id = int(row.block_id)
+        self.doc_ids = np.frombuffer(row.doc_ids, np.int64)
+        self.row = row
+
+    def ids_out(self) -> pd.array:
+        return pd.array([pd.NA if x == NO_ID else int(x) for x in self.doc_ids], "Int64")
+
+
 # ---------------------------------------------------------------- hashing
 
 
@@ -209,11 +224,11 @@ LOWER[65:91] += 32
 class Words:
     """The words of documents i..j of a block: `hash`, byte range [`lo`, `hi`) in the chunk, and `ends` by document."""
 
-    def __init__(self, block: Block, i: int, j: int, lower: bool = False) -> None:
+    def __init__(self, block: Texts, i: int, j: int, lower: bool = False, separators: np.ndarray = SEPARATORS) -> None:
         first = int(block.starts[i])
         raw = np.frombuffer(block.body, np.uint8, int(block.starts[j]) - first, first)
         data = LOWER[raw] if lower else raw
-        gap = SEPARATORS[data]
+        gap = separators[data]
         edge = np.zeros(len(data) + 1, bool)  # a document's start also parts words
         edge[block.starts[i : j + 1] - first] = True
         opens = ~gap & (edge[:-1] | np.concatenate([[True], gap[:-1]]))
@@ -277,9 +292,9 @@ def each_block(df: DataFrame, work: Callable[[Block], Iterator[pd.DataFrame]], s
 def ask(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, list[np.ndarray]]], merge: Callable, parts: int, name: str = "answers") -> DataFrame:
     """Add to every block the corpus-wide answer for each of its distinct hashes.
 
-    question(block) gives sorted distinct hashes and value arrays of the same length.  merge(order, at, values) gets
-    the values of all blocks for one hash range (order sorts them by hash, `at` marks the runs) and returns an int64
-    array with one entry a run.  Read with `answer_of`.
+    question(block) gives sorted distinct hashes and value arrays of the same length.  merge(values, at) gets the
+    values of all blocks for one hash range, sorted by hash, and where the runs of equal hashes start; it returns an
+    answer for every value (see `spread`).  Read with `answer_of`.
     """
 
     def send(block: Block) -> Iterator[pd.DataFrame]:
@@ -299,16 +314,20 @@ def ask(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, list[np
         hashes = np.concatenate([g[0] for g in got]).view(np.uint64)
         _, order, at = distinct(hashes)
         values = [np.concatenate(v) for v in zip(*(g[1:] for g in got), strict=True)]
-        answer = merge(order, at, values)
         rows = np.empty(len(order), np.int64)
-        rows[order] = np.repeat(answer, np.diff(np.append(at, len(order))))
+        rows[order] = merge([v[order] for v in values], at)
         cuts = np.cumsum([len(g[0]) for g in got])[:-1]
         return pd.DataFrame({"block_id": frame["block_id"], "part": frame["part"], "answer": [pack(np.zeros(0, np.int64), a) for a in np.split(rows, cuts)]})
 
-    asked = each_block(blocks.select("block_id", "doc_ids", "lens", "body"), send, "block_id long, part int, load binary")
+    asked = each_block(blocks, send, "block_id long, part int, load binary")
     told = asked.groupBy("part").applyInPandas(reduce, "block_id long, part int, answer binary")
-    held = told.groupBy("block_id").agg(F.collect_list(F.struct("part", "answer")).alias(name))
-    return blocks.join(held, "block_id", "left")
+    held = reliable(told.groupBy("block_id").agg(F.collect_list(F.struct("part", "answer")).alias(name)))
+    return blocks.join(held.hint("shuffle_hash"), "block_id", "left")
+
+
+def spread(x: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
+    """A value of every run to its members."""
+    return np.repeat(x, np.diff(np.append(at, n)))
 
 
 def answer_of(row, name: str = "answers") -> np.ndarray:
