@@ -289,13 +289,18 @@ def each_block(df: DataFrame, work: Callable[[Block], Iterator[pd.DataFrame]], s
     return df.mapInPandas(run, schema)
 
 
-def ask(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, list[np.ndarray]]], merge: Callable, parts: int, name: str = "answers") -> DataFrame:
-    """Add to every block the corpus-wide answer for each of its distinct hashes.
+TALLY = -1
+
+
+def answers(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, list[np.ndarray]]], merge: Callable, tally: Callable | None = None) -> DataFrame:
+    """The corpus-wide answer for each distinct hash of every block: (block_id, answers), kept reliably.
 
     question(block) gives sorted distinct hashes and value arrays of the same length.  merge(values, at) gets the
-    values of all blocks for one hash range, sorted by hash, and where the runs of equal hashes start; it returns an
-    answer for every value (see `spread`).  Read with `answer_of`.
+    values of all blocks for one hash range, sorted by hash, and where the runs of equal hashes start; it returns
+    arrays with an entry for every value (see `spread`).  `attach` adds the answers to the blocks, `answer_of` reads
+    them.  tally(values, at) may give integers to be summed over all hash ranges; read them with `tally_of`.
     """
+    parts = shuffle_parts(blocks.sparkSession)
 
     def send(block: Block) -> Iterator[pd.DataFrame]:
         hashes, values = question(block)
@@ -313,16 +318,26 @@ def ask(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, list[np
         got = [unpack(x) for x in frame["load"]]
         hashes = np.concatenate([g[0] for g in got]).view(np.uint64)
         _, order, at = distinct(hashes)
-        values = [np.concatenate(v) for v in zip(*(g[1:] for g in got), strict=True)]
-        rows = np.empty(len(order), np.int64)
-        rows[order] = merge([v[order] for v in values], at)
+        values = [np.concatenate(v)[order] for v in zip(*(g[1:] for g in got), strict=True)]
         cuts = np.cumsum([len(g[0]) for g in got])[:-1]
-        return pd.DataFrame({"block_id": frame["block_id"], "part": frame["part"], "answer": [pack(np.zeros(0, np.int64), a) for a in np.split(rows, cuts)]})
+        split = []
+        for answer in merge(values, at):
+            rows = np.empty(len(order), np.int64)
+            rows[order] = answer
+            split.append(np.split(rows, cuts))
+        out = pd.DataFrame({"block_id": frame["block_id"], "part": frame["part"], "answer": [pack(np.zeros(0, np.int64), *a) for a in zip(*split, strict=True)]})
+        if tally:
+            row = pd.DataFrame({"block_id": [TALLY], "part": frame["part"][:1].to_list(), "answer": [pack(np.zeros(0, np.int64), np.array(tally(values, at), np.int64))]})
+            out = pd.concat([out, row], ignore_index=True)
+        return out
 
     asked = each_block(blocks, send, "block_id long, part int, load binary")
     told = asked.groupBy("part").applyInPandas(reduce, "block_id long, part int, answer binary")
-    held = reliable(told.groupBy("block_id").agg(F.collect_list(F.struct("part", "answer")).alias(name)))
-    return blocks.join(held.hint("shuffle_hash"), "block_id", "left")
+    return reliable(told.groupBy("block_id").agg(F.collect_list(F.struct("part", "answer")).alias("answers")))
+
+
+def attach(blocks: DataFrame, held: DataFrame, name: str) -> DataFrame:
+    return blocks.join(held.withColumnRenamed("answers", name).hint("shuffle_hash"), "block_id", "left")
 
 
 def spread(x: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
@@ -330,8 +345,17 @@ def spread(x: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
     return np.repeat(x, np.diff(np.append(at, n)))
 
 
-def answer_of(row, name: str = "answers") -> np.ndarray:
+def answer_of(row, name: str, k: int = 0) -> np.ndarray:
     got = getattr(row, name)
     if got is None or len(got) == 0:
         return np.zeros(0, np.int64)
-    return np.concatenate([unpack(x["answer"])[1] for x in sorted(got, key=lambda x: x["part"])])
+    return np.concatenate([unpack(x["answer"])[1 + k] for x in sorted(got, key=lambda x: x["part"])])
+
+
+def tally_of(held: DataFrame, size: int) -> list[int]:
+    """One row with an entry for every hash range, of which there are as many as shuffle partitions."""
+    row = held.where(F.col("block_id") == TALLY).first()
+    total = np.zeros(size, np.int64)
+    for x in row["answers"] if row else []:
+        total += unpack(bytes(x["answer"]))[1]
+    return total.tolist()

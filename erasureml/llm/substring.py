@@ -4,7 +4,7 @@ Windows of `WINDOW` words are matched.  Hashes of `ANCHOR` words are taken only
 are in a difference cover modulo `PERIOD`: for any two positions there is a shift below the period that moves both
 into the cover, so equal windows share an anchor at the same place in both as long as PERIOD + ANCHOR - 1 <= WINDOW.
 
-1. Which anchors occur in two documents?  Asked by block (see core.ask), so a passage in a third of all documents
+1. Which anchors occur in two documents?  Asked by block (see core.answers), so a passage in a third of all documents
    costs one entry a block.
 2. Around those, anchors extend to candidate windows, and their hashes ask for the smallest doc_id that holds them.
 3. Words covered by a window that also starts in a document with a smaller id go.
@@ -22,7 +22,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 
-from erasureml.llm.core import Block, Words, answer_of, ask, complete, distinct, each_block, ngram_hash, read_table, shuffle_parts, spread, text_blocks
+from erasureml.llm.core import Block, Words, answer_of, answers, attach, complete, distinct, each_block, ngram_hash, read_table, spread, text_blocks
 
 WINDOW, ANCHOR, PERIOD = 13, 7, 7
 # Residues modulo 7 whose differences are all residues.
@@ -73,9 +73,9 @@ def ask_anchors(block: Block) -> tuple[np.ndarray, list[np.ndarray]]:
     return keys, [np.minimum.reduceat(ids, runs), np.maximum.reduceat(ids, runs)] if len(ids) else [ids, ids]
 
 
-def repeated(values: list[np.ndarray], at: np.ndarray) -> np.ndarray:
+def repeated(values: list[np.ndarray], at: np.ndarray) -> list[np.ndarray]:
     low, high = values
-    return spread(np.minimum.reduceat(low, at) < np.maximum.reduceat(high, at), at, len(low))
+    return [spread(np.minimum.reduceat(low, at) < np.maximum.reduceat(high, at), at, len(low))]
 
 
 def ask_windows(block: Block) -> tuple[np.ndarray, list[np.ndarray]]:
@@ -86,10 +86,10 @@ def ask_windows(block: Block) -> tuple[np.ndarray, list[np.ndarray]]:
     return keys, [np.minimum.reduceat(ids, runs) if len(ids) else ids]
 
 
-def earlier(values: list[np.ndarray], at: np.ndarray) -> np.ndarray:
+def earlier(values: list[np.ndarray], at: np.ndarray) -> list[np.ndarray]:
     """Whether a smaller id holds the window than any that the block has."""
     low = values[0]
-    return spread(np.minimum.reduceat(low, at), at, len(low)) < low
+    return [spread(np.minimum.reduceat(low, at), at, len(low)) < low]
 
 
 def removed_words(block: Block) -> tuple[Scan, np.ndarray]:
@@ -109,8 +109,9 @@ def removed_words(block: Block) -> tuple[Scan, np.ndarray]:
 
 def matched(docs: DataFrame) -> DataFrame:
     """Blocks of docs with what `removed_words` needs."""
-    parts = shuffle_parts(docs.sparkSession)
-    return ask(ask(text_blocks(docs), ask_anchors, repeated, parts, "repeated"), ask_windows, earlier, parts, "earlier")
+    blocks = text_blocks(docs)
+    marked = attach(blocks, answers(blocks, ask_anchors, repeated), "repeated")
+    return attach(marked, answers(marked, ask_windows, earlier), "earlier")
 
 
 def deduplicated(docs: DataFrame) -> DataFrame:
