@@ -19,20 +19,24 @@ from __future__ import annotations
 import uuid
 import zlib
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erasureml.llm.bpe import tokenizer
-from erasureml.llm.core import read_table, shuffle_parts
+from erasureml.llm.core import NO_ID, read_table, shuffle_parts
 
 END_ID = 2
 BLOCK_IDS = 1 << 18
-TASK_CHARS = 2_000_000
-MEMO = 300_000
+TASK_CHARS = 1_000_000
+MEMO, SEGMENT = 400_000, 1 << 15
+WORD_END = "</w>"
+MARKS = ".,!?;:"
 # Fixed values: (ids in a word, bits of each) by selector.
 LAYOUT = ((60, 1), (30, 2), (20, 3), (15, 4), (12, 5), (10, 6), (8, 7), (7, 8), (6, 10), (5, 12), (4, 15), (3, 20), (2, 30), (1, 60))
 ESCAPE = 15
@@ -42,23 +46,24 @@ STORE = "shard int, block int, ids_before long, n_ids long, doc_ids binary, size
 def s8b_encode(values: np.ndarray) -> np.ndarray:
     """uint64 values to Simple-8b words."""
     v = np.ascontiguousarray(values, np.uint64)
+    cuts = range(0, len(v), SEGMENT)  # the arrays stay in the cache
+    return np.concatenate([np.zeros(0, np.uint64), *(_segment(v[i : i + SEGMENT], i + SEGMENT >= len(v)) for i in cuts)])
+
+
+def _segment(v: np.ndarray, last: bool) -> np.ndarray:
+    """Words of a segment; only the last word of the last segment may lack values."""
     n = len(v)
-    if not n:
-        return np.zeros(0, np.uint64)
     here = np.arange(n)
     choice, step = np.full(n, ESCAPE, np.uint8), np.ones(n, np.int64)
     top = int(v.max())
     for s in reversed(range(len(LAYOUT))):  # denser selectors overwrite
         count, bits = LAYOUT[s]
-        if s + 1 < len(LAYOUT) and count < 2:
+        bad = np.flatnonzero(v >> np.uint64(bits)) if top >> bits else np.zeros(0, np.int64)
+        runs = np.diff(np.concatenate([[-1], bad, [n]]))  # 1 more than the fitting values before each misfit, and at the end
+        if runs[:-1].max(initial=0) <= count and runs[-1] == 1:
             continue
-        if top >> bits:
-            bad = np.flatnonzero(v >> np.uint64(bits))
-            until = np.append(bad, n)[np.searchsorted(bad, here)] if len(bad) < n // 8 else _next(v >> np.uint64(bits) != 0)
-        else:
-            until = np.full(n, n)
-        fits = until - here >= np.minimum(count, n - here)
-        fits &= until > here
+        until = np.repeat(np.append(bad, n), np.append(runs[:-1], runs[-1] - 1))
+        fits = until - here >= (np.minimum(count, n - here) if last else count)
         choice[fits], step[fits] = s, count
     jump, at, starts = (here + step).tolist(), 0, []
     while at < n:
@@ -82,12 +87,6 @@ def s8b_encode(values: np.ndarray) -> np.ndarray:
     return out
 
 
-def _next(flag: np.ndarray) -> np.ndarray:
-    """For every position, the first flagged one from it on (or the length)."""
-    n = len(flag)
-    return np.minimum.accumulate(np.where(flag, np.arange(n), n)[::-1])[::-1]
-
-
 def s8b_decode(words: np.ndarray, n: int) -> np.ndarray:
     """The first n values."""
     if not n:
@@ -113,50 +112,102 @@ def s8b_decode(words: np.ndarray, n: int) -> np.ndarray:
     return out[:n]
 
 
+def gather(first: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """The indices of all ranges [first, first + n), one after the other."""
+    ends = np.cumsum(n)
+    return np.repeat(first - (ends - n), n) + np.arange(int(ends[-1]) if len(ends) else 0)
+
+
 class PieceCoder:
-    """Ids of texts, by the distinct pieces between blanks."""
+    """Ids of texts, by the distinct pieces between blanks.
+
+    A piece of Latin-1 letters with ASCII punctuation after them is two of the vocabulary's own pieces, and lower
+    case is all that its normaliser changes: such letters go through the library many to a call, and their ids are
+    parted at the tokens that end a word.  All other pieces go through the whole tokenizer.
+    """
 
     def __init__(self, path: str) -> None:
-        self.path = path
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        self.full = tokenizer(path)
+        self.light = Tokenizer(self.full.model)
+        self.light.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        vocabulary = self.full.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for x, i in vocabulary.items() if x.endswith(WORD_END)]] = True
+        self.clear()
+
+    def clear(self) -> None:
         self.memo: dict[str, int] = {}
-        self.flat = np.zeros(0, np.uint32)
-        self.first = np.zeros(1, np.int64)
+        self.flat: list[np.ndarray] = []
+        self.lens: list[np.ndarray] = []
+
+    def _cores(self, cores: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of lower-case words and the number of each one's."""
+        lines = [" ".join(cores[i : i + 100]) for i in range(0, len(cores), 100)]
+        ids = np.concatenate([np.zeros(0, np.uint32), *(np.array(e.ids, np.uint32) for e in self.light.encode_batch_fast(lines, add_special_tokens=False))])
+        ends = np.flatnonzero(self.ends[ids]) + 1
+        if len(ends) != len(cores):
+            raise ValueError("a word doesn't end with a word-end token")
+        return ids, np.diff(ends, prepend=0)
+
+    def _ids(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of pieces and the number of each one's."""
+        plain: dict[str, int] = {}
+        other: dict[str, int] = {"": 0}
+        halves: list[int] = []  # for every piece, its place among the words (or -1) and among the rest
+        for piece in pieces:
+            core = piece.rstrip(MARKS)
+            if core.isalpha() and (core.isascii() or max(core) < "\u0100"):
+                halves += plain.setdefault(core.lower(), len(plain)), other.setdefault(piece[len(core) :], len(other))
+            else:
+                halves += -1, other.setdefault(piece, len(other))
+        ids, lens = self._cores(list(plain))
+        rest = [e.ids for e in self.full.encode_batch_fast(list(other), add_special_tokens=False)]
+        more = np.fromiter(map(len, rest), np.int64, len(rest))
+        flat = np.concatenate([ids, np.fromiter((i for x in rest for i in x), np.uint32, int(more.sum()))])
+        at = np.array(halves, np.int64).reshape(-1, 2)
+        first = np.concatenate([np.cumsum(lens) - lens, len(ids) + np.cumsum(more) - more, [0]])
+        size = np.concatenate([lens, more, [0]])
+        at = np.stack([np.where(at[:, 0] < 0, len(size) - 1, at[:, 0]), len(lens) + at[:, 1]], 1)
+        return flat[gather(first[at.ravel()], size[at.ravel()])], size[at].sum(1)
 
     def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and their number by text."""
-        if len(self.memo) > MEMO:
-            self.memo, self.flat, self.first = {}, np.zeros(0, np.uint32), np.zeros(1, np.int64)
         memo = self.memo
-        fresh: list[str] = []
-        codes: list[int] = []
-        sizes = []
-        for text in texts:
-            words = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-            sizes.append(len(words))
-            for word in words:
-                code = memo.get(word)
-                if code is None:
-                    code = memo[word] = len(memo)
-                    fresh.append(word)
-                codes.append(code)
-        if fresh:
-            got = [e.ids for e in tokenizer(self.path).encode_batch_fast(fresh, add_special_tokens=False)]
-            lens = np.fromiter(map(len, got), np.int64, len(got))
-            self.flat = np.concatenate([self.flat, np.fromiter((i for x in got for i in x), np.uint32, int(lens.sum()))])
-            self.first = np.concatenate([self.first, self.first[-1] + np.cumsum(lens)])
-        at = np.array(codes, np.int64)
-        lo, n = self.first[at], self.first[at + 1] - self.first[at]
+        split = [(text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ") for text in texts]
+        words = [w for x in split for w in x]
+        fresh = list(set(words).difference(memo))
+        known = len(memo)
+        for i in range(0, len(fresh), 20_000):
+            ids, lens = self._ids(fresh[i : i + 20_000])
+            memo.update(zip(fresh[i : i + 20_000], range(len(memo), len(memo) + len(lens)), strict=True))
+            self.flat.append(ids), self.lens.append(lens)
+        self.flat, self.lens = [np.concatenate([np.zeros(0, np.uint32), *self.flat])], [np.concatenate([np.zeros(0, np.int64), *self.lens])]
+        first = np.concatenate([[0], np.cumsum(self.lens[0])])
+        at = np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
+        lo, n = first[at], self.lens[0][at]
         ends = np.cumsum(n)
-        pick = np.repeat(lo - (ends - n), n) + np.arange(int(ends[-1]) if len(ends) else 0)
-        bounds = np.concatenate([[0], ends])[np.cumsum(sizes)] if sizes else np.zeros(0, np.int64)
-        return self.flat[pick], np.diff(bounds, prepend=0)
+        bounds = np.concatenate([[0], ends])[np.cumsum([len(x) for x in split])] if split else np.zeros(0, np.int64)
+        ids = self.flat[0][gather(lo, n)]
+        if known > MEMO:  # full: it keeps the pieces met first, the frequent ones among them
+            for w in fresh:
+                del memo[w]
+            self.flat, self.lens = [self.flat[0][: first[known]]], [self.lens[0][:known]]
+        return ids, np.diff(bounds, prepend=0)
+
+
+@lru_cache(maxsize=2)
+def piece_coder(path: str) -> PieceCoder:
+    """Kept by a Python worker from task to task."""
+    return PieceCoder(path)
 
 
 def write_store(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_ID, block_ids: int = BLOCK_IDS) -> None:
     """Encode doc_id, text in ascending doc_id order into a token store at `path`."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shard, coder = TaskContext.get().partitionId(), PieceCoder(vocabulary)
+        shard, coder = TaskContext.get().partitionId(), piece_coder(vocabulary)
         block = before = held = 0
         docs_, sizes_, ids_ = [], [], []
 
@@ -170,13 +221,11 @@ def write_store(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_I
             return pa.RecordBatch.from_pydict(row)
 
         for batch in batches:
-            keys = np.array([np.iinfo(np.int64).min if k is None else k for k in batch.column(0).to_pylist()], np.int64)
-            lens = np.array([len(t or "") for t in batch.column(1).to_pylist()], np.int64)
-            texts, lo = batch.column(1).to_pylist(), 0
-            total = np.cumsum(lens)
-            while lo < len(texts):
+            keys = pc.fill_null(batch.column(0), int(NO_ID)).to_numpy(zero_copy_only=False)
+            total, lo = np.cumsum(pc.fill_null(pc.utf8_length(batch.column(1)), 0).to_numpy(zero_copy_only=False)), 0
+            while lo < batch.num_rows:
                 hi = max(lo + 1, int(np.searchsorted(total, (total[lo - 1] if lo else 0) + TASK_CHARS)))
-                ids, sizes = coder.encode(texts[lo:hi])
+                ids, sizes = coder.encode(batch.column(1).slice(lo, hi - lo).to_pylist())
                 ends = np.cumsum(sizes)
                 ids_.append(np.insert(ids, ends, end_id)), sizes_.append(sizes + 1), docs_.append(keys[lo:hi])
                 held, lo = held + int(ends[-1]) + hi - lo, hi
@@ -214,7 +263,7 @@ def _decoded(spark: SparkSession, path: str, column: str, last, kind: pa.DataTyp
                 ids = s8b_decode(np.frombuffer(row["words"], np.uint64), row["n_ids"]).astype("<u4")
                 ends = np.cumsum(sizes)
                 starts = offset[row["shard"]] + row["ids_before"] + ends - sizes
-                found = [None if k == np.iinfo(np.int64).min else k for k in keys.tolist()]
+                found = [None if k == NO_ID else k for k in keys.tolist()]
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(found, pa.int64()), pa.array(starts), pa.array(sizes), pa.array(last(np.split(ids, ends[:-1])), kind)], ["doc_id", "start", "n_tokens", column.split()[0]]
                 )
