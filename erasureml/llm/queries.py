@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from erasureml.llm import bpe, pii, simhash, tokens, toxicity
+from erasureml.llm import bpe, containment, lm, pii, simhash, substring, tokens, toxicity
 
 QUERIES = {
     "op1_toxicity": toxicity.op1_toxicity,
     "op3_pii": pii.op3_pii,
+    "op4_lm_scoring": lm.op4_lm_scoring,
     "op6_simhash": simhash.op6_simhash,
     "op7_token_store": tokens.op7_token_store,
+    "op8_decontamination": containment.op8_decontamination,
+    "op9_substring": substring.op9_substring,
     "op10_byte_bpe": bpe.op10_byte_bpe,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op8_decontamination": containment.ORACLE}
