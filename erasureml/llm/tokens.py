@@ -16,6 +16,8 @@ Equal doc_ids stay together in one shard; null doc_ids come first.
 
 from __future__ import annotations
 
+import gc
+import string
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -34,9 +36,9 @@ from erasureml.llm.core import NO_ID, read_table, shuffle_parts
 END_ID = 2
 BLOCK_IDS = 1 << 18
 TASK_CHARS = 1_000_000
-MEMO, SEGMENT = 400_000, 1 << 15
+MEMO, SEGMENT = 900_000, 1 << 15
 WORD_END = "</w>"
-MARKS = ".,!?;:"
+MARKS = string.punctuation
 # Fixed values: (ids in a word, bits of each) by selector.
 LAYOUT = ((60, 1), (30, 2), (20, 3), (15, 4), (12, 5), (10, 6), (8, 7), (7, 8), (6, 10), (5, 12), (4, 15), (3, 20), (2, 30), (1, 60))
 ESCAPE = 15
@@ -50,19 +52,34 @@ def s8b_encode(values: np.ndarray) -> np.ndarray:
     return np.concatenate([np.zeros(0, np.uint64), *(_segment(v[i : i + SEGMENT], i + SEGMENT >= len(v)) for i in cuts)])
 
 
+_LENGTHS = np.array([i.bit_length() for i in range(1 << 16)], np.uint8)
+
+
+def bit_lengths(v: np.ndarray) -> np.ndarray:
+    out = _LENGTHS[v & np.uint64(0xFFFF)]
+    for shift in (16, 32, 48):
+        high = v >> np.uint64(shift)
+        if not high.any():
+            break
+        part = _LENGTHS[high & np.uint64(0xFFFF)]
+        out = np.where(part > 0, part + np.uint8(shift), out)
+    return out
+
+
 def _segment(v: np.ndarray, last: bool) -> np.ndarray:
     """Words of a segment; only the last word of the last segment may lack values."""
     n = len(v)
-    here = np.arange(n)
-    choice, step = np.full(n, ESCAPE, np.uint8), np.ones(n, np.int64)
-    top = int(v.max())
+    here = np.arange(n, dtype=np.int32)
+    choice, step = np.full(n, ESCAPE, np.uint8), np.ones(n, np.int32)
+    width = bit_lengths(v)
+    top = int(width.max())
     for s in reversed(range(len(LAYOUT))):  # denser selectors overwrite
         count, bits = LAYOUT[s]
-        bad = np.flatnonzero(v >> np.uint64(bits)) if top >> bits else np.zeros(0, np.int64)
+        bad = np.flatnonzero(width > bits) if top > bits else np.zeros(0, np.int64)
         runs = np.diff(np.concatenate([[-1], bad, [n]]))  # 1 more than the fitting values before each misfit, and at the end
         if runs[:-1].max(initial=0) <= count and runs[-1] == 1:
             continue
-        until = np.repeat(np.append(bad, n), np.append(runs[:-1], runs[-1] - 1))
+        until = np.repeat(np.append(bad, n).astype(np.int32), np.append(runs[:-1], runs[-1] - 1))
         fits = until - here >= (np.minimum(count, n - here) if last else count)
         choice[fits], step[fits] = s, count
     jump, at, starts = (here + step).tolist(), 0, []
@@ -207,6 +224,13 @@ def write_store(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_I
     """Encode doc_id, text in ascending doc_id order into a token store at `path`."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        gc.disable()  # reference counts free all that a task makes; the collector would walk the kept pieces again and again
+        try:
+            yield from blocks_of(batches)
+        finally:
+            gc.enable()
+
+    def blocks_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shard, coder = TaskContext.get().partitionId(), piece_coder(vocabulary)
         block = before = held = 0
         docs_, sizes_, ids_ = [], [], []
