@@ -46,6 +46,20 @@ def reliable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def reliably_dealt(df: DataFrame, key: str) -> DataFrame:
+    """`reliable`, dealt by the key in a way that later joins on it know of: they move the other side only.
+
+    An adaptive plan doesn't tell how its result is dealt, so this one is planned without.
+    """
+    conf, name = df.sparkSession.conf, "spark.sql.adaptive.enabled"
+    before = conf.get(name)
+    conf.set(name, "false")
+    try:
+        return reliable(df.repartition(shuffle_parts(df.sparkSession), key))
+    finally:
+        conf.set(name, before)
+
+
 # ---------------------------------------------------------------- packing
 
 
@@ -123,7 +137,7 @@ def text_blocks(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
         if ids:
             yield flush()
 
-    return reliable(docs.select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA))
+    return reliably_dealt(docs.select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA), "block_id")
 
 
 class Texts:
@@ -263,13 +277,20 @@ def complete(ends: np.ndarray, n: int, total: int) -> np.ndarray:
 
 
 def distinct(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sorted distinct hashes, the order that sorts, and where each run starts."""
-    order = np.argsort(hashes, kind="stable")
+    """Sorted distinct hashes, an order that sorts (equal ones in any order), and where each run starts."""
+    order = np.argsort(hashes)
     h = hashes[order]
     at = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]])) if len(h) else np.zeros(0, np.int64)
     return h[at], order, at
 
 
+def run_of(order: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """For every hash, the place of its run among the distinct ones."""
+    out = np.empty(len(order), np.int64)
+    out[order] = np.repeat(np.arange(len(at)), np.diff(np.append(at, len(order))))
+    return out
+
+
 def _cuts(hashes: np.ndarray, parts: int) -> np.ndarray:
     bounds = np.array([(p << 64) // parts for p in range(1, parts)], dtype=object).astype(np.uint64) if parts > 1 else np.zeros(0, np.uint64)
     return np.concatenate([[0], np.searchsorted(hashes, bounds), [len(hashes)]])

@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import NO_ID, Block, Words, answer_of, answers, attach, distinct, each_block, mix, read_table, spread, tally_of, text_blocks
+from erasureml.llm.core import NO_ID, Block, Words, answer_of, answers, attach, distinct, each_block, mix, read_table, run_of, spread, tally_of, text_blocks
 
 HELD_OUT, FOLD, FOLDS = 2, 3, 7
 END = np.uint64(0x5EED0FE4D)
@@ -74,17 +74,16 @@ class Counts:
 
     def __init__(self, block: Block) -> None:
         self.scan = scan = Scan(block)
-        one, _, _ = distinct(scan.word)
-        self.of_word = np.searchsorted(one, scan.word)
-        self.two, order, at = distinct(scan.pair)
+        _, order, at = distinct(scan.word)
+        self.of_word = run_of(order, at)
+        # the context is the word before; the first one's is the end, as which the block ends
+        context = np.concatenate([self.of_word[-1:], self.of_word[:-1]])
+        _, order, at = distinct(scan.pair)
         first = order[at]
-        self.of_pair = np.searchsorted(self.two, scan.pair)
+        self.of_pair = run_of(order, at)
         c, f = (answer_of(block.row, "one", k) for k in (0, 1))
         self.word, self.word_fold = c, f
-        w = self.of_word[first]
-        v = np.searchsorted(one, scan.context[first])
-        known = one[np.minimum(v, len(one) - 1)] == scan.context[first]  # the end is in every block with a document
-        v = np.where(known, v, 0)
+        w, v = self.of_word[first], context[first]
         self.w, self.w_fold, self.v, self.v_fold = c[w], f[w], c[v], f[v]
         self.c, self.c_fold = (answer_of(block.row, "two", k) for k in (0, 1))
         fold = (scan.fold[scan.row] == FOLD)[order]

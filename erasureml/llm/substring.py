@@ -22,7 +22,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 
-from erasureml.llm.core import Block, Words, answer_of, answers, attach, complete, distinct, each_block, ngram_hash, read_table, spread, text_blocks
+from erasureml.llm.core import Block, Words, answer_of, answers, attach, complete, distinct, each_block, ngram_hash, read_table, run_of, spread, text_blocks
 
 WINDOW, ANCHOR, PERIOD = 13, 7, 7
 # Residues modulo 7 whose differences are all residues.
@@ -53,8 +53,8 @@ class Scan:
     def windows(self, block: Block) -> tuple[np.ndarray, np.ndarray]:
         """Positions of the windows that hold a repeated anchor, and their hashes."""
         at, h = self.anchors()
-        keys, _, _ = distinct(h)
-        hit = at[answer_of(block.row, "repeated")[np.searchsorted(keys, h)] > 0] if len(h) else at
+        _, order, runs = distinct(h)
+        hit = at[answer_of(block.row, "repeated")[run_of(order, runs)] > 0] if len(h) else at
         total = np.zeros(len(self.hash) + 1, np.int64)
         total[hit + 1] = 1
         total = np.cumsum(total)
@@ -96,11 +96,11 @@ def removed_words(block: Block) -> tuple[Scan, np.ndarray]:
     """Which words of the block go."""
     scan = Scan(block)
     at, h = scan.windows(block)
-    keys, order, runs = distinct(h)
+    _, order, runs = distinct(h)
     cover = np.zeros(len(scan.hash) + 1, np.int64)
     if len(h):
         ids = scan.ids[at]
-        k = np.searchsorted(keys, h)
+        k = run_of(order, runs)
         gone = at[(answer_of(block.row, "earlier")[k] > 0) | (ids > np.minimum.reduceat(ids[order], runs)[k])]
         cover[gone] += 1
         cover[gone + WINDOW] -= 1

@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import Block, Roller, _cuts, answer_of, answers, attach, distinct, each_block, expand, pack, read_table, reliable, shuffle_parts, spread, squeeze, text_blocks, unpack
+from erasureml.llm.core import Block, Roller, _cuts, answer_of, answers, attach, distinct, each_block, expand, pack, read_table, reliable, run_of, shuffle_parts, spread, squeeze, text_blocks, unpack
 
 LENGTH, GRAM = 200, 64
 WIDTH = LENGTH - GRAM + 1
@@ -175,11 +175,11 @@ def candidates(parts: int, hot: int):
 
     def work(block: Block) -> Iterator[pd.DataFrame]:
         first, count, h = anchors(block)
-        keys, _, _ = distinct(h)
-        total = answer_of(block.row, "anchors")[np.searchsorted(keys, h)] if len(h) else np.zeros(0, np.int64)
+        _, order, at = distinct(h)
+        total = answer_of(block.row, "anchors")[run_of(order, at)] if len(h) else np.zeros(0, np.int64)
         rows = []
         sort = np.flatnonzero((total > 1) & (total <= hot))
-        sort = sort[np.argsort(h[sort], kind="stable")]
+        sort = sort[np.argsort(h[sort])]
         cuts = _cuts(h[sort], parts)
         for p in range(parts):
             own = sort[cuts[p] : cuts[p + 1]]
@@ -238,7 +238,7 @@ def sort_part(frame: pd.DataFrame) -> pd.DataFrame:
     h, first, count = (np.concatenate([m[k] for m in meta]) for k in range(3))
     size = count + LENGTH - 1
     offset = np.concatenate([np.cumsum(m[2] + LENGTH - 1) - (m[2] + LENGTH - 1) for m in meta])
-    order = np.argsort(h.view(np.uint64), kind="stable")
+    order = np.argsort(h.view(np.uint64))
     blocks = frame["block_id"].to_numpy()
     found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     i = 0
