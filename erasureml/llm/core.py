@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-BLOCK_BYTES = 4 << 20
+BLOCK_BYTES = 8 << 20
 CHUNK_BYTES = 1 << 20
 NO_ID = np.iinfo(np.int64).min
 BLOCK_SCHEMA = "block_id long, doc_ids binary, lens binary, body binary"
@@ -38,24 +38,22 @@ def shuffle_parts(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
-def reliable(df: DataFrame) -> DataFrame:
-    """Materialise in the checkpoint folder that the session names, so that a lost executor costs nothing twice."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
-    return df.checkpoint(eager=True)
-
+def reliable(df: DataFrame, dealt: bool = False) -> DataFrame:
+    """Materialise in the checkpoint folder that the session names, so that a lost executor costs nothing twice.
 
-def reliably_dealt(df: DataFrame, key: str) -> DataFrame:
-    """`reliable`, dealt by the key in a way that later joins on it know of: they move the other side only.
-
-    An adaptive plan doesn't tell how its result is dealt, so this one is planned without.
+    dealt: keep how the result is dealt, so that joins on the same key don't move it again. An adaptive plan doesn't
+    tell, so this one is planned without.
     """
     conf, name = df.sparkSession.conf, "spark.sql.adaptive.enabled"
+    sc = df.sparkSession.sparkContext
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
+    if not dealt:
+        return df.checkpoint(eager=True)
     before = conf.get(name)
     conf.set(name, "false")
     try:
-        return reliable(df.repartition(shuffle_parts(df.sparkSession), key))
+        return df.select("*").checkpoint(eager=True)
     finally:
         conf.set(name, before)
 
@@ -137,7 +135,7 @@ def text_blocks(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
         if ids:
             yield flush()
 
-    return reliably_dealt(docs.select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA), "block_id")
+    return reliable(docs.select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA).repartition(shuffle_parts(docs.sparkSession), "block_id"), dealt=True)
 
 
 class Texts:
@@ -351,7 +349,7 @@ def answers(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, lis
 
     asked = each_block(blocks, send, "block_id long, part int, load binary")
     told = asked.groupBy("part").applyInPandas(reduce, "block_id long, part int, answer binary")
-    return reliable(told.groupBy("block_id").agg(F.collect_list(F.struct("part", "answer")).alias("answers")))
+    return reliable(told.groupBy("block_id").agg(F.collect_list(F.struct("part", "answer")).alias("answers")), dealt=True)
 
 
 def attach(blocks: DataFrame, held: DataFrame, name: str) -> DataFrame:

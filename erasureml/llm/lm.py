@@ -61,7 +61,9 @@ class Scan:
 
 
 def totals(values: list[np.ndarray], at: np.ndarray) -> list[np.ndarray]:
-    return [spread(np.add.reduceat(v, at), at, len(v)) for v in values]
+    """Training counts, and the fold's where the block has a part in it: only there are they used."""
+    train, fold = (spread(np.add.reduceat(v, at), at, len(v)) for v in values)
+    return [train, np.where(values[1] > 0, fold, 0)]
 
 
 def tally(values: list[np.ndarray], at: np.ndarray) -> list[int]:

@@ -289,7 +289,7 @@ def matched(docs: DataFrame, hot: int = HOT) -> DataFrame:
         .union(found.where(F.col("kind") == COUNT).select("part", "block_id", "load").groupBy("part").applyInPandas(count_part, kind))
         .union(found.where(F.col("kind") == DONE).select("block_id", "load"))
     )
-    return attach(blocks, reliable(runs.groupBy("block_id").agg(F.collect_list("load").alias("answers"))), "runs")
+    return attach(blocks, reliable(runs.groupBy("block_id").agg(F.collect_list("load").alias("answers")), dealt=True), "runs")
 
 
 def removed_bytes(block: Block) -> np.ndarray:
