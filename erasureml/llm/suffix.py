@@ -31,7 +31,7 @@ LENGTH, GRAM = 200, 64
 WIDTH = LENGTH - GRAM + 1
 HOT = 256
 SEGMENT = 1 << 18
-SORT_AT_ONCE = 250_000
+SORT_AT_ONCE = 2 << 20
 ROLL = Roller(50077)
 _PLACE = np.uint64((1 << 22) - 1)
 
@@ -243,7 +243,7 @@ def sort_part(frame: pd.DataFrame) -> pd.DataFrame:
     found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     i = 0
     group_end = np.append(np.flatnonzero(np.diff(h[order])) + 1, len(order))
-    total = np.cumsum(count[order])
+    total = np.cumsum(size[order])
     while i < len(order):
         want = (total[i - 1] if i else 0) + SORT_AT_ONCE
         k = int(np.searchsorted(group_end, max(i + 1, int(np.searchsorted(total, want)))))
