@@ -63,7 +63,8 @@ def support_rows(df: DataFrame, code: Code, m: int, how: str = "scatter", seed:
 def replicate(df: DataFrame, m: int, r: int = 2) -> DataFrame:
     """(worker, part, row_id, x, y): m/r distinct parts, each on r workers."""
     parts = m // r
-    return df.withColumn("part", (F.col("row_id") % parts).cast("int")).select((F.explode(F.sequence(F.lit(0), F.lit(r - 1))) * parts + F.col("part")).cast("int").alias("worker"), "part", "row_id", "x", "y")
+    copies = df.select((F.col("row_id") % parts).cast("int").alias("part"), "row_id", "x", "y", F.explode(F.sequence(F.lit(0), F.lit(r - 1))).alias("copy"))
+    return copies.select((F.col("copy") * parts + F.col("part")).cast("int").alias("worker"), "part", "row_id", "x", "y")
 
 
 def absorb_ridge(df: DataFrame, lam: float, p: int) -> DataFrame:
