@@ -23,7 +23,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from erasureml.llm.core import read_table
+from erasureml.llm.core import few_rows, read_table
 
 CUT = 100_000
 BATCH_CHARS = 1_000_000
@@ -135,7 +135,7 @@ def encode(docs: DataFrame, path: str, offsets: bool = False) -> DataFrame:
                     out["starts"] = lists([character_starts(i, t or "", path) for i, t in zip(ids, texts[lo:hi], strict=True)])
                 yield pa.RecordBatch.from_pydict(out)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids array<int>" + ", starts array<int>" * offsets)
+    return few_rows(docs).select("doc_id", "text").mapInArrow(run, "doc_id long, ids array<int>" + ", starts array<int>" * offsets)
 
 
 def slices(texts: list[str | None]) -> Iterator[tuple[int, int]]:
@@ -167,7 +167,7 @@ def round_trip(docs: DataFrame, path: str) -> DataFrame:
                 decoded.append(hashlib.sha256(decode_bytes(ids, path)).hexdigest())
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column(0).cast(pa.int64()), "n_tokens": pa.array(n, pa.int64()), "ids_sha256": pa.array(coded, pa.string()), "decoded_sha256": pa.array(decoded, pa.string())})
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return few_rows(docs).select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def default_vocabulary() -> str:

@@ -25,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import Texts, Words, complete, ngram_hash, read_table
+from erasureml.llm.core import Texts, Words, complete, ngram_hash, few_rows, read_table
 
 SIZE, THRESHOLD = 5, 0.8
 INDEX_BYTES = 32 << 20
@@ -134,7 +134,7 @@ def pairs(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, size:
             if got:
                 yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*got, strict=True)], ["doc_id", "item_id", "n_item", "n_shared", "containment"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, f"doc_id long, item_id {kind}, n_item long, n_shared long, containment double")
+    return few_rows(docs).select(F.col("doc_id").cast("long"), "text").mapInArrow(run, f"doc_id long, item_id {kind}, n_item long, n_shared long, containment double")
 
 
 def small_index(items: DataFrame, threshold: float = THRESHOLD, size: int = SIZE, index_bytes: int = INDEX_BYTES) -> Index | None:
@@ -214,4 +214,4 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
             clean[[row for row, *_ in index.contained(batch.column(at))]] = False
             yield batch.filter(pa.array(clean))
 
-    return docs.mapInArrow(run, docs.schema)
+    return few_rows(docs).mapInArrow(run, docs.schema)

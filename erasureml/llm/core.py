@@ -30,8 +30,19 @@ _MASK = (1 << 64) - 1
 # ---------------------------------------------------------------- session
 
 
+BATCH_ROWS = 512
+
+
+def few_rows(df: DataFrame) -> DataFrame:
+    """df itself; from here on the session sends Python at most BATCH_ROWS rows at once, as rows hold whole texts."""
+    conf, name = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(conf.get(name)) <= BATCH_ROWS:
+        conf.set(name, str(BATCH_ROWS))
+    return df
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return few_rows(spark.read.parquet(f"{sf_dir}/{name}.parquet"))
 
 
 def shuffle_parts(spark: SparkSession) -> int:
@@ -135,7 +146,7 @@ def text_blocks(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
         if ids:
             yield flush()
 
-    return reliable(docs.select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA).repartition(shuffle_parts(docs.sparkSession), "block_id"), dealt=True)
+    return reliable(few_rows(docs).select("doc_id", "text").mapInArrow(build, BLOCK_SCHEMA).repartition(shuffle_parts(docs.sparkSession), "block_id"), dealt=True)
 
 
 class Texts:

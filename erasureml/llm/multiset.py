@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erasureml.llm.bpe import slices
-from erasureml.llm.core import NO_ID, Roller, Texts, Words, complete, mix, ngram_hash, read_table, shuffle_parts
+from erasureml.llm.core import NO_ID, Roller, Texts, Words, complete, mix, ngram_hash, few_rows, read_table, shuffle_parts
 
 STRONG, LEVELS, LANES, RUN = 4, 8, 64, 3
 FULL = 0.75
@@ -99,7 +99,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             for lo, hi in slices(texts):
                 yield pa.RecordBatch.from_pydict({"doc_id": batch.column(0).slice(lo, hi - lo).cast(pa.int64()), "fingerprint": pa.array([v.tobytes() for v in vectors(texts[lo:hi])], pa.binary())})
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, fingerprint binary")
+    return few_rows(docs).select("doc_id", "text").mapInArrow(run, "doc_id long, fingerprint binary")
 
 
 def updated(prints: DataFrame, changes: DataFrame) -> DataFrame:
@@ -175,7 +175,7 @@ def digest(docs: DataFrame) -> DataFrame:
                     yield compared(pairs)
 
     schema = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
-    return with_next(docs).mapInArrow(run, schema)
+    return with_next(few_rows(docs)).mapInArrow(run, schema)
 
 
 def edited(text: str, following: str) -> str:

@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import mix, read_table, reliable
+from erasureml.llm.core import mix, few_rows, read_table, reliable
 
 RADIUS = 4
 SEED = 42
@@ -85,7 +85,7 @@ def fingerprints(docs: DataFrame, size: int = 4, words: int = 1, views: int = 0)
                 seen.append(thinned(h, views) if views else [])
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column(0).cast(pa.int64()), "f": pa.array(prints, pa.list_(pa.int64())), "views": pa.array(seen, pa.list_(pa.int64()))})
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, f array<long>, views array<long>")
+    return few_rows(docs).select("doc_id", "text").mapInArrow(run, "doc_id long, f array<long>, views array<long>")
 
 
 def thinned(hashes: np.ndarray, views: int, keep: int = VIEW_SIZE) -> list[int]:

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erasureml.llm.bpe import tokenizer
-from erasureml.llm.core import NO_ID, read_table, shuffle_parts
+from erasureml.llm.core import NO_ID, few_rows, read_table, shuffle_parts
 
 END_ID = 2
 BLOCK_IDS = 1 << 18
@@ -259,7 +259,7 @@ def write_store(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_I
             yield flush()
 
     parts = shuffle_parts(docs.sparkSession)
-    ordered = docs.select(F.col("doc_id").cast("long"), "text").repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id")
+    ordered = few_rows(docs).select(F.col("doc_id").cast("long"), "text").repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id")
     ordered.mapInArrow(run, STORE).write.option("compression", "none").parquet(path)
 
 

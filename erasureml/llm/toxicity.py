@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import read_table
+from erasureml.llm.core import few_rows, read_table
 
 FIT_ROWS = 20_000
 FEATURES = 600
@@ -109,7 +109,7 @@ def labelled(docs: DataFrame, labels: DataFrame, fit_rows: int) -> DataFrame:
 
 
 def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, features: int = FEATURES) -> SeverityModel:
-    rows = labelled(docs, labels, fit_rows)
+    rows = labelled(few_rows(docs), labels, fit_rows)
 
     def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: Counter = Counter()
@@ -190,7 +190,7 @@ def score(docs: DataFrame, model: SeverityModel) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns, *map(pa.array, extra.values())], [*names, *extra])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(run, f"{schema}, expected_severity double, p_toxic double, grade int, toxic boolean")
+    return few_rows(docs).mapInArrow(run, f"{schema}, expected_severity double, p_toxic double, grade int, toxic boolean")
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -212,4 +212,4 @@ def keep_clean(docs: DataFrame, model: SeverityModel) -> DataFrame:
         for batch in batches:
             yield batch.filter(pa.array([bool(model.above(t)[0] < model.cut) for t in batch.column(at).to_pylist()], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return few_rows(docs).mapInArrow(run, docs.schema)
