@@ -31,7 +31,7 @@ LENGTH, GRAM = 200, 64
 WIDTH = LENGTH - GRAM + 1
 HOT = 256
 SEGMENT = 1 << 18
-SORT_AT_ONCE = 2 << 20
+SORT_AT_ONCE = 1 << 19
 ROLL = Roller(50077)
 _PLACE = np.uint64((1 << 22) - 1)
 

@@ -9,15 +9,13 @@ shard), ids_before (ids of the shard before this block), n_ids, doc_ids, sizes (
 Blocks hold whole documents and are sized in ids, so one reader decodes any block with vectorised shifts and finds
 any document by the running sum of `sizes`.
 
-Texts are encoded by the tokenizers library.  For a vocabulary that drops white space, pieces between blanks are
-encoded independently, so every distinct piece is encoded once a task.  Null and empty texts hold the end id only.
+Texts are encoded by the tokenizers library, every distinct piece once.  Null and empty texts hold the end id only.
 Equal doc_ids stay together in one shard; null doc_ids come first.
 """
 
 from __future__ import annotations
 
 import gc
-import string
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -31,14 +29,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erasureml.llm.bpe import tokenizer
-from erasureml.llm.core import NO_ID, few_rows, read_table, shuffle_parts
+from erasureml.llm.core import LOWER, NO_ID, WORDS, Texts, distinct, few_rows, read_table, run_of, shuffle_parts
 
 END_ID = 2
 BLOCK_IDS = 1 << 18
 TASK_CHARS = 1_000_000
-MEMO, SEGMENT = 900_000, 1 << 15
+MEMO, SEGMENT = 1_000_000, 1 << 15
 WORD_END = "</w>"
-MARKS = string.punctuation
+BLANK, LETTER, DIGIT, MARK = range(4)
+CLASS = np.array([BLANK if b in (9, 10, 11, 12, 13, 32) else DIGIT if 48 <= b < 58 else LETTER if b >= 128 or chr(b).isalpha() else MARK for b in range(256)], np.uint8)
 # Fixed values: (ids in a word, bits of each) by selector.
 LAYOUT = ((60, 1), (30, 2), (20, 3), (15, 4), (12, 5), (10, 6), (8, 7), (7, 8), (6, 10), (5, 12), (4, 15), (3, 20), (2, 30), (1, 60))
 ESCAPE = 15
@@ -136,11 +135,12 @@ def gather(first: np.ndarray, n: np.ndarray) -> np.ndarray:
 
 
 class PieceCoder:
-    """Ids of texts, by the distinct pieces between blanks.
+    """Ids of texts, by their distinct pieces.
 
-    A piece of Latin-1 letters with ASCII punctuation after them is two of the vocabulary's own pieces, and lower
-    case is all that its normaliser changes: such letters go through the library many to a call, and their ids are
-    parted at the tokens that end a word.  All other pieces go through the whole tokenizer.
+    The vocabulary parts texts into runs of letters, single digits and runs of other marks, after lower-casing.  For
+    texts of ASCII and the letters of Latin-1 that is found on the bytes of many texts at once; the library encodes each
+    distinct piece, words many to a call, their ids parted at the tokens that end a word.  Texts with other
+    characters, or with apostrophes (which may part words), go through the whole tokenizer.
     """
 
     def __init__(self, path: str) -> None:
@@ -152,66 +152,81 @@ class PieceCoder:
         vocabulary = self.full.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[i for x, i in vocabulary.items() if x.endswith(WORD_END)]] = True
-        self.clear()
+        self.keys, self.codes = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+        self.flat, self.lens = np.zeros(0, np.uint32), np.zeros(0, np.int64)
 
-    def clear(self) -> None:
-        self.memo: dict[str, int] = {}
-        self.flat: list[np.ndarray] = []
-        self.lens: list[np.ndarray] = []
-
-    def _cores(self, cores: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    def _words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of lower-case words and the number of each one's."""
-        lines = [" ".join(cores[i : i + 100]) for i in range(0, len(cores), 100)]
-        ids = np.concatenate([np.zeros(0, np.uint32), *(np.array(e.ids, np.uint32) for e in self.light.encode_batch_fast(lines, add_special_tokens=False))])
-        ends = np.flatnonzero(self.ends[ids]) + 1
-        if len(ends) != len(cores):
+        ids = [np.zeros(0, np.uint32)]
+        for i in range(0, len(words), 10_000):
+            part = words[i : i + 10_000]
+            lines = [" ".join(part[j : j + 100]) for j in range(0, len(part), 100)]
+            ids += [np.array(e.ids, np.uint32) for e in self.light.encode_batch_fast(lines, add_special_tokens=False)]
+        flat = np.concatenate(ids)
+        ends = np.flatnonzero(self.ends[flat]) + 1
+        if len(ends) != len(words):
             raise ValueError("a word doesn't end with a word-end token")
-        return ids, np.diff(ends, prepend=0)
-
-    def _ids(self, pieces: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of pieces and the number of each one's."""
-        plain: dict[str, int] = {}
-        other: dict[str, int] = {"": 0}
-        halves: list[int] = []  # for every piece, its place among the words (or -1) and among the rest
-        for piece in pieces:
-            core = piece.rstrip(MARKS)
-            if core.isalpha() and (core.isascii() or max(core) < "\u0100"):
-                halves += plain.setdefault(core.lower(), len(plain)), other.setdefault(piece[len(core) :], len(other))
-            else:
-                halves += -1, other.setdefault(piece, len(other))
-        ids, lens = self._cores(list(plain))
-        rest = [e.ids for e in self.full.encode_batch_fast(list(other), add_special_tokens=False)]
-        more = np.fromiter(map(len, rest), np.int64, len(rest))
-        flat = np.concatenate([ids, np.fromiter((i for x in rest for i in x), np.uint32, int(more.sum()))])
-        at = np.array(halves, np.int64).reshape(-1, 2)
-        first = np.concatenate([np.cumsum(lens) - lens, len(ids) + np.cumsum(more) - more, [0]])
-        size = np.concatenate([lens, more, [0]])
-        at = np.stack([np.where(at[:, 0] < 0, len(size) - 1, at[:, 0]), len(lens) + at[:, 1]], 1)
-        return flat[gather(first[at.ravel()], size[at.ravel()])], size[at].sum(1)
-
-    def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        return flat, np.diff(ends, prepend=0)
+
+    def _marks(self, marks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        got = [e.ids for e in self.full.encode_batch_fast(marks, add_special_tokens=False)]
+        lens = np.fromiter(map(len, got), np.int64, len(got))
+        return np.fromiter((i for x in got for i in x), np.uint32, int(lens.sum())), lens
+
+    def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and their number by text."""
-        memo = self.memo
-        split = [(text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ") for text in texts]
-        words = [w for x in split for w in x]
-        fresh = list(set(words).difference(memo))
-        known = len(memo)
-        for i in range(0, len(fresh), 20_000):
-            ids, lens = self._ids(fresh[i : i + 20_000])
-            memo.update(zip(fresh[i : i + 20_000], range(len(memo), len(memo) + len(lens)), strict=True))
-            self.flat.append(ids), self.lens.append(lens)
-        self.flat, self.lens = [np.concatenate([np.zeros(0, np.uint32), *self.flat])], [np.concatenate([np.zeros(0, np.int64), *self.lens])]
-        first = np.concatenate([[0], np.cumsum(self.lens[0])])
-        at = np.fromiter(map(memo.__getitem__, words), np.int64, len(words))
-        lo, n = first[at], self.lens[0][at]
-        ends = np.cumsum(n)
-        bounds = np.concatenate([[0], ends])[np.cumsum([len(x) for x in split])] if split else np.zeros(0, np.int64)
-        ids = self.flat[0][gather(lo, n)]
-        if known > MEMO:  # full: it keeps the pieces met first, the frequent ones among them
-            for w in fresh:
-                del memo[w]
-            self.flat, self.lens = [self.flat[0][: first[known]]], [self.lens[0][:known]]
-        return ids, np.diff(bounds, prepend=0)
+        texts = Texts.of(column)
+        data = np.frombuffer(texts.body, np.uint8)
+        lead = np.concatenate([[False], data[:-1] == 0xC3]) if len(data) else np.zeros(0, bool)
+        odd = (data >= 0x80) & ~lead & (data != 0xC3) | lead & ((data == 0x97) | (data == 0xB7)) | (data == 0x27)
+        slow = np.flatnonzero(np.diff(np.concatenate([[0], np.cumsum(odd)])[texts.starts]))
+        data = LOWER[data] + np.where(lead & (data < 0x9F), np.uint8(0x20), np.uint8(0))
+        kind = CLASS[data]
+        first = np.zeros(len(data) + 1, bool)
+        first[texts.starts] = True
+        cut = first[:-1] | np.concatenate([[True], kind[1:] != kind[:-1]])[: len(kind)] | (kind == DIGIT)
+        bounds = np.append(np.flatnonzero(cut), len(data))
+        use = kind[bounds[:-1]] != BLANK
+        lo, hi = bounds[:-1][use], bounds[1:][use]
+        h = WORDS.ranges(WORDS.prefix(data), lo, hi)
+        keys, order, at = distinct(h)
+        place = np.minimum(np.searchsorted(self.keys, keys), max(len(self.keys) - 1, 0))
+        fresh = np.flatnonzero(self.keys[place] != keys) if len(self.keys) else np.arange(len(keys))
+        code = self.codes[place] if len(self.keys) else np.zeros(len(keys), np.int64)
+        known = len(self.lens)
+        if len(fresh):
+            one = order[at[fresh]]
+            letters = kind[lo[one]] == LETTER
+            body, start, stop = data.tobytes(), lo[one].tolist(), hi[one].tolist()
+            pieces = [body[i:j].decode("utf-8", "replace") for i, j in zip(start, stop, strict=True)]
+            parted = [[p for p, x in zip(pieces, letters.tolist(), strict=True) if x == y] for y in (True, False)]
+            # a text that goes another way may give pieces that aren't whole words; they are never used
+            word = [p if p.isalpha() else "x" for p in parted[0]]
+            made = [self._words(word), self._marks(parted[1])]
+            code[fresh[letters]] = known + np.arange(letters.sum())
+            code[fresh[~letters]] = known + int(letters.sum()) + np.arange((~letters).sum())
+            flat, lens = np.concatenate([self.flat, made[0][0], made[1][0]]), np.concatenate([self.lens, made[0][1], made[1][1]])
+        else:
+            flat, lens = self.flat, self.lens
+        if len(fresh) and known < MEMO:  # once full it keeps the pieces met first, the frequent ones among them
+            sound = fresh[np.array([p.isalpha() if x else True for p, x in zip(pieces, letters.tolist(), strict=True)])]
+            merged = np.concatenate([self.keys, keys[sound]])
+            by = np.argsort(merged)
+            self.keys, self.codes = merged[by], np.concatenate([self.codes, code[sound]])[by]
+            self.flat, self.lens = flat, lens
+        begin = np.cumsum(lens) - lens
+        code = code[run_of(order, at)]
+        n = lens[code]
+        ids = flat[gather(begin[code], n)]
+        sizes = np.diff(np.concatenate([[0], np.cumsum(n)])[np.searchsorted(lo, texts.starts)])
+        if len(slow):
+            parts = np.split(ids, np.cumsum(sizes)[:-1])
+            whole = [t.as_py() for t in column.take(pa.array(slow))]
+            for i, e in zip(slow.tolist(), self.full.encode_batch_fast(whole, add_special_tokens=False), strict=True):
+                parts[i] = np.array(e.ids, np.uint32)
+                sizes[i] = len(parts[i])
+            ids = np.concatenate(parts)
+        return ids, sizes
 
 
 @lru_cache(maxsize=2)
@@ -249,7 +264,7 @@ def write_store(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_I
             total, lo = np.cumsum(pc.fill_null(pc.utf8_length(batch.column(1)), 0).to_numpy(zero_copy_only=False)), 0
             while lo < batch.num_rows:
                 hi = max(lo + 1, int(np.searchsorted(total, (total[lo - 1] if lo else 0) + TASK_CHARS)))
-                ids, sizes = coder.encode(batch.column(1).slice(lo, hi - lo).to_pylist())
+                ids, sizes = coder.encode(batch.column(1).slice(lo, hi - lo))
                 ends = np.cumsum(sizes)
                 ids_.append(np.insert(ids, ends, end_id)), sizes_.append(sizes + 1), docs_.append(keys[lo:hi])
                 held, lo = held + int(ends[-1]) + hi - lo, hi
