@@ -1,8 +1,7 @@
 """Fast transforms along the first axis, and array expressions that stay in the JVM."""
 
-from __future__ import annotations
-
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -57,19 +56,20 @@ def logloss(margin: Column) -> Column:
 
 def register(spark) -> None:
     """The transforms as SQL functions on ARRAY<DOUBLE>: erasure_fwht, erasure_haar, erasure_dft; and row tables."""
-    import pandas as pd
     from pyspark.sql.functions import pandas_udf, udtf
 
     def over(f):
-        return lambda s: pd.Series([f(np.asarray(v, float)).tolist() for v in s])
+        def call(column: pd.Series) -> pd.Series:
+            return pd.Series([f(np.asarray(v, float)).tolist() for v in column])
 
-    for name, f in (("erasure_fwht", fwht), ("erasure_haar", haar), ("erasure_dft", lambda v: np.stack([np.fft.fft(v).real, np.fft.fft(v).imag], 1).ravel() / np.sqrt(len(v)))):
-        g = over(f)
+        return pandas_udf(call, "array<double>")
 
-        def call(s: pd.Series, g=g) -> pd.Series:
-            return g(s)
+    def dft(v: np.ndarray) -> np.ndarray:
+        z = np.fft.fft(v) / np.sqrt(len(v))
+        return np.stack([z.real, z.imag], 1).ravel()
 
-        spark.udf.register(name, pandas_udf(call, "array<double>"))
+    for name, f in (("erasure_fwht", fwht), ("erasure_haar", haar), ("erasure_dft", dft)):
+        spark.udf.register(name, over(f))
 
     from erasureml.operators import codes
 

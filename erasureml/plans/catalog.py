@@ -1,6 +1,6 @@
 """All queries of the engine and their SQL."""
 
-from erasureml.plans import workloads
+from erasureml.plans import relational, streams, workloads
 
-QUERIES = dict(workloads.QUERIES)
-ORACLES = dict(workloads.ORACLES)
+QUERIES = workloads.QUERIES | relational.QUERIES | streams.QUERIES
+ORACLES = workloads.ORACLES | relational.ORACLES | streams.ORACLES

@@ -26,12 +26,13 @@ def shared(spark: SparkSession, name: str) -> str:
 
 def replies(events: DataFrame, m: int) -> DataFrame:
     """Every worker's events as replies to rounds of a day each."""
-    return events.select(F.dayofyear("ts").alias("t"), (F.col("user_id") % m).cast("int").alias("worker"), F.col("ts").alias("arrival_ts"), "event_id", F.col("value").alias("payload"))
+    return events.select(F.dayofyear("ts").alias("t"), (F.col("user_id") % m).cast("int").alias("worker"), F.col("ts").cast("timestamp").alias("arrival_ts"), "event_id", F.col("value").alias("payload"))
 
 
 def source(spark: SparkSession, sf_dir: str, files_a_batch: int = 1) -> DataFrame:
+    """The table as a stream, a file a trigger. A pattern names it, as Spark takes a single file by a pattern only."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_a_batch).parquet(f"{sf_dir}/events.parquet")
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_a_batch).parquet(f"{sf_dir}/events.parque[t]")
 
 
 def first_k(stream: DataFrame, k: int) -> DataFrame:
