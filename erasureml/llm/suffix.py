@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import Block, Roller, _cuts, answer_of, answers, attach, distinct, each_block, expand, pack, read_table, reliable, run_of, shuffle_parts, spread, squeeze, text_blocks, unpack
+from erasureml.llm.core import Block, Roller, _cuts, answer_of, answers, attach, distinct, each_block, expand, mix, pack, read_table, reliable, run_of, shuffle_parts, spread, squeeze, text_blocks, unpack
 
 LENGTH, GRAM = 200, 64
 WIDTH = LENGTH - GRAM + 1
@@ -144,7 +144,8 @@ def _runs(part: np.ndarray, ends: np.ndarray, lo: int) -> tuple[np.ndarray, np.n
     new = np.concatenate([[True], (place[1:] != place[:-1]) | ~valid[:-1]])
     first = np.flatnonzero(valid & new)
     stop = np.flatnonzero(valid & np.append(new[1:] | ~valid[1:], True))
-    return first + lo, stop - first + 1, h[place[first]]
+    # smallest hashes are small: mixed again they spread over all ranges
+    return first + lo, stop - first + 1, mix(h[place[first]])
 
 
 def ask_anchors(block: Block) -> tuple[np.ndarray, list[np.ndarray]]:
