@@ -20,10 +20,12 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from erasureml.llm.core import few_rows, read_table
+from erasureml.llm.core import Texts, few_rows, read_table
+from erasureml.llm.pieces import BLANK, CLASS, DistinctCoder, gather
 
 CUT = 100_000
 BATCH_CHARS = 1_000_000
@@ -70,29 +72,73 @@ def parts(text: str, cut: int = CUT) -> list[str]:
     return [*out, text[at:]]
 
 
-def encode_texts(texts: list[str | None], path: str) -> Iterator[np.ndarray]:
-    tok = tokenizer(path)
-    queue: list[str] = []
-    sizes: list[int] = []
-    chars = 0
-
-    def drain() -> Iterator[np.ndarray]:
-        ids = [np.array(e.ids, np.uint32) for e in tok.encode_batch_fast(queue, add_special_tokens=False)]
-        at = 0
-        for n in sizes:
-            yield np.concatenate(ids[at : at + n])
-            at += n
-
-    for text in texts:
-        own = parts(text or "")
-        queue += own
-        sizes.append(len(own))
-        chars += len(text or "")
-        if chars >= BATCH_CHARS:
-            yield from drain()
-            queue, sizes, chars = [], [], 0
-    if sizes:
-        yield from drain()
+class ByteCoder(DistinctCoder):
+    """Pieces of the byte-level pattern: runs of letters, of digits or of marks, each with one space before it if there is
+    one, and what is left of white space.
+
+    Words with a space go through the library many to a call, their ids parted at the tokens that begin with a space.
+    """
+
+    def __init__(self, path: str) -> None:
+        super().__init__(tokenizer(path))
+        self.spaced = np.array([t[:1] == b" " for t in byte_table(path)], bool)
+
+    def part(self, texts: Texts, data: np.ndarray, lead: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        n, kind = len(data), CLASS[data]
+        first = np.zeros(n + 1, bool)
+        first[texts.starts] = True
+        run = first[:-1] | np.concatenate([[True], kind[1:] != kind[:-1]])[:n]
+        blank = kind == BLANK
+        joins = np.flatnonzero(run & ~blank)  # runs that aren't blank
+        before = joins[(joins > 0) & ~first[joins]] - 1  # the byte before them, if of the same text
+        after_blank = before[blank[before]]
+        cut = run.copy()
+        cut[after_blank] = True
+        cut[after_blank[data[after_blank] == 0x20] + 1] = False
+        bounds = np.append(np.flatnonzero(cut), n)
+        return data, bounds[:-1], bounds[1:]
+
+    def made(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        many = np.array([len(p) > 1 and p[0] == 0x20 and p[1] != 0x20 for p in pieces], bool)
+        words = [p.decode() for p, x in zip(pieces, many.tolist(), strict=True) if x]
+        ids = [np.zeros(0, np.uint32)]
+        for i in range(0, len(words), 10_000):
+            part = words[i : i + 10_000]
+            lines = ["".join(part[j : j + 100]) for j in range(0, len(part), 100)]
+            ids += [np.array(e.ids, np.uint32) for e in self.full.encode_batch_fast(lines, add_special_tokens=False)]
+        flat = np.concatenate(ids)
+        begins = np.flatnonzero(self.spaced[flat])
+        if len(begins) != len(words):
+            raise ValueError("a spaced word doesn't begin with the only token of its that has a space")
+        other = self.singly([p for p, x in zip(pieces, many.tolist(), strict=True) if not x])
+        size = np.diff(np.append(begins, len(flat)))
+        lens, first = np.empty(len(pieces), np.int64), np.empty(len(pieces), np.int64)
+        lens[many], lens[~many] = size, other[1]
+        first[many], first[~many] = begins, len(flat) + np.cumsum(other[1]) - other[1]
+        return np.concatenate([flat, other[0]])[gather(first, lens)], lens
+
+    def whole(self, texts: list[str]) -> list[np.ndarray]:
+        own = [parts(t) for t in texts]
+        ids = super().whole([p for x in own for p in x])
+        ends = np.cumsum([len(x) for x in own]).tolist()
+        return [np.concatenate(ids[i:j]) for i, j in zip([0, *ends[:-1]], ends, strict=True)]
+
+
+@lru_cache(maxsize=2)
+def byte_coder(path: str) -> ByteCoder:
+    """Kept by a Python worker from task to task."""
+    return ByteCoder(path)
+
+
+def encode_texts(texts: pa.Array, path: str) -> Iterator[np.ndarray]:
+    """The ids of each text."""
+    lens = pc.fill_null(pc.utf8_length(texts), 0).to_numpy(zero_copy_only=False)
+    total, lo = np.cumsum(lens), 0
+    while lo < len(texts):
+        hi = max(lo + 1, int(np.searchsorted(total, (total[lo - 1] if lo else 0) + BATCH_CHARS)))
+        ids, sizes = byte_coder(path).encode(pc.fill_null(texts.slice(lo, hi - lo), ""))
+        yield from np.split(ids, np.cumsum(sizes)[:-1])
+        lo = hi
 
 
 def decode_bytes(ids: np.ndarray, path: str) -> bytes:
@@ -129,7 +175,7 @@ def encode(docs: DataFrame, path: str, offsets: bool = False) -> DataFrame:
         for batch in batches:
             texts = batch.column(1).to_pylist()
             for lo, hi in slices(texts):
-                ids = list(encode_texts(texts[lo:hi], path))
+                ids = list(encode_texts(batch.column(1).slice(lo, hi - lo), path))
                 out = {"doc_id": batch.column(0).slice(lo, hi - lo).cast(pa.int64()), "ids": lists(ids)}
                 if offsets:
                     out["starts"] = lists([character_starts(i, t or "", path) for i, t in zip(ids, texts[lo:hi], strict=True)])
@@ -161,7 +207,7 @@ def round_trip(docs: DataFrame, path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n, coded, decoded = [], [], []
-            for ids in encode_texts(batch.column(1).to_pylist(), path):
+            for ids in encode_texts(batch.column(1), path):
                 n.append(len(ids))
                 coded.append(hashlib.sha256(ids.astype("<u4").tobytes()).hexdigest())
                 decoded.append(hashlib.sha256(decode_bytes(ids, path)).hexdigest())

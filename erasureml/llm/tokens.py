@@ -29,15 +29,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erasureml.llm.bpe import tokenizer
-from erasureml.llm.core import LOWER, NO_ID, WORDS, Texts, distinct, few_rows, read_table, run_of, shuffle_parts
+from erasureml.llm.core import LOWER, NO_ID, Texts, few_rows, read_table, shuffle_parts
+from erasureml.llm.pieces import BLANK, CLASS, DIGIT, LETTER, DistinctCoder, gather
 
 END_ID = 2
 BLOCK_IDS = 1 << 18
 TASK_CHARS = 1_000_000
-MEMO, SEGMENT = 1_000_000, 1 << 15
+SEGMENT = 1 << 15
 WORD_END = "</w>"
-BLANK, LETTER, DIGIT, MARK = range(4)
-CLASS = np.array([BLANK if b in (9, 10, 11, 12, 13, 32) else DIGIT if 48 <= b < 58 else LETTER if b >= 128 or chr(b).isalpha() else MARK for b in range(256)], np.uint8)
 # Fixed values: (ids in a word, bits of each) by selector.
 LAYOUT = ((60, 1), (30, 2), (20, 3), (15, 4), (12, 5), (10, 6), (8, 7), (7, 8), (6, 10), (5, 12), (4, 15), (3, 20), (2, 30), (1, 60))
 ESCAPE = 15
@@ -128,35 +127,43 @@ def s8b_decode(words: np.ndarray, n: int) -> np.ndarray:
     return out[:n]
 
 
-def gather(first: np.ndarray, n: np.ndarray) -> np.ndarray:
-    """The indices of all ranges [first, first + n), one after the other."""
-    ends = np.cumsum(n)
-    return np.repeat(first - (ends - n), n) + np.arange(int(ends[-1]) if len(ends) else 0)
+class PieceCoder(DistinctCoder):
+    """Pieces of a vocabulary that lower-cases and drops white space: runs of letters, single digits, runs of marks.
 
-
-class PieceCoder:
-    """Ids of texts, by their distinct pieces.
-
-    The vocabulary parts texts into runs of letters, single digits and runs of other marks, after lower-casing.  For
-    texts of ASCII and the letters of Latin-1 that is found on the bytes of many texts at once; the library encodes each
-    distinct piece, words many to a call, their ids parted at the tokens that end a word.  Texts with other
-    characters, or with apostrophes (which may part words), go through the whole tokenizer.
+    Words go through the library many to a call, their ids parted at the tokens that end a word.
     """
 
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer, pre_tokenizers
 
-        self.full = tokenizer(path)
+        super().__init__(tokenizer(path))
         self.light = Tokenizer(self.full.model)
         self.light.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         vocabulary = self.full.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[i for x, i in vocabulary.items() if x.endswith(WORD_END)]] = True
-        self.keys, self.codes = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        self.flat, self.lens = np.zeros(0, np.uint32), np.zeros(0, np.int64)
+
+    def part(self, texts: Texts, data: np.ndarray, lead: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        data = LOWER[data] + np.where(lead & (data < 0x9F), np.uint8(0x20), np.uint8(0))
+        kind = CLASS[data]
+        first = np.zeros(len(data) + 1, bool)
+        first[texts.starts] = True
+        cut = first[:-1] | np.concatenate([[True], kind[1:] != kind[:-1]])[: len(kind)] | (kind == DIGIT)
+        bounds = np.append(np.flatnonzero(cut), len(data))
+        use = kind[bounds[:-1]] != BLANK
+        return data, bounds[:-1][use], bounds[1:][use]
+
+    def made(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        letters = np.array([CLASS[p[0]] == LETTER for p in pieces], bool)
+        words = [p.decode() for p, x in zip(pieces, letters.tolist(), strict=True) if x]
+        a, b = self._words(words), self.singly([p for p, x in zip(pieces, letters.tolist(), strict=True) if not x])
+        lens = np.empty(len(pieces), np.int64)
+        lens[letters], lens[~letters] = a[1], b[1]
+        first = np.empty(len(pieces), np.int64)
+        first[letters], first[~letters] = np.cumsum(a[1]) - a[1], len(a[0]) + np.cumsum(b[1]) - b[1]
+        return np.concatenate([a[0], b[0]])[gather(first, lens)], lens
 
     def _words(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of lower-case words and the number of each one's."""
         ids = [np.zeros(0, np.uint32)]
         for i in range(0, len(words), 10_000):
             part = words[i : i + 10_000]
@@ -168,66 +175,6 @@ class PieceCoder:
             raise ValueError("a word doesn't end with a word-end token")
         return flat, np.diff(ends, prepend=0)
 
-    def _marks(self, marks: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        got = [e.ids for e in self.full.encode_batch_fast(marks, add_special_tokens=False)]
-        lens = np.fromiter(map(len, got), np.int64, len(got))
-        return np.fromiter((i for x in got for i in x), np.uint32, int(lens.sum())), lens
-
-    def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """All ids, and their number by text."""
-        texts = Texts.of(column)
-        data = np.frombuffer(texts.body, np.uint8)
-        lead = np.concatenate([[False], data[:-1] == 0xC3]) if len(data) else np.zeros(0, bool)
-        odd = (data >= 0x80) & ~lead & (data != 0xC3) | lead & ((data == 0x97) | (data == 0xB7)) | (data == 0x27)
-        slow = np.flatnonzero(np.diff(np.concatenate([[0], np.cumsum(odd)])[texts.starts]))
-        data = LOWER[data] + np.where(lead & (data < 0x9F), np.uint8(0x20), np.uint8(0))
-        kind = CLASS[data]
-        first = np.zeros(len(data) + 1, bool)
-        first[texts.starts] = True
-        cut = first[:-1] | np.concatenate([[True], kind[1:] != kind[:-1]])[: len(kind)] | (kind == DIGIT)
-        bounds = np.append(np.flatnonzero(cut), len(data))
-        use = kind[bounds[:-1]] != BLANK
-        lo, hi = bounds[:-1][use], bounds[1:][use]
-        h = WORDS.ranges(WORDS.prefix(data), lo, hi)
-        keys, order, at = distinct(h)
-        place = np.minimum(np.searchsorted(self.keys, keys), max(len(self.keys) - 1, 0))
-        fresh = np.flatnonzero(self.keys[place] != keys) if len(self.keys) else np.arange(len(keys))
-        code = self.codes[place] if len(self.keys) else np.zeros(len(keys), np.int64)
-        known = len(self.lens)
-        if len(fresh):
-            one = order[at[fresh]]
-            letters = kind[lo[one]] == LETTER
-            body, start, stop = data.tobytes(), lo[one].tolist(), hi[one].tolist()
-            pieces = [body[i:j].decode("utf-8", "replace") for i, j in zip(start, stop, strict=True)]
-            parted = [[p for p, x in zip(pieces, letters.tolist(), strict=True) if x == y] for y in (True, False)]
-            # a text that goes another way may give pieces that aren't whole words; they are never used
-            word = [p if p.isalpha() else "x" for p in parted[0]]
-            made = [self._words(word), self._marks(parted[1])]
-            code[fresh[letters]] = known + np.arange(letters.sum())
-            code[fresh[~letters]] = known + int(letters.sum()) + np.arange((~letters).sum())
-            flat, lens = np.concatenate([self.flat, made[0][0], made[1][0]]), np.concatenate([self.lens, made[0][1], made[1][1]])
-        else:
-            flat, lens = self.flat, self.lens
-        if len(fresh) and known < MEMO:  # once full it keeps the pieces met first, the frequent ones among them
-            sound = fresh[np.array([p.isalpha() if x else True for p, x in zip(pieces, letters.tolist(), strict=True)])]
-            merged = np.concatenate([self.keys, keys[sound]])
-            by = np.argsort(merged)
-            self.keys, self.codes = merged[by], np.concatenate([self.codes, code[sound]])[by]
-            self.flat, self.lens = flat, lens
-        begin = np.cumsum(lens) - lens
-        code = code[run_of(order, at)]
-        n = lens[code]
-        ids = flat[gather(begin[code], n)]
-        sizes = np.diff(np.concatenate([[0], np.cumsum(n)])[np.searchsorted(lo, texts.starts)])
-        if len(slow):
-            parts = np.split(ids, np.cumsum(sizes)[:-1])
-            whole = [t.as_py() for t in column.take(pa.array(slow))]
-            for i, e in zip(slow.tolist(), self.full.encode_batch_fast(whole, add_special_tokens=False), strict=True):
-                parts[i] = np.array(e.ids, np.uint32)
-                sizes[i] = len(parts[i])
-            ids = np.concatenate(parts)
-        return ids, sizes
-
 
 @lru_cache(maxsize=2)
 def piece_coder(path: str) -> PieceCoder:

@@ -12,7 +12,7 @@ from tokenizers import Tokenizer
 
 from erasureml.llm import bpe, tokens
 
-ODD = [None, "", " ", "a", "  two  spaces \n\n\tend  ", "don't we'll it's", "日本語 héllo wörld 😀😀 é", "<|endoftext|> x <|startoftext|>", "\x1c a\x1cb \x85 c\xa0d e", "x" * 5000, "12 345 6789 !!! ?", "É" * 50 + " " * 40, "word " * 60000, "á ́b ΑΣ σ"]
+ODD = [None, "a  b   c\n d\n\n  e \t f\r\n", " lead", "trail  ", "\n", "x\ty ÷ z× É à!", "12ab34 $$$ a.b,c", "  ", "a \nb", "", " ", "a", "  two  spaces \n\n\tend  ", "don't we'll it's", "日本語 héllo wörld 😀😀 é", "<|endoftext|> x <|startoftext|>", "\x1c a\x1cb \x85 c\xa0d e", "x" * 5000, "12 345 6789 !!! ?", "É" * 50 + " " * 40, "word " * 60000, "á ́b ΑΣ σ"]
 
 
 @given(st.lists(st.integers(0, 2**64 - 1) | st.integers(0, 3) | st.integers(0, 50000), max_size=300))
