@@ -33,9 +33,22 @@ def uniform_np(t, worker, seed: int) -> np.ndarray:
     return ((A_2 * (first * first % P) + C_2) % P + 0.5) / P
 
 
-def normal_np(t, worker, seed: int) -> np.ndarray:
-    """Box-Muller on two draws."""
-    return np.sqrt(-2 * np.log(uniform_np(t, worker, seed))) * np.cos(2 * np.pi * uniform_np(t, worker, seed + 500009))
+def counted_np(i, j, seed: int) -> np.ndarray:
+    """Draws in (0, 1) from a 64-bit mixing of (i, j, seed): for random matrices, whose entries must not line up."""
+    i, j = np.broadcast_arrays(np.asarray(i, np.uint64), np.asarray(j, np.uint64))
+    with np.errstate(over="ignore"):
+        z = np.full(i.shape, seed + 1, np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        for part in (i, j):
+            z = z ^ (part + np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xD1342543DE82EF95)
+            z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+            z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+            z = z ^ (z >> np.uint64(31))
+    return ((z >> np.uint64(11)).astype(float) + 0.5) / (1 << 53)
+
+
+def normal_np(i, j, seed: int) -> np.ndarray:
+    """Box-Muller on two such draws."""
+    return np.sqrt(-2 * np.log(counted_np(i, j, seed))) * np.cos(2 * np.pi * counted_np(i, j, seed + 500009))
 
 
 def normal(t, worker, seed: int) -> Column:

@@ -14,7 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 
 from erasureml.functions.transforms import fwht, haar as haar_transform
-from erasureml.functions.uniform import normal_np, ranked, uniform_np
+from erasureml.functions.uniform import counted_np, normal_np, ranked, uniform_np
 
 
 @dataclass(frozen=True)
@@ -252,7 +252,7 @@ def gaussian(n: int, beta: float = 2, seed: int = 1) -> Code:
 
 def rademacher(n: int, beta: float = 2, seed: int = 1) -> Code:
     size = round(beta * n)
-    return Code("rademacher", n, size, lambda i, j: np.where(uniform_np(i, j, seed) < 0.5, -1.0, 1.0) / np.sqrt(size), tight=False)
+    return Code("rademacher", n, size, lambda i, j: np.where(counted_np(i, j, seed) < 0.5, -1.0, 1.0) / np.sqrt(size), tight=False)
 
 
 def sketch(n: int, rows: int, seed: int = 1) -> Code:

@@ -536,7 +536,7 @@ def lasso_rows(spark: SparkSession, sf: str) -> pd.DataFrame:
     step = 0.9 / (solvers.largest_eigenvalue(original.G[0]) / n)
     out = []
     for scheme, m, k in (("uncoded", 16, 16), ("uncoded", 16, 10), ("replication", 16, 10), ("steiner", 16, 10), ("hadamard", 16, 10)):
-        problem, beta = compare.problem_of(df, scheme, m, p, 0.3, original=original, n=n)
+        problem, beta = compare.problem_of(df, scheme, m, p, 0.6, original=original, n=n)
         active, clock = compare.replies(spark, stragglers.TRIMODAL, 60, m, k, 1)
 
         def f1(w: np.ndarray) -> float:
