@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from erasureml.functions.uniform import uniform, uniform_np, uniform_sql
-from erasureml.operators import blocks, codes, compare, encode, factorization, metrics, partials, solvers, spectrum, stragglers
+from erasureml.operators import baselines, blocks, codes, compare, encode, factorization, metrics, partials, solvers, spectrum, stragglers
 from erasureml.sources import fixtures
 from erasureml.streaming.rounds import shared
 
@@ -847,6 +847,59 @@ def communication_per_round(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(kind, k, metrics.communication(64, k, 2000, kind)) for kind in ("gd", "lbfgs", "prox", "bcd") for k in (4, 8, 12, 16)], "kind string, k long, numbers long")
 
 
+# ---------------------------------------------------------------- further baselines and rules
+
+_BASELINES = ("uncoded", "perfect", "replication", "exact_recovery:1", "exact_recovery:3", "coded:hadamard", "coded:steiner", "coded+replication:hadamard", "coded+async:hadamard", "sketch")
+
+
+@query("baseline_schemes")
+def baseline_schemes(spark: SparkSession, sf: str) -> DataFrame:
+    """The last objective of 30 gradient rounds, 12 of 16 replies, over the optimum."""
+    df, p, m = fixtures.dense_embeddings(spark, sf, 8, noise=4.0), 8, 16
+    active, clock = compare.replies(spark, stragglers.exponential(), 30, m, 12, 1)
+    d = stragglers.delays(spark, stragglers.exponential(), 30, m).toPandas().pivot(index="t", columns="worker", values="delay").to_numpy()
+    original, n = partials.whole_gram(df, p), df.count()
+    w = solvers.ridge_solution(original, n, LAM)
+    best = solvers.Problem(None, n, m, p, LAM, original).objective(w)
+    rows = []
+    for scheme in _BASELINES:
+        run = baselines.run(scheme, df, active["grad"], p=p, lam=LAM, clock=clock, delays=d)
+        rows.append((scheme, float(run.trace["objective"].iloc[-1] / best)))
+    return spark.createDataFrame(rows, "scheme string, ratio double")
+
+
+@query("speculation_runtime", f"WITH d AS (SELECT t, worker, {DELAY_SQL['exponential']} AS delay FROM ({GRID})) SELECT t, round(max(delay), 6) AS plain FROM d GROUP BY t")
+def speculation_plain(spark: SparkSession, sf: str) -> DataFrame:
+    """Rounds that wait for all: the figure that speculation improves."""
+    return _delays(spark).groupBy(F.col("t").cast("long").alias("t")).agg(F.round(F.max("delay"), 6).alias("plain"))
+
+
+@query("speculation_gain")
+def speculation_gain(spark: SparkSession, sf: str) -> DataFrame:
+    d = _delays(spark)
+    s = baselines.speculated(d, 0.75, 1, 0.01)
+    plain, fast = (x.groupBy("t").agg(F.max("delay").alias(n)) for x, n in ((d, "plain"), (s, "speculated")))
+    return plain.join(fast, "t")
+
+
+@query("wait_schedule", f"WITH {D} SELECT t, CAST(sum(CASE WHEN rank <= CASE WHEN t = 0 THEN 4 WHEN t = 1 THEN 8 ELSE 12 END THEN 1 ELSE 0 END) AS BIGINT) AS replies FROM a GROUP BY t")
+def wait_schedule(spark: SparkSession, sf: str) -> DataFrame:
+    a = baselines.WaitPolicy.schedule([4, 8, 12]).apply(_delays(spark))
+    return a.groupBy(F.col("t").cast("long").alias("t")).agg(F.sum(F.col("active").cast("long")).alias("replies"))
+
+
+@query("adversary_never_replies", f"WITH d AS (SELECT t, worker, CASE WHEN worker IN (2, 9) THEN 1e300 ELSE {DELAY_SQL['exponential']} END AS delay FROM ({GRID})), a AS (SELECT *, row_number() OVER (PARTITION BY t ORDER BY delay, worker) AS rank FROM d) SELECT worker, CAST(sum(CASE WHEN rank <= 14 THEN 1 ELSE 0 END) AS BIGINT) AS rounds FROM a GROUP BY worker")
+def adversary_never_replies(spark: SparkSession, sf: str) -> DataFrame:
+    d = stragglers.delays(spark, stragglers.never(MODELS["exponential"], [2, 9]), T, M)
+    return stragglers.first_k(d, 14).groupBy(F.col("worker").cast("long").alias("worker")).agg(F.sum(F.col("active").cast("long")).alias("rounds"))
+
+
+@query("data_spectrum")
+def data_spectrum(spark: SparkSession, sf: str) -> DataFrame:
+    rows = [(p, *baselines.data_spectrum(fixtures.dense_embeddings(spark, sf, p), p).values()) for p in (4, 16, 64)]
+    return spark.createDataFrame(rows, "p long, low double, high double")
+
+
 # ---------------------------------------------------------------- layout
 
 
