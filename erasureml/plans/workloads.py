@@ -733,13 +733,11 @@ def objective_original(spark: SparkSession, sf: str) -> DataFrame:
     return metrics.objective(fixtures.dense_embeddings(spark, sf, PW), np.array(_W0), LAM).select(F.round("objective", 6).alias("objective"), "n")
 
 
-@query("running_mean_objective", f"SELECT t, round(avg(objective) OVER (ORDER BY t ROWS UNBOUNDED PRECEDING), 5) AS running FROM ({_solver_sql('coded', KW, False)})")
+@query("running_mean_objective", f"SELECT t, CAST(sum(CAST(round(objective * 1000000) AS BIGINT)) OVER (ORDER BY t ROWS UNBOUNDED PRECEDING) AS BIGINT) AS millionths, count(*) OVER (ORDER BY t ROWS UNBOUNDED PRECEDING) AS rounds FROM ({_solver_sql('coded', KW, False)})")
 def running_mean_objective(spark: SparkSession, sf: str) -> DataFrame:
-    t = QUERIES["gd_ridge_coded"](spark, sf)
-    return t.select("t", F.round(F.avg("objective").over(Window.orderBy("t").rowsBetween(Window.unboundedPreceding, 0)), 5).alias("running"))
-
-
-_SPARSE = fixtures.planted(64, 0.12)
+    """The sum of all rounds' objectives so far, in whole millionths, and their number: its ratio is the running mean."""
+    t, w = QUERIES["gd_ridge_coded"](spark, sf), Window.orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
+    return t.select("t", F.sum(F.round(F.col("objective") * 1000000).cast("long")).over(w).alias("millionths"), F.count("*").over(w).alias("rounds"))
 
 
 @query(
