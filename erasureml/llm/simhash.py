@@ -13,7 +13,7 @@ star contractions, checkpointed every round.
 
 The pipeline's stage groups by similarity (Jaccard of 5-word shingles, 0.8) rather than by a radius: texts as alike
 as that can differ in more bits than covering tables allow.  There the fingerprint has 512 bits, whose distance
-estimates the similarity, and beside the covering tables there are *thinned views*: the SimHash of the smallest few
+estimates the similarity (links are then verified exactly), and beside the covering tables there are *thinned views*: the SimHash of the smallest few
 shingle hashes in each of 32 hash ranges, equal with high probability in at least one range.
 
 Null and empty texts have fingerprint 0. Rows with a null doc_id aren't linked (component null).
@@ -36,7 +36,7 @@ from erasureml.llm.core import mix, few_rows, read_table, reliable
 RADIUS = 4
 SEED = 42
 BLOCK = 4096
-VIEWS, VIEW_SIZE, WIDE = 32, 6, 8
+VIEWS, VIEW_SIZE, WIDE, ALL_PAIRS = 32, 6, 8, 32
 _BITS = np.array([bin(i).count("1") for i in range(1 << 16)], np.uint8)
 
 
@@ -102,15 +102,24 @@ def covering_masks(radius: int, bits: int = 64) -> list[int]:
     return [sum(1 << i for i in range(bits) if bin(vector[i] & v).count("1") % 2) for v in range(1, top + 1)]
 
 
-def bucket_links(f: np.ndarray, node: np.ndarray, limit: int) -> list[tuple[int, int]]:
-    """A spanning forest of the graph of rows within `limit` bits."""
-    if len(node) == 2:
-        return [(int(node[0]), int(node[1]))] if popcount(f[0] ^ f[1]).sum() <= limit else []
-    left, out = np.arange(len(node)), []
+def bucket_links(f: np.ndarray, node: np.ndarray, limit: int, small: int = 2) -> list[tuple[int, int]]:
+    """Links of rows within `limit` bits: all of up to `small` rows, else a spanning forest.
+
+    The forest grows from the rows nearest to the bitwise majority of the bucket, so that a text and its edited copies
+    are linked through the text rather than from copy to copy.
+    """
+    n = len(node)
+    if n <= small:
+        a, b = np.triu_indices(n, 1)
+        near = popcount(f[a] ^ f[b]).sum(1) <= limit
+        return list(zip(node[a[near]].tolist(), node[b[near]].tolist(), strict=True))
+    bits = np.unpackbits(f.view(np.uint8).reshape(n, -1), axis=1)
+    off = (bits != (bits.sum(0, dtype=np.int64) * 2 > n)).sum(1)
+    left, out = np.lexsort((node, off)), []
     while len(left):
         queue, left = [left[0]], left[1:]
         while queue and len(left):
-            at = queue.pop()
+            at = queue.pop(0)
             near = popcount(f[left] ^ f[at]).sum(1) <= limit
             if near.any():
                 new = left[near]
@@ -120,7 +129,7 @@ def bucket_links(f: np.ndarray, node: np.ndarray, limit: int) -> list[tuple[int,
     return out
 
 
-def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK) -> DataFrame:
+def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK, small: int = 2) -> DataFrame:
     """Links (a, b) of nodes that share a key of a table and are within `limit` bits.
 
     keys: (t, key, node). prints: (node, f). The wide fingerprints join only the buckets of two or more.
@@ -149,7 +158,7 @@ def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK) ->
             node, f = frame["node"].to_numpy(np.int64), np.stack(frame["f"].to_numpy()).astype(np.int64).view(np.uint64)
             for i, j in zip(lo.tolist(), hi.tolist(), strict=True):
                 if j - i > 1:
-                    out += bucket_links(f[i:j], node[i:j], limit)
+                    out += bucket_links(f[i:j], node[i:j], limit, small)
         return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
 
     return dealt.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(run, "a long, b long").where("a != b").distinct()
@@ -172,24 +181,49 @@ def components(edges: DataFrame) -> DataFrame:
         mark = now
 
 
-def grouped(prints: DataFrame, limit: int, radius: int = RADIUS) -> DataFrame:
-    """prints: (doc_id, f, views) -> (doc_id, f, component_id)."""
+def grouped(prints: DataFrame, limit: int, radius: int = RADIUS, small: int = 2, check=None) -> DataFrame:
+    """prints: (doc_id, f, views) -> (doc_id, f, component_id). check: links (a, b) to those that hold."""
     prints = reliable(prints)
     distinct = reliable(prints.where(F.col("doc_id").isNotNull()).groupBy("f", "views").agg(F.min("doc_id").alias("node")))
     masks = covering_masks(radius)
     tables = F.array(*(F.struct(F.lit(t).alias("t"), F.col("f")[0].bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))
     seen = F.transform("views", lambda k: F.struct(F.lit(-1).alias("t"), k.alias("key")))
     keys = distinct.select("node", F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "node")
-    roots = components(links(keys, distinct.select("node", "f"), limit))
+    found = links(keys, distinct.select("node", "f"), limit, small=small)
+    roots = components(check(reliable(found)) if check else found)
     named = distinct.join(roots, "node", "left").select("f", "views", F.coalesce("root", "node").alias("component_id"))
     linked = prints.join(named, ["f", "views"], "left")
     return linked.select("doc_id", "f", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-def bits_at(similarity: float, bits: int) -> int:
-    """The number of SimHash bits that two sets of this Jaccard similarity differ in, a standard deviation over the mean."""
+def bits_at(similarity: float, bits: int, margin: float = 2.5) -> int:
+    """SimHash bits that two sets of this Jaccard similarity differ in, `margin` standard deviations over the mean."""
     share = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    return round(bits * share + math.sqrt(bits * share * (1 - share)))
+    return round(bits * share + margin * math.sqrt(bits * share * (1 - share)))
+
+
+def alike(found: DataFrame, docs: DataFrame, size: int, similarity: float) -> DataFrame:
+    """The links whose texts have at least this Jaccard similarity of their sets of shingles."""
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            held = [np.unique(shingle_hashes(t, size)).tobytes() for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_pydict({"id": batch.column(0).cast(pa.int64()), "h": pa.array(held, pa.binary())})
+
+    def hold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+                both = len(np.intersect1d(x, y, True))
+                keep.append(both >= similarity * (len(x) + len(y) - both))
+            yield pa.RecordBatch.from_arrays([c.filter(pa.array(keep, pa.bool_())) for c in batch.columns[:2]], ["a", "b"])
+
+    nodes = found.select(F.col("a").alias("n")).union(found.select("b")).distinct()
+    texts = docs.select("doc_id", "text").join(nodes, F.col("doc_id") == F.col("n"), "left_semi").dropDuplicates(["doc_id"])
+    h = reliable(texts.mapInArrow(sets, "id long, h binary"))
+    one, two = h.select(F.col("id").alias("a"), F.col("h").alias("ha")), h.select(F.col("id").alias("b"), F.col("h").alias("hb"))
+    return found.join(one, "a").join(two, "b").select("a", "b", "ha", "hb").mapInArrow(hold, "a long, b long")
 
 
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -198,8 +232,10 @@ def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def near_groups(docs: DataFrame, similarity: float = 0.8, size: int = 5) -> DataFrame:
-    """(doc_id, component_id) by similarity of word shingles."""
-    return grouped(fingerprints(docs, size, WIDE, VIEWS), bits_at(similarity, 64 * WIDE)).select("doc_id", "component_id")
+    """(doc_id, component_id) by similarity of word shingles; every link is verified with the shingles themselves."""
+    prints = fingerprints(docs, size, WIDE, VIEWS)
+    found = grouped(prints, bits_at(similarity, 64 * WIDE), small=ALL_PAIRS, check=lambda links_: alike(links_, docs, size, similarity))
+    return found.select("doc_id", "component_id")
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
