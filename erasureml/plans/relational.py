@@ -8,7 +8,6 @@ from pyspark.sql.window import Window
 
 from erasureml.functions.transforms import dot, register, soft_threshold
 from erasureml.functions.uniform import uniform, uniform_sql
-from erasureml.operators import codes
 from erasureml.sources.fixtures import table
 from erasureml.streaming.rounds import shared
 
@@ -343,7 +342,12 @@ def bool_agg(spark, sf):
 
 # ---------------------------------------------------------------- windows
 
-W = Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
+def by_user():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 OVER = "OVER (PARTITION BY user_id ORDER BY ts, event_id"
 
 
@@ -353,7 +357,7 @@ def _events(spark, sf):
 
 @op("window_first_k", f"SELECT user_id, event_id FROM (SELECT *, row_number() {OVER}) AS r FROM events) WHERE r <= 3")
 def window_first_k(spark, sf):
-    return _events(spark, sf).withColumn("r", F.row_number().over(W)).where("r <= 3").select("user_id", "event_id")
+    return _events(spark, sf).withColumn("r", F.row_number().over(by_user())).where("r <= 3").select("user_id", "event_id")
 
 
 RANK = "OVER (PARTITION BY event_type ORDER BY value, event_id)"
@@ -367,18 +371,18 @@ def window_ranks(spark, sf):
 
 @op("window_running", f"SELECT event_id, round(sum(value) {OVER} ROWS UNBOUNDED PRECEDING), 5) AS clock, CAST(floor(avg(value) {OVER} ROWS UNBOUNDED PRECEDING) * 1000 + 1e-6) AS BIGINT) AS mean FROM events")
 def window_running(spark, sf):
-    w = W.rowsBetween(Window.unboundedPreceding, 0)
+    w = by_user().rowsBetween(Window.unboundedPreceding, 0)
     return _events(spark, sf).select("event_id", F.round(F.sum("value").over(w), 5).alias("clock"), F.floor(F.avg("value").over(w) * 1000 + 1e-6).alias("mean"))
 
 
 @op("window_lag_lead", f"SELECT event_id, lag(event_id) {OVER}) AS before, lead(event_id) {OVER}) AS after FROM events")
 def window_lag_lead(spark, sf):
-    return _events(spark, sf).select("event_id", F.lag("event_id").over(W).alias("before"), F.lead("event_id").over(W).alias("after"))
+    return _events(spark, sf).select("event_id", F.lag("event_id").over(by_user()).alias("before"), F.lead("event_id").over(by_user()).alias("after"))
 
 
 @op("window_moving", f"SELECT event_id, round(avg(value) {OVER} ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 5) AS smooth FROM events")
 def window_moving(spark, sf):
-    return _events(spark, sf).select("event_id", F.round(F.avg("value").over(W.rowsBetween(-4, 0)), 5).alias("smooth"))
+    return _events(spark, sf).select("event_id", F.round(F.avg("value").over(by_user().rowsBetween(-4, 0)), 5).alias("smooth"))
 
 
 @op("window_range", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS day FROM events")
@@ -389,7 +393,7 @@ def window_range(spark, sf):
 
 @op("window_values", f"SELECT event_id, first_value(value) {OVER}) AS f, nth_value(value, 3) {OVER}) AS n, last_value(CASE WHEN value > 60 THEN value END IGNORE NULLS) {OVER}) AS l FROM events")
 def window_values(spark, sf):
-    return _events(spark, sf).select("event_id", F.first("value").over(W).alias("f"), F.nth_value("value", 3).over(W).alias("n"), F.last(F.when(F.col("value") > 60, F.col("value")), ignorenulls=True).over(W).alias("l"))
+    return _events(spark, sf).select("event_id", F.first("value").over(by_user()).alias("f"), F.nth_value("value", 3).over(by_user()).alias("n"), F.last(F.when(F.col("value") > 60, F.col("value")), ignorenulls=True).over(by_user()).alias("l"))
 
 
 @op("window_total_less_own", "SELECT event_id, count(*) OVER (PARTITION BY user_id) - 1 AS others, round(sum(value) OVER (PARTITION BY user_id) - value, 4) + 0e0 AS rest FROM events")
@@ -400,7 +404,7 @@ def window_total_less_own(spark, sf):
 
 @op("window_sessions", f"SELECT user_id, count(*) AS sessions FROM (SELECT user_id, epoch_us(ts) - lag(epoch_us(ts)) {OVER}) AS gap FROM events) WHERE gap IS NULL OR gap > 7200000000 GROUP BY 1")
 def window_sessions(spark, sf):
-    gap = F.unix_micros(F.col("ts").cast("timestamp")) - F.lag(F.unix_micros(F.col("ts").cast("timestamp"))).over(W)
+    gap = F.unix_micros(F.col("ts").cast("timestamp")) - F.lag(F.unix_micros(F.col("ts").cast("timestamp"))).over(by_user())
     return _events(spark, sf).select("user_id", gap.alias("gap")).where("gap IS NULL OR gap > 7200000000").groupBy("user_id").agg(F.count("*").alias("sessions"))
 
 
@@ -540,5 +544,3 @@ def udtf_code_tables(spark, sf):
     register(spark)
     return spark.sql("SELECT 'steiner' AS code, count(*) AS n FROM steiner_rows(8) UNION ALL SELECT 'paley', count(*) FROM paley_rows(13) UNION ALL SELECT 'haar', count(*) FROM haar_rows(16)")
 
-
-assert codes
