@@ -31,6 +31,7 @@ LENGTH, GRAM = 200, 64
 WIDTH = LENGTH - GRAM + 1
 HOT = 256
 SEGMENT = 1 << 18
+FINER = 4  # hash ranges a shuffle partition: a range is sorted in memory, and small ones even out
 SORT_AT_ONCE = 1 << 19
 ROLL = Roller(50077)
 _PLACE = np.uint64((1 << 22) - 1)
@@ -283,7 +284,7 @@ def matched(docs: DataFrame, hot: int = HOT) -> DataFrame:
     """Blocks of docs with the runs of repeated windows."""
     blocks = text_blocks(docs)
     marked = attach(blocks, answers(blocks, ask_anchors, occurrences), "anchors")
-    found = reliable(each_block(marked, candidates(shuffle_parts(docs.sparkSession), hot), ROWS))
+    found = reliable(each_block(marked, candidates(FINER * shuffle_parts(docs.sparkSession), hot), ROWS))
     kind = "block_id long, load binary"
     runs = (
         found.where(F.col("kind") == SORT).groupBy("part").applyInPandas(sort_part, kind)
