@@ -17,4 +17,4 @@ QUERIES = {
     "op10_byte_bpe": bpe.op10_byte_bpe,
 }
 
-ORACLES: dict[str, str] = {"op8_decontamination": containment.ORACLE}
+ORACLES: dict[str, str] = {"op8_decontamination": containment.ORACLE, "op9_substring": substring.ORACLE}

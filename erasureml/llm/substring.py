@@ -135,3 +135,15 @@ def _texts(block: Block, last, name: str = "kept_sha256") -> Iterator[pd.DataFra
 def op9_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
     blocks = matched(read_table(spark, sf_dir, "documents"))
     return each_block(blocks, lambda b: _texts(b, lambda kept: hashlib.sha256(kept).hexdigest()), "doc_id long, n_words long, n_removed long, kept_sha256 string")
+
+
+ORACLE = r"""
+WITH w AS (SELECT doc_id, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents),
+     v AS (SELECT doc_id, i, array_to_string(ws[i:i + 12], ' ') AS k FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 11)) AS i FROM w)),
+     f AS (SELECT k, min(doc_id) AS first FROM v GROUP BY k),
+     c AS (SELECT DISTINCT v.doc_id, v.i + o.range AS i FROM v JOIN f ON v.k = f.k AND f.first < v.doc_id CROSS JOIN range(13) o),
+     p AS (SELECT doc_id, unnest(range(1, len(ws) + 1)) AS i, unnest(ws) AS word FROM w),
+     s AS (SELECT p.doc_id, string_agg(p.word, ' ' ORDER BY p.i) AS kept, count(*) AS n FROM p LEFT JOIN c ON p.doc_id = c.doc_id AND p.i = c.i WHERE c.i IS NULL GROUP BY p.doc_id)
+SELECT w.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(len(ws) - coalesce(s.n, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+FROM w LEFT JOIN s ON w.doc_id = s.doc_id
+"""
