@@ -2,7 +2,7 @@
 
 Grades 0 (clean), 1 (toxic) and 2 (severe) share one weight vector; ordered thresholds part them:
 P(grade > k) = logistic(w.x - theta_k).  The score is the expected grade.  Features are words and word beginnings,
-so that inflected forms are met, as log(1 + count).  The features are chosen and the model is fitted on a sample of
+so that inflected forms are met, as log(1 + count); those that are commoner in toxic texts are used.  The features are chosen and the model is fitted on a sample of
 labelled rows of at most `fit_rows` documents (smallest hash of doc_id first); the threshold that rejects is
 calibrated on a held-out fifth of them.
 
@@ -137,7 +137,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, features:
         return SeverityModel()
     counts = rows.mapInArrow(tally, "name string, n long, bad long").groupBy("name").agg(F.sum("n").alias("n"), F.sum("bad").alias("bad"))
     expected = F.col("n") * (bad / n)
-    chosen = counts.where("n >= 3").orderBy(F.desc(F.abs(F.col("bad") - expected) / F.sqrt(expected + 1)), "name").limit(features).collect()
+    chosen = counts.where((F.col("n") >= 3) & (F.col("bad") > expected)).orderBy(F.desc((F.col("bad") - expected) / F.sqrt(expected + 1)), "name").limit(features).collect()
     index = SeverityModel([r["name"] for r in chosen])
     indicative = {i for i, r in enumerate(chosen) if r["bad"] > 2 * r["n"] * bad / n}
 
@@ -161,7 +161,8 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, features:
     w, theta = fit_ordinal(x[~held], y[~held], int(y.max()) + 1 if y.max() > 1 else 3)
     model = SeverityModel(index.names, w, theta)
     check = held if (y[held] > 0).any() else np.ones(len(y), bool)
-    model.cut = best_cut(1 / (1 + np.exp(-np.clip(x[check] @ w - theta[0], -40, 40))), y[check] > 0)
+    cut = best_cut(1 / (1 + np.exp(-np.clip(x[check] @ w - theta[0], -40, 40))), y[check] > 0)
+    model.cut = max(cut, 1.05 * float(model.above("")[0]))  # a text without any feature is clean
     return model
 
 
