@@ -892,6 +892,30 @@ def adversary_never_replies(spark: SparkSession, sf: str) -> DataFrame:
     return stragglers.first_k(d, 14).groupBy(F.col("worker").cast("long").alias("worker")).agg(F.sum(F.col("active").cast("long")).alias("rounds"))
 
 
+@query("encoding_amortisation")
+def encoding_amortisation(spark: SparkSession, sf: str) -> DataFrame:
+    """Seconds to encode, kept, against seconds of a scan round on the result, by code."""
+    import time
+
+    df, rows = fixtures.dense_embeddings(spark, sf, 16), []
+    for name in ("uncoded", "hadamard", "steiner", "haar"):
+        code = codes.identity(64) if name == "uncoded" else codes.FAMILIES[name](64, 1)
+        began = time.time()
+        enc = saved(encode.encode_rows(df, code, MW))
+        encoded = time.time()
+        partials.ScanPartials(enc, MW, 16).gradients(np.zeros(16), np.ones(MW, bool))
+        rows.append((name, encoded - began, time.time() - encoded))
+    return spark.createDataFrame(rows, "code string, encode_seconds double, round_seconds double")
+
+
+@query("storage_modes", "SELECT s.range AS extra, CAST(n AS BIGINT) AS source_rows, CAST(n * 2 AS BIGINT) AS stored, CAST(CASE WHEN s.range = 0 THEN 8 ELSE 16 END AS BIGINT) AS workers, n * 2e0 / CASE WHEN s.range = 0 THEN 8 ELSE 16 END AS rows_a_worker FROM range(2) s CROSS JOIN (SELECT count(*) AS n FROM embeddings)")
+def storage_modes(spark: SparkSession, sf: str) -> DataFrame:
+    """Redundancy of two as more rows a worker, or as twice the workers with as many rows as before."""
+    n = fixtures.table(spark, sf, "embeddings").agg(F.count("*").alias("n"))
+    workers = F.when(F.col("id") == 0, 8).otherwise(16)
+    return spark.range(2).crossJoin(F.broadcast(n)).select(F.col("id").alias("extra"), F.col("n").alias("source_rows"), (F.col("n") * 2).alias("stored"), workers.cast("long").alias("workers"), (F.col("n") * 2.0 / workers).alias("rows_a_worker"))
+
+
 @query("data_spectrum")
 def data_spectrum(spark: SparkSession, sf: str) -> DataFrame:
     rows = [(p, *baselines.data_spectrum(fixtures.dense_embeddings(spark, sf, p), p).values()) for p in (4, 16, 64)]

@@ -49,3 +49,17 @@ def test_stream_takes_first_k_over_several_triggers(spark, tmp_path):
     per = {r["t"]: r["count"] for r in out.groupBy("t").count().collect()}
     whole = {r["t"]: min(4, r["count"]) for r in rounds.replies(spark.read.parquet(f"{tmp_path}/in"), 8).groupBy("t").count().collect()}
     assert per == whole
+
+
+def test_stream_goes_on_after_a_restart(spark, tmp_path):
+    """The second run finds its state and reads the new file only."""
+    events = spark.read.parquet(f"{AT}/events.parquet").orderBy("ts", "event_id").limit(200).toPandas()
+    schema = spark.read.parquet(f"{AT}/events.parquet").schema
+    for i in range(2):
+        spark.createDataFrame(events.iloc[100 * i : 100 * i + 100]).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+        stream = spark.readStream.schema(schema).parquet(f"{tmp_path}/in")
+        out = rounds.first_k(rounds.replies(stream, 8), 4).writeStream.option("checkpointLocation", f"{tmp_path}/state").trigger(availableNow=True)
+        out.format("parquet").option("path", f"{tmp_path}/out").start().awaitTermination()
+    got = {r["t"]: r["count"] for r in spark.read.parquet(f"{tmp_path}/out").groupBy("t").count().collect()}
+    whole = {r["t"]: min(4, r["count"]) for r in rounds.replies(spark.read.parquet(f"{tmp_path}/in"), 8).groupBy("t").count().collect()}
+    assert got == whole
