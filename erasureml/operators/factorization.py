@@ -7,6 +7,8 @@ rows are; larger ones go through coded quasi-Newton steps over m logical workers
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -41,16 +43,32 @@ def half_epoch(ratings: DataFrame, other: DataFrame, own: str, by: str, *, rank:
     """(own, f, bias) for every id with a rating, from the other side's factors."""
     joined = ratings.select(own, by, "rating").join(other.withColumnRenamed("bias", "o_bias").withColumnRenamed("f", "o_f"), by)
 
-    def solve(frame: pd.DataFrame) -> pd.DataFrame:
-        y = frame["rating"].to_numpy() - frame["o_bias"].to_numpy() - base
-        x = np.c_[stacked(frame["o_f"]), np.ones(len(frame))]
-        if len(frame) < threshold or scheme == "exact":
-            w = np.linalg.solve(x.T @ x + lam * np.eye(rank + 1), x.T @ y)
-        else:
-            w = coded_ridge(x, y, lam, scheme, m, k, rounds, seed, _bank(scheme))
-        return pd.DataFrame({own: frame[own][:1].to_list(), "f": [w[:-1]], "bias": [w[-1]]})
-
-    return joined.groupBy(own).applyInPandas(solve, f"{own} long, f array<double>, bias double")
+    def solve(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        if len(y) < threshold or scheme == "exact":
+            return np.linalg.solve(x.T @ x + lam * np.eye(rank + 1), x.T @ y)
+        return coded_ridge(x, y, lam, scheme, m, k, rounds, seed, _bank(scheme))
+
+    def whole(frame: pd.DataFrame, cuts: np.ndarray) -> pd.DataFrame:
+        """The groups between the cuts, solved; arrays are made once for all of them."""
+        x = np.c_[stacked(frame["o_f"]), np.ones(len(frame))] if len(frame) else np.zeros((0, rank + 1))
+        y, ids = frame["rating"].to_numpy() - frame["o_bias"].to_numpy() - base, frame[own].to_numpy()
+        w = [solve(x[i:j], y[i:j]) for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
+        return pd.DataFrame({own: ids[cuts[:-1]], "f": [v[:-1] for v in w], "bias": [v[-1] for v in w]})
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        rest: list[pd.DataFrame] = []  # of the group that the next batch may go on with
+        for frame in frames:
+            frame = pd.concat([*rest, frame], ignore_index=True)
+            ids = frame[own].to_numpy()
+            cuts = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]]))
+            if len(cuts) > 1:
+                yield whole(frame, cuts)
+            rest = [frame.iloc[cuts[-1] :]]
+        if rest:
+            yield whole(rest[0], np.array([0, len(rest[0])]))
+
+    # rows of an id side by side in one task, many ids a batch
+    return joined.repartition(own).sortWithinPartitions(own, by).select(own, "rating", "o_bias", "o_f").mapInPandas(run, f"{own} long, f array<double>, bias double")
 
 
 _BANKS: dict[str, CodeBank] = {}
