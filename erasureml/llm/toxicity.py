@@ -77,11 +77,11 @@ def fit_ordinal(x: np.ndarray, y: np.ndarray, grades: int, l2: float = 0.3, step
     for t in range(1, steps + 1):
         theta = np.cumsum(np.concatenate([free[:1], np.exp(free[1:])]))
         edges = np.concatenate([[-np.inf], theta, [np.inf]])
-        s = x @ w
+        s = (x @ w.astype(x.dtype)).astype(float)  # in the precision of x: no wider copy of it
         upper, lower = (1 / (1 + np.exp(-np.clip(edges[y + k] - s, -40, 40))) for k in (1, 0))
         d_upper, d_lower = upper * (1 - upper), lower * (1 - lower)
         like = np.maximum(upper - lower, 1e-12)
-        g_w = x.T @ ((d_upper - d_lower) / like) / n + l2 * w / n
+        g_w = (x.T @ ((d_upper - d_lower) / like).astype(x.dtype)).astype(float) / n + l2 * w / n
         g_theta = np.array([-(d_upper / like)[y == k].sum() + (d_lower / like)[y == k + 1].sum() for k in range(grades - 1)]) / n
         g_free = np.concatenate([[g_theta.sum()], np.exp(free[1:]) * np.cumsum(g_theta[::-1])[::-1][1:]])
         for k, g in enumerate((g_w, g_free)):
@@ -161,7 +161,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, features:
     w, theta = fit_ordinal(x[~held], y[~held], int(y.max()) + 1 if y.max() > 1 else 3)
     model = SeverityModel(index.names, w, theta)
     check = held if (y[held] > 0).any() else np.ones(len(y), bool)
-    cut = best_cut(1 / (1 + np.exp(-np.clip(x[check] @ w - theta[0], -40, 40))), y[check] > 0)
+    cut = best_cut(1 / (1 + np.exp(-np.clip(x[check] @ w.astype(x.dtype) - theta[0], -40, 40))), y[check] > 0)
     model.cut = max(cut, 1.05 * float(model.above("")[0]))  # a text without any feature is clean
     return model
 
