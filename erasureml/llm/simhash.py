@@ -14,7 +14,9 @@ star contractions, checkpointed every round.
 The pipeline's stage groups by similarity (Jaccard of 5-word shingles, 0.8) rather than by a radius: texts as alike
 as that can differ in more bits than covering tables allow.  There the fingerprint has 512 bits, whose distance
 estimates the similarity (links are then verified exactly), and beside the covering tables there are *thinned views*: the SimHash of the smallest few
-shingle hashes in each of 32 hash ranges, equal with high probability in at least one range.
+shingle hashes in each of 32 hash ranges, equal with high probability in at least one range.  A bucket of up to 32
+gives all its pairs; in a larger one the search itself compares the sets of shingles, so a member is only ever taken
+out by a link that holds, and every link of the bucket is either found or between members already connected.
 
 Null and empty texts have fingerprint 0. Rows with a null doc_id aren't linked (component null).
 """
@@ -35,7 +37,7 @@ from erasureml.llm.core import mix, few_rows, read_table, reliable
 
 RADIUS = 4
 SEED = 42
-BLOCK = 4096
+BLOCK, BLOCK_HASHES = 4096, 1 << 21
 VIEWS, VIEW_SIZE, WIDE, ALL_PAIRS = 32, 6, 8, 32
 _BITS = np.array([bin(i).count("1") for i in range(1 << 16)], np.uint8)
 
@@ -135,11 +137,25 @@ def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK, sm
     keys: (t, key, node). prints: (node, f). The wide fingerprints join only the buckets of two or more.
     """
     large = keys.groupBy("t", "key").agg(F.count("*").alias("n")).where(F.col("n") >= 2).withColumn("blocks", F.ceil(F.col("n") / block).cast("int"))
-    held = keys.join(large.drop("n"), ["t", "key"]).withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    dealt = bucket_blocks(keys.join(large.drop("n"), ["t", "key"])).join(prints, "node").select("node", "f", "bucket")
+
+    def found(frame: pd.DataFrame) -> list[tuple[int, int]]:
+        return bucket_links(np.stack(frame["f"].to_numpy()).astype(np.int64).view(np.uint64), frame["node"].to_numpy(np.int64), limit, small)
+
+    return by_bucket(dealt, found)
+
+
+def bucket_blocks(held: DataFrame) -> DataFrame:
+    """(t, key, node, blocks) -> (node, bucket): a bucket for every pair of blocks of a key."""
+    held = held.withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     pair = F.when(F.col("blocks") == 1, F.array(F.lit("0"))).otherwise(
         F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.concat(F.least(j, F.col("own")).cast("string"), F.lit("-"), F.greatest(j, F.col("own")).cast("string")))
     )
-    dealt = held.select("node", "t", "key", F.explode(pair).alias("pair")).select("node", F.xxhash64("t", "key", "pair").alias("bucket")).join(prints, "node").select("node", "f", "bucket")
+    return held.select("node", "t", "key", F.explode(pair).alias("pair")).select("node", F.xxhash64("t", "key", "pair").alias("bucket"))
+
+
+def by_bucket(dealt: DataFrame, links_of) -> DataFrame:
+    """Links (a, b) that links_of gives for the rows of every bucket of two or more."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         kept: pd.DataFrame | None = None
@@ -154,16 +170,68 @@ def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK, sm
 
     def found(frame: pd.DataFrame, lo: np.ndarray, hi: np.ndarray) -> pd.DataFrame:
         out: list[tuple[int, int]] = []
-        if len(frame):
-            node, f = frame["node"].to_numpy(np.int64), np.stack(frame["f"].to_numpy()).astype(np.int64).view(np.uint64)
-            for i, j in zip(lo.tolist(), hi.tolist(), strict=True):
-                if j - i > 1:
-                    out += bucket_links(f[i:j], node[i:j], limit, small)
+        for i, j in zip(lo.tolist(), hi.tolist(), strict=True):
+            if j - i > 1:
+                out += links_of(frame.iloc[i:j])
         return pd.DataFrame(out, columns=["a", "b"], dtype=np.int64)
 
     return dealt.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(run, "a long, b long").where("a != b").distinct()
 
 
+def forest(sets: list[np.ndarray], node: np.ndarray, similarity: float) -> list[tuple[int, int]]:
+    """A spanning forest of the rows whose sets have at least this Jaccard similarity, grown from the most typical row.
+
+    The shingles that rows share are found through an index of the rows not reached yet, made anew as they get fewer.
+    """
+    n, size = len(node), np.array([len(x) for x in sets])
+    _, col = np.unique(np.concatenate(sets), return_inverse=True)
+    at, width = np.concatenate([[0], np.cumsum(size)]), int(col.max(initial=-1)) + 1
+    left, out = np.ones(n, bool), []
+    typical = np.bincount(np.repeat(np.arange(n), size), np.bincount(col, minlength=width)[col], minlength=n)
+    order, indexed = np.lexsort((node, -typical)).tolist(), 0
+    for root in order:
+        if not left[root]:
+            continue
+        left[root], queue = False, [root]
+        while queue and left.any():
+            if (here := int(left.sum())) * 2 <= indexed or not indexed:
+                rows = np.flatnonzero(left)
+                cols = np.concatenate([col[at[i] : at[i + 1]] for i in rows])
+                owner = np.repeat(rows, size[rows])[np.argsort(cols, kind="stable")]
+                ends = np.cumsum(np.bincount(cols, minlength=width))
+                starts, indexed = np.concatenate([[0], ends[:-1]]), here
+            i = queue.pop()
+            own = col[at[i] : at[i + 1]]
+            lo, many = starts[own], ends[own] - starts[own]
+            hits = np.repeat(lo - np.cumsum(many) + many, many) + np.arange(int(many.sum()))
+            both = np.bincount(owner[hits], minlength=n)
+            new = np.flatnonzero(left & (both >= similarity * (size + size[i] - both)))
+            out += [(int(node[i]), int(node[j])) for j in new]
+            queue += new.tolist()
+            left[new] = False
+    return out
+
+
+def crowded(keys: DataFrame, docs: DataFrame, size: int, similarity: float, block: int = BLOCK, hashes: int = BLOCK_HASHES) -> DataFrame:
+    """Links (a, b) that connect what similar texts connect in every bucket of (t, key, node), of any number of members.
+
+    Buckets of the same members are searched once. One over `block` members or `hashes` shingles is split into pairs of
+    blocks, which together hold all its pairs.
+    """
+    keys = reliable(keys.select("t", "key", "node").distinct())
+    h = reliable(shingle_sets(docs, keys.select("node").distinct(), size))
+    sized = keys.join(h.select(F.col("id").alias("node"), (F.octet_length("h") / 8).cast("long").alias("w")), "node")
+    same = F.count("*").alias("n"), F.bit_xor(F.xxhash64("node")).alias("x"), F.bit_xor(F.xxhash64("node", F.lit(SEED))).alias("y"), F.sum("w").alias("w")
+    once = sized.groupBy("t", "key").agg(*same).groupBy("n", "x", "y", "w").agg(F.min(F.struct("t", "key")).alias("k"))
+    blocks = F.greatest(F.ceil(F.col("n") / block), F.ceil(F.col("w") / hashes)).cast("int")
+    dealt = bucket_blocks(keys.join(once.select("k.t", "k.key", blocks.alias("blocks")), ["t", "key"])).join(h.withColumnRenamed("id", "node"), "node")
+
+    def found(frame: pd.DataFrame) -> list[tuple[int, int]]:
+        return forest([np.frombuffer(x, np.uint64) for x in frame["h"]], frame["node"].to_numpy(np.int64), similarity)
+
+    return by_bucket(dealt.select("node", "h", "bucket"), found)
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, root): the smallest node that each node of an edge is connected with. Large-star and small-star rounds."""
     state = reliable(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct())
@@ -181,16 +249,16 @@ def components(edges: DataFrame) -> DataFrame:
         mark = now
 
 
-def grouped(prints: DataFrame, limit: int, radius: int = RADIUS, small: int = 2, check=None) -> DataFrame:
-    """prints: (doc_id, f, views) -> (doc_id, f, component_id). check: links (a, b) to those that hold."""
+def grouped(prints: DataFrame, limit: int, radius: int = RADIUS, find=None) -> DataFrame:
+    """prints: (doc_id, f, views) -> (doc_id, f, component_id). find: links of (keys, prints) other than by `limit`."""
     prints = reliable(prints)
     distinct = reliable(prints.where(F.col("doc_id").isNotNull()).groupBy("f", "views").agg(F.min("doc_id").alias("node")))
     masks = covering_masks(radius)
     tables = F.array(*(F.struct(F.lit(t).alias("t"), F.col("f")[0].bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))
     seen = F.transform("views", lambda k: F.struct(F.lit(-1).alias("t"), k.alias("key")))
     keys = distinct.select("node", F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "node")
-    found = links(keys, distinct.select("node", "f"), limit, small=small)
-    roots = components(check(reliable(found)) if check else found)
+    own = distinct.select("node", "f")
+    roots = components(find(keys, own) if find else links(keys, own, limit))
     named = distinct.join(roots, "node", "left").select("f", "views", F.coalesce("root", "node").alias("component_id"))
     linked = prints.join(named, ["f", "views"], "left")
     return linked.select("doc_id", "f", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
@@ -202,14 +270,21 @@ def bits_at(similarity: float, bits: int, margin: float = 2.5) -> int:
     return round(bits * share + margin * math.sqrt(bits * share * (1 - share)))
 
 
-def alike(found: DataFrame, docs: DataFrame, size: int, similarity: float) -> DataFrame:
-    """The links whose texts have at least this Jaccard similarity of their sets of shingles."""
+def shingle_sets(docs: DataFrame, nodes: DataFrame, size: int) -> DataFrame:
+    """(id, h): the sorted set of shingle hashes of the texts named by the only column of nodes."""
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             held = [np.unique(shingle_hashes(t, size)).tobytes() for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_pydict({"id": batch.column(0).cast(pa.int64()), "h": pa.array(held, pa.binary())})
 
+    texts = docs.select("doc_id", "text").join(nodes.toDF("n"), F.col("doc_id") == F.col("n"), "left_semi").dropDuplicates(["doc_id"])
+    return texts.mapInArrow(sets, "id long, h binary")
+
+
+def alike(found: DataFrame, docs: DataFrame, size: int, similarity: float) -> DataFrame:
+    """The links whose texts have at least this Jaccard similarity of their sets of shingles."""
+
     def hold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keep = []
@@ -220,8 +295,7 @@ def alike(found: DataFrame, docs: DataFrame, size: int, similarity: float) -> Da
             yield pa.RecordBatch.from_arrays([c.filter(pa.array(keep, pa.bool_())) for c in batch.columns[:2]], ["a", "b"])
 
     nodes = found.select(F.col("a").alias("n")).union(found.select("b")).distinct()
-    texts = docs.select("doc_id", "text").join(nodes, F.col("doc_id") == F.col("n"), "left_semi").dropDuplicates(["doc_id"])
-    h = reliable(texts.mapInArrow(sets, "id long, h binary"))
+    h = reliable(shingle_sets(docs, nodes, size))
     one, two = h.select(F.col("id").alias("a"), F.col("h").alias("ha")), h.select(F.col("id").alias("b"), F.col("h").alias("hb"))
     return found.join(one, "a").join(two, "b").select("a", "b", "ha", "hb").mapInArrow(hold, "a long, b long")
 
@@ -233,9 +307,15 @@ def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def near_groups(docs: DataFrame, similarity: float = 0.8, size: int = 5) -> DataFrame:
     """(doc_id, component_id) by similarity of word shingles; every link is verified with the shingles themselves."""
-    prints = fingerprints(docs, size, WIDE, VIEWS)
-    found = grouped(prints, bits_at(similarity, 64 * WIDE), small=ALL_PAIRS, check=lambda links_: alike(links_, docs, size, similarity))
-    return found.select("doc_id", "component_id")
+    limit = bits_at(similarity, 64 * WIDE)
+
+    def find(keys: DataFrame, prints: DataFrame) -> DataFrame:
+        n = keys.groupBy("t", "key").agg(F.count("*").alias("n")).where("n >= 2")
+        held = reliable(keys.join(n, ["t", "key"]))
+        few = links(held.where(F.col("n") <= ALL_PAIRS).drop("n"), prints, limit, small=ALL_PAIRS)
+        return alike(reliable(few), docs, size, similarity).union(crowded(held.where(F.col("n") > ALL_PAIRS), docs, size, similarity))
+
+    return grouped(fingerprints(docs, size, WIDE, VIEWS), limit, find=find).select("doc_id", "component_id")
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -93,3 +93,81 @@ def test_empty_and_null_ids(spark):
     assert simhash.near_groups(none).collect() == []
     some = spark.createDataFrame([(None, "a b c"), (3, "a b c"), (3, "a b c"), (4, None)], "doc_id long, text string")
     assert sorted((r.doc_id or -1, r.component_id) for r in simhash.near_groups(some).collect()) == [(-1, None), (3, 3), (3, 3), (4, 4)]
+
+
+def shingled(text, size=5):
+    w = text.split()
+    return {" ".join(w[k : k + size]) for k in range(max(1, len(w) - size + 1))}
+
+
+def jaccard_roots(rows, similarity=0.8):
+    """All pairs of (id, text): the smallest id that each one is connected with."""
+    sets, parent = {i: shingled(t) for i, t in rows}, {i: i for i, _ in rows}
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in itertools.combinations(sorted(sets), 2):
+        both = len(sets[a] & sets[b])
+        if both >= similarity * (len(sets[a]) + len(sets[b]) - both):
+            x, y = sorted((find(a), find(b)))
+            parent[y] = x
+    return {i: find(i) for i in sets}
+
+
+def crowd(copies, seed=3):
+    """A text and copies of it at 0.67 to 0.85, each with a twin that differs from it by a word."""
+    rng = random.Random(seed)
+    base = [f"b{i}" for i in range(300)]
+    rows = [" ".join(base)]
+    for k in range(copies // 2):
+        w = list(base)
+        for at in rng.sample(range(300), rng.randint(5, 11)):
+            w[at] = f"e{k}x{at}"
+        twin = list(w)
+        twin[rng.randrange(300)] = f"t{k}"
+        rows += [" ".join(w), " ".join(twin)]
+    return list(enumerate(rows))
+
+
+def cut_crowd(texts=20, copies=60):
+    """Copies of short texts with another last word, and two texts without the first 2 and 4 words: the second is alike to
+    the first (12 of 14 shingles) but to no copy (0.65 to 0.75), and all shingles of it are in a crowd."""
+    rows = []
+    for k in range(texts):
+        base = [f"c{k}w{i}" for i in range(20)]
+        rows += [" ".join(base), " ".join(base[2:]), " ".join(base[4:]), *(" ".join(base[:-1] + [f"e{i}"]) for i in range(copies))]
+    return list(enumerate(rows))
+
+
+def test_forest_against_all_pairs():
+    rows = crowd(300)
+    sets = [np.unique(simhash.shingle_hashes(t, 5)) for _, t in rows]
+    parent = {i: i for i, _ in rows}
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    got = simhash.forest(sets, np.arange(len(rows)), 0.8)
+    for a, b in got:
+        x, y = sorted((find(a), find(b)))
+        assert x != y
+        parent[y] = x
+    want = jaccard_roots(rows)
+    assert {i: find(i) for i in parent} == want and 20 < len(set(want.values())) < 140
+
+
+def test_crowded_group_against_all_pairs(spark):
+    rows = crowd(400)
+    rows += [(len(rows) + i, t) for i, t in cut_crowd()]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = jaccard_roots(rows)
+    assert {r.doc_id: r.component_id for r in simhash.near_groups(docs).collect()} == want
+    keys = spark.createDataFrame([(t, 0, i) for t in (0, 1) for i, _ in rows], "t int, key long, node long")
+    for block, hashes in ((4096, 1 << 21), (60, 1 << 21), (4096, 20000)):
+        roots = {r.node: r.root for r in simhash.components(simhash.crowded(keys, docs, 5, 0.8, block, hashes)).collect()}
+        assert all(roots.get(i, i) == want[i] for i in want)
