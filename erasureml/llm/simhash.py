@@ -12,10 +12,10 @@ over `block` members is split into pairs of blocks that go to different tasks.
 star contractions, checkpointed every round.
 
 The pipeline's stage groups by similarity (Jaccard of 5-word shingles, 0.8) rather than by a radius: texts as alike
-as that can differ in more bits than covering tables allow.  There the fingerprint has 512 bits, whose distance
-estimates the similarity (links are then verified exactly), and beside the covering tables there are *thinned views*: the SimHash of the smallest few
-shingle hashes in each of 32 hash ranges, equal with high probability in at least one range.  A bucket of up to 32
-gives all its pairs; in a larger one the search itself compares the sets of shingles, so a member is only ever taken
+as that can differ in more bits than covering tables allow.  There the fingerprint is of the set of shingles, without
+repeats, and beside the covering tables there are *thinned views*: the SimHash of the smallest few shingle hashes in
+each of 32 hash ranges, equal with high probability in at least one range.  These propose pairs; no distance of
+fingerprints decides, only the sets themselves.  A bucket of up to 32 gives all its pairs; in a larger one the search itself compares the sets of shingles, so a member is only ever taken
 out by a link that holds, and every link of the bucket is either found or between members already connected.
 
 Null and empty texts have fingerprint 0. Rows with a null doc_id aren't linked (component null).
@@ -38,7 +38,7 @@ from erasureml.llm.core import mix, few_rows, read_table, reliable
 RADIUS = 4
 SEED = 42
 BLOCK, BLOCK_HASHES = 4096, 1 << 21
-VIEWS, VIEW_SIZE, WIDE, ALL_PAIRS = 32, 6, 8, 32
+VIEWS, VIEW_SIZE, ALL_PAIRS = 32, 6, 32
 _BITS = np.array([bin(i).count("1") for i in range(1 << 16)], np.uint8)
 
 
@@ -75,15 +75,16 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def fingerprints(docs: DataFrame, size: int = 4, words: int = 1, views: int = 0) -> DataFrame:
-    """(doc_id, f: array of 64-bit words, views: array of (range, key))."""
+def fingerprints(docs: DataFrame, size: int = 4, views: int = 0) -> DataFrame:
+    """(doc_id, f, views). f: the SimHash; with views, that of the set of shingles and a digest of the set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             prints, seen = [], []
             for text in batch.column(1).to_pylist():
                 h = shingle_hashes(text, size)
-                prints.append([_signed(majority(h if k == 0 else mix(h ^ np.uint64(k * 0x9E3779B97F4A7C15 & (1 << 64) - 1)))) for k in range(words)])
+                h = np.unique(h) if views else h
+                prints.append([_signed(majority(h)), *([_signed(xxhash.xxh64_intdigest(h.tobytes(), SEED))] if views else [])])
                 seen.append(thinned(h, views) if views else [])
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column(0).cast(pa.int64()), "f": pa.array(prints, pa.list_(pa.int64())), "views": pa.array(seen, pa.list_(pa.int64()))})
 
@@ -104,17 +105,13 @@ def covering_masks(radius: int, bits: int = 64) -> list[int]:
     return [sum(1 << i for i in range(bits) if bin(vector[i] & v).count("1") % 2) for v in range(1, top + 1)]
 
 
-def bucket_links(f: np.ndarray, node: np.ndarray, limit: int, small: int = 2) -> list[tuple[int, int]]:
-    """Links of rows within `limit` bits: all of up to `small` rows, else a spanning forest.
+def bucket_links(f: np.ndarray, node: np.ndarray, limit: int) -> list[tuple[int, int]]:
+    """A spanning forest of the links of rows within `limit` bits.
 
     The forest grows from the rows nearest to the bitwise majority of the bucket, so that a text and its edited copies
     are linked through the text rather than from copy to copy.
     """
     n = len(node)
-    if n <= small:
-        a, b = np.triu_indices(n, 1)
-        near = popcount(f[a] ^ f[b]).sum(1) <= limit
-        return list(zip(node[a[near]].tolist(), node[b[near]].tolist(), strict=True))
     bits = np.unpackbits(f.view(np.uint8).reshape(n, -1), axis=1)
     off = (bits != (bits.sum(0, dtype=np.int64) * 2 > n)).sum(1)
     left, out = np.lexsort((node, off)), []
@@ -131,16 +128,16 @@ def bucket_links(f: np.ndarray, node: np.ndarray, limit: int, small: int = 2) ->
     return out
 
 
-def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK, small: int = 2) -> DataFrame:
+def links(keys: DataFrame, prints: DataFrame, limit: int, block: int = BLOCK) -> DataFrame:
     """Links (a, b) of nodes that share a key of a table and are within `limit` bits.
 
-    keys: (t, key, node). prints: (node, f). The wide fingerprints join only the buckets of two or more.
+    keys: (t, key, node). prints: (node, f). The fingerprints join only the buckets of two or more.
     """
     large = keys.groupBy("t", "key").agg(F.count("*").alias("n")).where(F.col("n") >= 2).withColumn("blocks", F.ceil(F.col("n") / block).cast("int"))
     dealt = bucket_blocks(keys.join(large.drop("n"), ["t", "key"])).join(prints, "node").select("node", "f", "bucket")
 
     def found(frame: pd.DataFrame) -> list[tuple[int, int]]:
-        return bucket_links(np.stack(frame["f"].to_numpy()).astype(np.int64).view(np.uint64), frame["node"].to_numpy(np.int64), limit, small)
+        return bucket_links(np.stack(frame["f"].to_numpy()).astype(np.int64).view(np.uint64), frame["node"].to_numpy(np.int64), limit)
 
     return by_bucket(dealt, found)
 
@@ -178,6 +175,12 @@ def by_bucket(dealt: DataFrame, links_of) -> DataFrame:
     return dealt.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(run, "a long, b long").where("a != b").distinct()
 
 
+def all_pairs(keys: DataFrame) -> DataFrame:
+    """(a, b), a < b: the pairs of nodes that share a key of a table; for buckets of few members."""
+    members = keys.groupBy("t", "key").agg(F.array_sort(F.collect_set("node")).alias("m")).select("m").distinct()
+    return members.select("m", F.explode("m").alias("a")).select("a", F.explode("m").alias("b")).where("a < b").distinct()
+
+
 def forest(sets: list[np.ndarray], node: np.ndarray, similarity: float) -> list[tuple[int, int]]:
     """A spanning forest of the rows whose sets have at least this Jaccard similarity, grown from the most typical row.
 
@@ -249,27 +252,20 @@ def components(edges: DataFrame) -> DataFrame:
         mark = now
 
 
-def grouped(prints: DataFrame, limit: int, radius: int = RADIUS, find=None) -> DataFrame:
-    """prints: (doc_id, f, views) -> (doc_id, f, component_id). find: links of (keys, prints) other than by `limit`."""
+def grouped(prints: DataFrame, limit: int = RADIUS, radius: int = RADIUS, find=None) -> DataFrame:
+    """prints: (doc_id, f, views) -> (doc_id, f, component_id). find: links of keys other than by `limit` bits."""
     prints = reliable(prints)
     distinct = reliable(prints.where(F.col("doc_id").isNotNull()).groupBy("f", "views").agg(F.min("doc_id").alias("node")))
     masks = covering_masks(radius)
     tables = F.array(*(F.struct(F.lit(t).alias("t"), F.col("f")[0].bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))
     seen = F.transform("views", lambda k: F.struct(F.lit(-1).alias("t"), k.alias("key")))
     keys = distinct.select("node", F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "node")
-    own = distinct.select("node", "f")
-    roots = components(find(keys, own) if find else links(keys, own, limit))
+    roots = components(find(keys) if find else links(keys, distinct.select("node", "f"), limit))
     named = distinct.join(roots, "node", "left").select("f", "views", F.coalesce("root", "node").alias("component_id"))
     linked = prints.join(named, ["f", "views"], "left")
     return linked.select("doc_id", "f", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-def bits_at(similarity: float, bits: int, margin: float = 2.5) -> int:
-    """SimHash bits that two sets of this Jaccard similarity differ in, `margin` standard deviations over the mean."""
-    share = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    return round(bits * share + margin * math.sqrt(bits * share * (1 - share)))
-
-
 def shingle_sets(docs: DataFrame, nodes: DataFrame, size: int) -> DataFrame:
     """(id, h): the sorted set of shingle hashes of the texts named by the only column of nodes."""
 
@@ -307,15 +303,14 @@ def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def near_groups(docs: DataFrame, similarity: float = 0.8, size: int = 5) -> DataFrame:
     """(doc_id, component_id) by similarity of word shingles; every link is verified with the shingles themselves."""
-    limit = bits_at(similarity, 64 * WIDE)
 
-    def find(keys: DataFrame, prints: DataFrame) -> DataFrame:
+    def find(keys: DataFrame) -> DataFrame:
         n = keys.groupBy("t", "key").agg(F.count("*").alias("n")).where("n >= 2")
         held = reliable(keys.join(n, ["t", "key"]))
-        few = links(held.where(F.col("n") <= ALL_PAIRS).drop("n"), prints, limit, small=ALL_PAIRS)
+        few = all_pairs(held.where(F.col("n") <= ALL_PAIRS))
         return alike(reliable(few), docs, size, similarity).union(crowded(held.where(F.col("n") > ALL_PAIRS), docs, size, similarity))
 
-    return grouped(fingerprints(docs, size, WIDE, VIEWS), limit, find=find).select("doc_id", "component_id")
+    return grouped(fingerprints(docs, size, VIEWS), find=find).select("doc_id", "component_id")
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -171,3 +171,18 @@ def test_crowded_group_against_all_pairs(spark):
     for block, hashes in ((4096, 1 << 21), (60, 1 << 21), (4096, 20000)):
         roots = {r.node: r.root for r in simhash.components(simhash.crowded(keys, docs, 5, 0.8, block, hashes)).collect()}
         assert all(roots.get(i, i) == want[i] for i in want)
+
+
+def test_repeats_and_short_texts_against_all_pairs(spark):
+    """Sets of shingles decide: how often a line is repeated doesn't count, and short texts differ in many bits."""
+    rng, rows = random.Random(4), []
+    for k in range(30):
+        line, text = (" ".join(f"r{k}x{rng.randrange(10**6)}" for _ in range(n)) for n in (20, 200))
+        rows += [f"{text} {line}", " ".join([text, *[line] * 10])]
+    for k in range(100):
+        w = [f"s{k}x{i}" for i in range(9)]
+        rows += [" ".join(w), " ".join(w[:8])]
+    rows = list(enumerate(rows))
+    got = {r.doc_id: r.component_id for r in simhash.near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    want = jaccard_roots(rows)
+    assert got == want and all(want[i + 1] == i for i in range(0, len(rows), 2))
