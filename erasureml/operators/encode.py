@@ -29,12 +29,17 @@ def encode_rows(df: DataFrame, code: Code, m: int, *, mode: str = "grouped", how
     grouped: rows are taken in groups of code.n by number; every group is encoded by itself (a fast transform where the
         code has one) and its encoded rows are dealt over all workers in the same pattern.  S is block-diagonal, so
         its spectrum over any set of workers is that of one group.  One shuffle by group; memory of one group a task.
-    join: one group, as a join with the coordinates of S and a sum: for small codes and as a check.
+    join: the same groups, as a join with the coordinates of S and a sum: for small codes and as a check.
     """
     if mode == "join":
         coords = code.to_df(df.sparkSession, m, how, seed)
-        parts = coords.join(df.select("row_id", F.posexplode(F.concat("x", F.array("y"))).alias("pos", "v")), F.col("src_row") == F.col("row_id"))
-        sums = parts.groupBy("worker", "enc_row", "pos").agg(F.sum(F.col("coef") * F.col("v")).alias("v"))
+        rows = df.select((F.col("row_id") % code.n).alias("src_row"), F.floor(F.col("row_id") / code.n).alias("group"), F.posexplode(F.concat("x", F.array("y"))).alias("pos", "v"))
+        coords = coords.withColumnRenamed("enc_row", "code_row")
+        enc_row = F.col("group") * code.N + F.col("code_row")
+        terms = coords.join(rows, "src_row").select("worker", enc_row.alias("enc_row"), "pos", (F.col("coef") * F.col("v")).alias("v"))
+        # encoded rows of an incomplete group that no row of it touches
+        zeros = coords.select("worker", "code_row").distinct().crossJoin(rows.select("group", "pos").distinct()).select("worker", enc_row.alias("enc_row"), "pos", F.lit(0.0).alias("v"))
+        sums = terms.union(zeros).groupBy("worker", "enc_row", "pos").agg(F.sum("v").alias("v"))
         whole = sums.groupBy("worker", "enc_row").agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "v"))), lambda s: s["v"]).alias("all"))
         return whole.select("worker", "enc_row", F.slice("all", F.lit(1), F.size("all") - 1).alias("x"), F.element_at("all", -1).alias("y"))
     if mode != "grouped":

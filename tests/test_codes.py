@@ -96,3 +96,19 @@ def test_coordinates_made_in_tasks(spark):
     for r in code.to_df(spark, 4).collect():
         got[r.enc_row, r.src_row] = r.coef
     assert np.allclose(got, code.matrix())
+
+
+def test_both_encodings_agree_in_every_group(spark):
+    """Three groups of 28, the last of four rows; encoding by join gave the first group only."""
+    from erasureml.operators import encode
+
+    rng, code = np.random.default_rng(0), codes.hadamard_etf(3)
+    n = 2 * code.n + 4
+    x = rng.normal(size=(n, 3))
+    df = spark.createDataFrame([(i, x[i, :2].tolist(), float(x[i, 2])) for i in range(n)], "row_id long, x array<double>, y double")
+    got = []
+    for mode in ("join", "grouped"):
+        rows = sorted(encode.encode_rows(df, code, 8, mode=mode).collect(), key=lambda r: r.enc_row)
+        assert [r.enc_row for r in rows] == list(range(3 * code.N))
+        got.append(np.array([[r.worker, *r.x, r.y] for r in rows]))
+    assert np.allclose(got[0], got[1])
