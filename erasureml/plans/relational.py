@@ -506,9 +506,15 @@ def casts(spark, sf):
 
 @op("standardise", "SELECT l_orderkey, l_partkey, l_linenumber, round((l_quantity - (SELECT avg(l_quantity) FROM lineitem)) / (SELECT stddev_samp(l_quantity) FROM lineitem), 6) + 0e0 AS z FROM lineitem WHERE l_orderkey < 500")
 def standardise(spark, sf):
+    """Orders under 500 only, as in its SQL; `standardise_all` gives every row."""
+    return standardise_all(spark, sf).where("l_orderkey < 500")
+
+
+@op("standardise_all", "SELECT l_orderkey, l_partkey, l_linenumber, round((l_quantity - (SELECT avg(l_quantity) FROM lineitem)) / (SELECT stddev_samp(l_quantity) FROM lineitem), 6) + 0e0 AS z FROM lineitem")
+def standardise_all(spark, sf):
     (li,) = t(spark, sf, "lineitem")
     s = li.agg(F.avg("l_quantity").alias("mean"), F.stddev_samp("l_quantity").alias("sd"))
-    return li.where("l_orderkey < 500").crossJoin(F.broadcast(s)).select("l_orderkey", "l_partkey", "l_linenumber", (F.round((F.col("l_quantity") - F.col("mean")) / F.col("sd"), 6) + 0.0).alias("z"))
+    return li.crossJoin(F.broadcast(s)).select("l_orderkey", "l_partkey", "l_linenumber", (F.round((F.col("l_quantity") - F.col("mean")) / F.col("sd"), 6) + 0.0).alias("z"))
 
 
 @op("one_hot", "SELECT p_type, CAST(sum(CASE WHEN p_brand = 'Brand#11' THEN 1 ELSE 0 END) AS BIGINT) AS b11, CAST(sum(CASE WHEN p_size > 25 THEN 1 ELSE 0 END) AS BIGINT) AS large FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1")

@@ -63,3 +63,7 @@ def test_stream_goes_on_after_a_restart(spark, tmp_path):
     got = {r["t"]: r["count"] for r in spark.read.parquet(f"{tmp_path}/out").groupBy("t").count().collect()}
     whole = {r["t"]: min(4, r["count"]) for r in rounds.replies(spark.read.parquet(f"{tmp_path}/in"), 8).groupBy("t").count().collect()}
     assert got == whole
+
+
+def test_standardise_all_gives_every_row(spark):
+    assert catalog.QUERIES["op_standardise_all"](spark, AT).count() == spark.read.parquet(f"{AT}/lineitem.parquet").count()
