@@ -61,10 +61,16 @@ def replica_dedupe(spark, sf):
 
 @stream("request_reply", f"WITH {_R} SELECT a.event_id AS q_id, b.event_id AS event_id FROM r a JOIN r b ON a.worker = b.worker AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_id % 10 = 0")
 def request_reply(spark, sf):
+    """Every tenth event asks, as in its SQL; in `request_reply_all` all do."""
     asked = _replies(spark, sf).where("event_id % 10 = 0")
     return rounds.finished(rounds.answered(asked, _replies(spark, sf))).select("q_id", "event_id")
 
 
+@stream("request_reply_all", f"WITH {_R} SELECT a.event_id AS q_id, b.event_id AS event_id FROM r a JOIN r b ON a.worker = b.worker AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")
+def request_reply_all(spark, sf):
+    return rounds.finished(rounds.answered(_replies(spark, sf), _replies(spark, sf))).select("q_id", "event_id")
+
+
 @stream("enriched", f"SELECT s_name AS name, count(*) AS n FROM events JOIN supplier ON user_id % {M} = s_suppkey GROUP BY 1")
 def enriched(spark, sf):
     s = table(spark, sf, "supplier").select(F.col("s_suppkey").cast("int").alias("worker"), F.col("s_name").alias("name"))
