@@ -7,11 +7,14 @@ before they are read as UTF-8, so characters split over tokens come out whole, a
 token that completes it.  Bytes that aren't UTF-8 become U+FFFD in text; `decode_bytes` keeps them.
 
 Texts over `cut` characters are encoded in parts that end before white space following another character, where the
-pattern of the vocabulary always parts words, so memory is bounded.  Null and empty texts have no tokens.
+pattern of the vocabulary always parts words, so memory is bounded.  Null and empty texts have no tokens.  Rows keep
+their doc_id as it is: null ones and repeated ones are rows of their own.  Only doc_id and text are read and no other
+column is returned, so none can clash.  An empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import base64
 import codecs
 import hashlib
 import json
@@ -40,11 +43,12 @@ def byte_characters() -> dict[int, str]:
 
 
 @lru_cache(maxsize=4)
-def tokenizer(path: str):
+def tokenizer(path: str, plain: bool = True):
+    """plain: the strings of special tokens in a text are ordinary text."""
     from tokenizers import Tokenizer
 
     found = Tokenizer.from_file(path)
-    found.encode_special_tokens = True  # their strings in a text are ordinary text
+    found.encode_special_tokens = plain
     return found
 
 
@@ -60,6 +64,19 @@ def byte_table(path: str) -> tuple[bytes, ...]:
     return tuple(table)
 
 
+def check_ranks(path: str, ranks: str) -> None:
+    """Raise unless the ranks (base64 bytes and a number a line) are the ids of the vocabulary at `path`, and each of its
+    merges gives the next rank."""
+    with open(ranks, "rb") as f:
+        wanted = {int(n): base64.b64decode(token) for token, n in map(bytes.split, f)}
+    table = byte_table(path)
+    with open(path, encoding="utf-8") as f:
+        model = json.load(f)["model"]
+    merged = [model["vocab"]["".join(m if isinstance(m, list) else m.split(" "))] for m in model["merges"]]
+    if any(n >= len(table) or table[n] != token for n, token in wanted.items()) or merged != list(range(256, len(wanted))):
+        raise ValueError(f"{path} doesn't hold the ranks of {ranks}")
+
+
 def parts(text: str, cut: int = CUT) -> list[str]:
     """The text in parts of about `cut` characters that can be encoded one by one."""
     out, at = [], 0
@@ -223,7 +240,14 @@ def default_vocabulary() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+def default_ranks() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path("byte_bpe_50k.tiktoken")
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    check_ranks(default_vocabulary(), default_ranks())
     return round_trip(read_table(spark, sf_dir, "documents"), default_vocabulary())
 
 

@@ -8,6 +8,9 @@ block sends a hash once, a key that a third of all rows hold costs one entry a b
 
 from __future__ import annotations
 
+import atexit
+import hashlib
+import shutil
 import tempfile
 from collections.abc import Callable, Iterator
 
@@ -49,16 +52,33 @@ def shuffle_parts(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The checkpoint folder that the session names.  Without one, a temporary folder if Spark runs in one JVM; on a
+    cluster that would be a folder of the driver's own, so there it is an error."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        sc.setCheckpointDir(named or _own_folder())
+    return sc.getCheckpointDir()
+
+
+def _own_folder() -> str:
+    """Of this process; it goes when the process ends."""
+    path = tempfile.mkdtemp(prefix="ckpt")
+    atexit.register(shutil.rmtree, path, True)
+    return path
+
+
 def reliable(df: DataFrame, dealt: bool = False) -> DataFrame:
-    """Materialise in the checkpoint folder that the session names, so that a lost executor costs nothing twice.
+    """Materialise in the shared checkpoint folder, so that a lost executor costs nothing twice.
 
     dealt: keep how the result is dealt, so that joins on the same key don't move it again. An adaptive plan doesn't
     tell, so this one is planned without.
     """
     conf, name = df.sparkSession.conf, "spark.sql.adaptive.enabled"
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
+    shared_folder(df.sparkSession)
     if not dealt:
         return df.checkpoint(eager=True)
     before = conf.get(name)
@@ -207,7 +227,11 @@ def mix(z: np.ndarray) -> np.ndarray:
 
 
 class Roller:
-    """Hashes of byte ranges from prefix sums of randomised byte values times inverse powers of an odd base (mod 2^64)."""
+    """Values of byte ranges from prefix sums of randomised byte values times inverse powers of an odd base (mod 2^64).
+
+    Cheap at every position, but structured texts can share a value: for proposing places to look at, never for
+    identity. `range_hash` is for that.
+    """
 
     def __init__(self, seed: int) -> None:
         self.table = _stream(seed, 256) | np.uint64(1)
@@ -233,7 +257,46 @@ class Roller:
         return mix((prefix[hi] - prefix[lo]) * self._up[lo])
 
 
-WORDS = Roller(20011)
+LANE_BYTES = 64
+_LOW = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
+_KEYS = _stream(20011, 6)
+
+
+def lanes_of(data: np.ndarray) -> np.ndarray:
+    """The eight bytes from every place on, as one little-endian word; zero beyond the end."""
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    return np.ndarray(len(data) + 1, "<u8", padded, strides=(1,))
+
+
+def range_hash(data: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two independent 64-bit hashes of the bytes in every [lo, hi): 128 bits that identify a string.
+
+    Eight bytes at a time go into each state, which is mixed by a permutation of all its bits before the next; ranges
+    over LANE_BYTES take a keyed BLAKE2b digest.  For one length of up to eight bytes the first hash can't collide at all.
+    """
+    n = hi - lo
+    lanes = lanes_of(data)
+    with np.errstate(over="ignore"):
+        one, two = mix(n.astype(np.uint64) * _KEYS[0] + _KEYS[1]), mix(n.astype(np.uint64) * _KEYS[2] + _KEYS[3])
+        short = n <= LANE_BYTES
+        live, at, left = np.flatnonzero(short & (n > 0)), None, None
+        for k in range(0, LANE_BYTES, 8):
+            live = live[n[live] > k] if k else live
+            if not len(live):
+                break
+            at, left = lo[live] + k, np.minimum(n[live] - k, 8)
+            v = lanes[at] & _LOW[left]
+            one[live] = mix(one[live] ^ v)
+            two[live] = mix((two[live] + v) * (_KEYS[4] | np.uint64(1)) ^ _KEYS[5])
+    long = np.flatnonzero(~short)
+    if len(long):
+        body = data.tobytes()
+        got = b"".join([hashlib.blake2b(body[i:j], digest_size=16, key=b"range").digest() for i, j in zip(lo[long].tolist(), hi[long].tolist(), strict=True)])
+        pair = np.frombuffer(got, np.uint64).reshape(-1, 2)
+        one[long], two[long] = pair[:, 0], pair[:, 1]
+    return one, two
+
+
 #: Bytes between words: space and 9 to 13.
 SEPARATORS = np.zeros(256, bool)
 SEPARATORS[[32, 9, 10, 11, 12, 13]] = True
@@ -242,7 +305,8 @@ LOWER[65:91] += 32
 
 
 class Words:
-    """The words of documents i..j of a block: `hash`, byte range [`lo`, `hi`) in the chunk, and `ends` by document."""
+    """The words of documents i..j of a block: `hash` and `check` (128 bits that identify a word together), byte range
+    [`lo`, `hi`) in the chunk, and `ends` by document."""
 
     def __init__(self, block: Texts, i: int, j: int, lower: bool = False, separators: np.ndarray = SEPARATORS) -> None:
         first = int(block.starts[i])
@@ -254,20 +318,20 @@ class Words:
         opens = ~gap & (edge[:-1] | np.concatenate([[True], gap[:-1]]))
         closes = ~gap & (edge[1:] | np.concatenate([gap[1:], [True]]))
         self.lo, self.hi = np.flatnonzero(opens), np.flatnonzero(closes) + 1
-        self.hash = WORDS.ranges(WORDS.prefix(data), self.lo, self.hi)
+        self.hash, self.check = range_hash(data, self.lo, self.hi)
         self.ends = np.searchsorted(self.lo, block.starts[i + 1 : j + 1] - first)
         self.counts = np.diff(self.ends, prepend=0)
         self.raw = raw
 
 
-def ngram_hash(words: np.ndarray, n: int, seed: int = 0) -> np.ndarray:
-    """Hash of every n consecutive word hashes; positions near the end that lack n words are left out."""
+def ngram_hash(words: np.ndarray, n: int, seed: int = 0, at: np.ndarray | None = None) -> np.ndarray:
+    """Hash of every n consecutive word hashes (or of those from `at` on); positions that lack n words are left out."""
     m = max(0, len(words) - n + 1)
     coef = _stream(9176 + 131 * n + seed, n) | np.uint64(1)
-    out = np.zeros(m, np.uint64)
+    out = np.zeros(m if at is None else len(at), np.uint64)
     with np.errstate(over="ignore"):
         for k in range(n):
-            out += mix(words[k : k + m] ^ coef[k]) * coef[k]
+            out += mix((words[k : k + m] if at is None else words[at + k]) ^ coef[k]) * coef[k]
     return mix(out)
 
 
@@ -285,11 +349,22 @@ def complete(ends: np.ndarray, n: int, total: int) -> np.ndarray:
 # ---------------------------------------------------------------- lookup
 
 
-def distinct(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sorted distinct hashes, an order that sorts (equal ones in any order), and where each run starts."""
+def distinct(hashes: np.ndarray, check: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted distinct hashes, an order that sorts (equal ones in any order), and where each run starts.
+
+    check: the rest of a wide hash; entries are equal if both are, and one hash may then start several runs.
+    """
     order = np.argsort(hashes)
     h = hashes[order]
-    at = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]])) if len(h) else np.zeros(0, np.int64)
+    new = np.concatenate([[True], h[1:] != h[:-1]]) if len(h) else np.zeros(0, bool)
+    if check is not None and len(h):
+        c = check[order]
+        apart = np.concatenate([[True], c[1:] != c[:-1]])
+        if (apart & ~new).any():  # some hash stands for two strings
+            order = np.lexsort((check, hashes))
+            h, c = hashes[order], check[order]
+            new = np.concatenate([[True], (h[1:] != h[:-1]) | (c[1:] != c[:-1])])
+    at = np.flatnonzero(new)
     return h[at], order, at
 
 
@@ -319,13 +394,14 @@ def each_block(df: DataFrame, work: Callable[[Block], Iterator[pd.DataFrame]], s
 TALLY = -1
 
 
-def answers(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, list[np.ndarray]]], merge: Callable, tally: Callable | None = None) -> DataFrame:
+def answers(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, list[np.ndarray]]], merge: Callable, tally: Callable | None = None, wide: bool = False) -> DataFrame:
     """The corpus-wide answer for each distinct hash of every block: (block_id, answers), kept reliably.
 
     question(block) gives sorted distinct hashes and value arrays of the same length.  merge(values, at) gets the
     values of all blocks for one hash range, sorted by hash, and where the runs of equal hashes start; it returns
     arrays with an entry for every value (see `spread`).  `attach` adds the answers to the blocks, `answer_of` reads
     them.  tally(values, at) may give integers to be summed over all hash ranges; read them with `tally_of`.
+    wide: the first of the question's arrays is the rest of the hash (see `distinct`) and isn't handed to merge.
     """
     parts = shuffle_parts(blocks.sparkSession)
 
@@ -344,8 +420,8 @@ def answers(blocks: DataFrame, question: Callable[[Block], tuple[np.ndarray, lis
     def reduce(frame: pd.DataFrame) -> pd.DataFrame:
         got = [unpack(x) for x in frame["load"]]
         hashes = np.concatenate([g[0] for g in got]).view(np.uint64)
-        _, order, at = distinct(hashes)
-        values = [np.concatenate(v)[order] for v in zip(*(g[1:] for g in got), strict=True)]
+        _, order, at = distinct(hashes, np.concatenate([g[1] for g in got]) if wide else None)
+        values = [np.concatenate(v)[order] for v in zip(*(g[1 + wide :] for g in got), strict=True)]
         cuts = np.cumsum([len(g[0]) for g in got])[:-1]
         split = []
         for answer in merge(values, at):

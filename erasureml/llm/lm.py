@@ -11,7 +11,10 @@ only, for each bucket, how often which pair of ratios to the uniform estimate oc
 octave, whose size doesn't depend on the corpus.  Scores use all training counts, exactly.
 
 The end stands as the context of a document's first word.  Counts of all n-grams of a block are asked from the
-corpus in one go (core.answers).  Null and empty texts are the end only; a null doc_id counts as training.
+corpus in one go (core.answers).  A word is identified by 96 bits of two independent hashes; a bigram by 64 bits of
+its words' hashes, so of 10^12 different bigrams some 30,000 would share counts, which moves only those bigrams' share in
+`score`.  Null and empty texts are the end only; a null doc_id counts as training.  Repeated rows are documents of their
+own, each counted and scored.  Only doc_id and text are read; no other column is returned.
 """
 
 from __future__ import annotations
@@ -41,23 +44,25 @@ class Scan:
     """All tokens of a block with ends, their contexts and rows."""
 
     def __init__(self, block: Block) -> None:
-        hashes, counts = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+        hashes, checks, counts = [np.zeros(0, np.uint64)], [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
         for i, j in block.chunks():
             words = Words(block, i, j, lower=True)
-            hashes.append(words.hash), counts.append(words.counts)
+            hashes.append(words.hash), checks.append(words.check >> np.uint64(32)), counts.append(words.counts)
         counts = np.concatenate(counts)
         self.word = np.insert(np.concatenate(hashes), np.cumsum(counts), END)
+        self.check = np.insert(np.concatenate(checks), np.cumsum(counts), END)
         self.counts = counts + 1
         self.row = np.repeat(np.arange(len(self.counts)), self.counts)
         self.context = np.concatenate([[END], self.word[:-1]]) if len(self.word) else self.word
         self.fold = fold_of(block.doc_ids)
-        self.pair = mix(self.word + mix(self.context) * np.uint64(3))
+        with np.errstate(over="ignore"):
+            self.pair = mix(self.word + mix(self.context ^ END) * np.uint64(0xD6E8FEB86659FD93))
 
-    def asks(self, hashes: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
-        keys, order, at = distinct(hashes)
+    def asks(self, hashes: np.ndarray, check: np.ndarray | None = None) -> tuple[np.ndarray, list[np.ndarray]]:
+        keys, order, at = distinct(hashes, check)
         fold = self.fold[self.row][order]
         sums = [np.add.reduceat((fold != HELD_OUT).astype(np.int64), at), np.add.reduceat((fold == FOLD).astype(np.int64), at)] if len(at) else [np.zeros(0, np.int64)] * 2
-        return keys, sums
+        return keys, sums if check is None else [check[order[at]], *sums]
 
 
 def totals(values: list[np.ndarray], at: np.ndarray) -> list[np.ndarray]:
@@ -76,7 +81,7 @@ class Counts:
 
     def __init__(self, block: Block) -> None:
         self.scan = scan = Scan(block)
-        _, order, at = distinct(scan.word)
+        _, order, at = distinct(scan.word, scan.check)
         self.of_word = run_of(order, at)
         # the context is the word before; the first one's is the end, as which the block ends
         context = np.concatenate([self.of_word[-1:], self.of_word[:-1]])
@@ -158,7 +163,7 @@ def scores(types: int, tokens: int, weights: np.ndarray):
 
 def scored(docs: DataFrame) -> DataFrame:
     blocks = text_blocks(docs)
-    one = answers(blocks, lambda b: (s := Scan(b)).asks(s.word), totals, tally)
+    one = answers(blocks, lambda b: (s := Scan(b)).asks(s.word, s.check), totals, tally, wide=True)
     two = answers(blocks, lambda b: (s := Scan(b)).asks(s.pair), totals)
     types, tokens, fold = tally_of(one, 3)
     counted = attach(attach(blocks, one, "one"), two, "two")

@@ -4,14 +4,16 @@ A document is the multiset of its paragraphs (lines that aren't empty) and its l
 wide vector; the fingerprint is the sum of the vectors, each lane modulo a power of two.  So the order of
 paragraphs doesn't matter, and inserting or deleting one adds or subtracts its vector (`add`, `subtract`).
 
-A vector has `STRONG` lanes modulo 2^64, hashed from the whole paragraph, for equality, and LEVELS x LANES lanes
-modulo 2^8, to which the paragraph's runs of three words add (the words, if it has fewer than three), for likeness.
-Level l takes only hashes that begin with 2 l zero bits, a quarter of those of the level before, so whatever a
-document's length, some level has few enough entries that most lanes hold one.  The likeness of two fingerprints is the
-share of equal lanes among those used by either, at the first level that is at most `FULL` used; equal fingerprints
-have likeness 1.
-
-Null and empty texts are the empty multiset (zero), alike only to each other.
+A vector has `STRONG` lanes modulo 2^64, the words of a keyed 256-bit BLAKE2b digest of the whole paragraph, for
+equality, and LEVELS x LANES lanes modulo 2^8, to which the paragraph's runs of three words add (the words, if it has
+fewer than three), for likeness.  Level l takes only hashes that begin with 2 l zero bits, a quarter of those of the level
+before; the last one is sparse for texts of some 2 GB, more than a row can hold, so whatever a document's length, some
+level has few enough entries that most lanes hold one.  The likeness of two fingerprints is the share of equal lanes
+among those used by either, at the first level that is at most `FULL` used; equal fingerprints have likeness 1.
+
+Null and empty texts are the empty multiset (zero), alike only to each other.  Of rows with equal doc_ids the next one in
+order of text counts as the next document; exact repeats are rows of their own.  Only doc_id and text are read, so
+no other column can clash.  An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -25,13 +27,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erasureml.llm.bpe import slices
-from erasureml.llm.core import NO_ID, Roller, Texts, Words, complete, mix, ngram_hash, few_rows, read_table, shuffle_parts
+from erasureml.llm.core import NO_ID, Texts, Words, complete, mix, ngram_hash, few_rows, read_table, shuffle_parts
 
-STRONG, LEVELS, LANES, RUN = 4, 8, 64, 3
+STRONG, LEVELS, LANES, RUN = 4, 12, 64, 3
 FULL = 0.75
 WIDTH = 8 * STRONG + LEVELS * LANES
-LINES = Roller(88001)
-_SALT = mix(np.arange(1, STRONG + 2, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+_SALT = mix(np.arange(1, 2, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+
+
+def wide(paragraph: bytes) -> bytes:
+    return hashlib.blake2b(paragraph, digest_size=8 * STRONG, key=b"paragraph").digest()
+
+
+_END = np.frombuffer(wide(b"\n"), np.uint64)  # no paragraph holds a line end
 
 
 def vectors(texts: list[str | None]) -> np.ndarray:
@@ -45,10 +53,13 @@ def vectors(texts: list[str | None]) -> np.ndarray:
     lo, hi = cuts[:-1], cuts[1:]
     doc = np.searchsorted(whole.starts, lo, "right") - 1
     ended = data[hi - 1] == 10
-    h = LINES.ranges(LINES.prefix(data), lo, hi - ended)
+    said = np.flatnonzero(hi - ended > lo)
+    body = whole.body
+    digests = np.frombuffer(b"".join([wide(body[i:j]) for i, j in zip(lo[said].tolist(), (hi - ended)[said].tolist(), strict=True)]), np.uint64).reshape(-1, STRONG)
     strong = np.zeros((n, STRONG), np.uint64)
     for k in range(STRONG):
-        value = np.where(hi - ended > lo, mix(h ^ _SALT[k]), np.uint64(0)) + np.where(ended, _SALT[k], np.uint64(0))
+        value = np.where(ended, _END[k], np.uint64(0))
+        value[said] += digests[:, k]
         np.add.at(strong[:, k], doc, value)
     words = Words(lines, 0, len(lo))
     line = np.repeat(np.arange(len(lo)), words.counts)
@@ -84,7 +95,7 @@ def likeness(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     x, y = (v[:, 8 * STRONG :].reshape(-1, LEVELS, LANES) for v in (a, b))
     used = ((x > 0) | (y > 0)).sum(2)
     fits = (used <= FULL * LANES) & (used > 0)
-    level = np.where(fits.any(1), fits.argmax(1), 0)
+    level = np.where(fits.any(1), fits.argmax(1), np.where(used.any(1), LEVELS - 1, 0))
     rows = np.arange(len(a))
     alike = ((x == y) & (x > 0)).sum(2)[rows, level] / np.maximum(used[rows, level], 1)
     return np.where((a == b).all(1), 1.0, alike)

@@ -7,10 +7,12 @@ into the cover, so equal windows share an anchor at the same place in both as lo
 1. Which anchors occur in two documents?  Asked by block (see core.answers), so a passage in a third of all documents
    costs one entry a block.
 2. Around those, anchors extend to candidate windows, and their hashes ask for the smallest doc_id that holds them.
+   A window is identified by 128 bits: two hashes of the two independent 64-bit hashes of each of its words.
 3. Words covered by a window that also starts in a document with a smaller id go.
 
-Null texts have no words. Rows with equal doc_ids are one document here: neither is smaller. A null doc_id is the
-smallest.
+Null and empty texts have no words; texts of any length are read whole. Rows with equal doc_ids are one document here:
+neither is smaller, so exact repeats of a row remove nothing from each other. A null doc_id is the smallest. Only the
+columns doc_id and text are read, and no others are returned, so none can clash. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -33,11 +35,11 @@ class Scan:
     """The word hashes of a block, and for every word its row and its place in the document."""
 
     def __init__(self, block: Block) -> None:
-        hashes, counts = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+        hashes, checks, counts = [np.zeros(0, np.uint64)], [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
         for i, j in block.chunks():
             words = Words(block, i, j)
-            hashes.append(words.hash), counts.append(words.counts)
-        self.hash, self.counts = np.concatenate(hashes), np.concatenate(counts)
+            hashes.append(words.hash), checks.append(words.check), counts.append(words.counts)
+        self.hash, self.check, self.counts = np.concatenate(hashes), np.concatenate(checks), np.concatenate(counts)
         self.ends = np.cumsum(self.counts)
         self.row = np.repeat(np.arange(len(self.counts)), self.counts)
         self.place = np.arange(len(self.hash)) - np.repeat(self.ends - self.counts, self.counts)
@@ -50,8 +52,8 @@ class Scan:
         at = np.flatnonzero(ok)
         return at, ngram_hash(self.hash, ANCHOR)[at]
 
-    def windows(self, block: Block) -> tuple[np.ndarray, np.ndarray]:
-        """Positions of the windows that hold a repeated anchor, and their hashes."""
+    def windows(self, block: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Positions of the windows that hold a repeated anchor, and both of their hashes."""
         at, h = self.anchors()
         _, order, runs = distinct(h)
         hit = at[answer_of(block.row, "repeated")[run_of(order, runs)] > 0] if len(h) else at
@@ -62,7 +64,7 @@ class Scan:
         n = len(ok)
         ok &= total[WINDOW - ANCHOR + 1 :][:n] - total[:n] > 0
         at = np.flatnonzero(ok)
-        return at, ngram_hash(self.hash, WINDOW)[at]
+        return at, ngram_hash(self.hash, WINDOW, at=at), ngram_hash(self.check, WINDOW, 1, at)
 
 
 def ask_anchors(block: Block) -> tuple[np.ndarray, list[np.ndarray]]:
@@ -80,10 +82,10 @@ def repeated(values: list[np.ndarray], at: np.ndarray) -> list[np.ndarray]:
 
 def ask_windows(block: Block) -> tuple[np.ndarray, list[np.ndarray]]:
     scan = Scan(block)
-    at, h = scan.windows(block)
-    keys, order, runs = distinct(h)
+    at, h, check = scan.windows(block)
+    keys, order, runs = distinct(h, check)
     ids = scan.ids[at][order]
-    return keys, [np.minimum.reduceat(ids, runs) if len(ids) else ids]
+    return keys, [check[order[runs]], np.minimum.reduceat(ids, runs) if len(ids) else ids]
 
 
 def earlier(values: list[np.ndarray], at: np.ndarray) -> list[np.ndarray]:
@@ -95,8 +97,8 @@ def earlier(values: list[np.ndarray], at: np.ndarray) -> list[np.ndarray]:
 def removed_words(block: Block) -> tuple[Scan, np.ndarray]:
     """Which words of the block go."""
     scan = Scan(block)
-    at, h = scan.windows(block)
-    _, order, runs = distinct(h)
+    at, h, check = scan.windows(block)
+    _, order, runs = distinct(h, check)
     cover = np.zeros(len(scan.hash) + 1, np.int64)
     if len(h):
         ids = scan.ids[at]
@@ -111,7 +113,7 @@ def matched(docs: DataFrame) -> DataFrame:
     """Blocks of docs with what `removed_words` needs."""
     blocks = text_blocks(docs)
     marked = attach(blocks, answers(blocks, ask_anchors, repeated), "repeated")
-    return attach(marked, answers(marked, ask_windows, earlier), "earlier")
+    return attach(marked, answers(marked, ask_windows, earlier, wide=True), "earlier")
 
 
 def deduplicated(docs: DataFrame) -> DataFrame:

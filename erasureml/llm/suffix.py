@@ -8,11 +8,15 @@ A window is `LENGTH` bytes of one document's UTF-8 text.  A byte goes if a windo
 2. Suffix sorting.  The windows of repeated anchors, with the bytes they span, are dealt by anchor hash.  There the
    suffixes smaller than their successor are sorted directly; the others are induced from their successors by one
    scan over the buckets of first bytes, whole arrays at a time.  Neighbours with a common prefix of LENGTH are repeats.
-3. Anchors with over `HOT` occurrences would gather in one task.  Their windows are hashed instead and counted by
-   block: a window that a block holds twice is a repeat at once, and a block asks for each of its windows once, so a
-   group of copies of any size is spread over all tasks.
-
-Null texts are empty. Rows with equal or null doc_ids are documents of their own.
+3. Anchors with over `HOT` occurrences would gather in one task.  Their windows are dealt by their own 128-bit hash
+   (core.range_hash: two independent 64-bit hashes) instead: a window that a block holds twice is a repeat at once, and
+   a block asks for each of its windows once, so a group of copies of any size is spread over all tasks.  Which of the two
+   ways a window goes doesn't change what is a repeat: of 10^14 windows two different ones share 128 bits with a
+   probability of 10^-11.
+
+Null and empty texts have no bytes and lose none; texts of any length are read whole. Rows with equal or null doc_ids are
+documents of their own, so every byte of a repeated row of 200 bytes or more goes, from all of its copies. Only
+doc_id and text are read and no other column is returned. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -25,7 +29,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import Block, Roller, _cuts, answer_of, answers, attach, distinct, each_block, expand, mix, pack, read_table, reliable, run_of, shuffle_parts, spread, squeeze, text_blocks, unpack
+from erasureml.llm.core import LANE_BYTES, Block, Roller, _cuts, answer_of, answers, attach, distinct, each_block, expand, mix, pack, range_hash, read_table, reliable, run_of, shuffle_parts, spread, squeeze, text_blocks, unpack
 
 LENGTH, GRAM = 200, 64
 WIDTH = LENGTH - GRAM + 1
@@ -193,8 +197,8 @@ def candidates(parts: int, hot: int):
             n = count[many]
             ends = np.cumsum(n)
             place = np.repeat(first[many] - (ends - n), n) + np.arange(int(ends[-1]))
-            window = _window_hashes(block, place)
-            keys, order, at = distinct(window)
+            window, check = _window_hashes(block, place)
+            keys, order, at = distinct(window, check)
             size = np.diff(np.append(at, len(order)))
             here = np.sort(place[order[np.repeat(size > 1, size)]])
             if len(here):
@@ -202,24 +206,33 @@ def candidates(parts: int, hot: int):
             cuts = _cuts(keys, parts)
             for p in range(parts):
                 if cuts[p + 1] > cuts[p]:
-                    rows.append((COUNT, p, block.block_id, pack(keys[cuts[p] : cuts[p + 1]], place[order[at[cuts[p] : cuts[p + 1]]]]), b""))
+                    one = order[at[cuts[p] : cuts[p + 1]]]
+                    rows.append((COUNT, p, block.block_id, pack(keys[cuts[p] : cuts[p + 1]], place[one], check[one]), b""))
         yield pd.DataFrame(rows, columns=["kind", "part", "block_id", "load", "body"])
 
     return work
 
 
-def _window_hashes(block: Block, place: np.ndarray) -> np.ndarray:
-    """Hashes of the windows at sorted places."""
+def _window_hashes(block: Block, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Both hashes of the windows at sorted places: the last of the states over eight bytes at a time."""
     data = np.frombuffer(block.body, np.uint8)
-    out, i = [], 0
+    out, i = [(np.zeros(0, np.uint64),) * 2], 0
     while i < len(place):
         lo = int(place[i])
         j = int(np.searchsorted(place, lo + SEGMENT))
-        own = place[i:j] - lo
         part = data[lo : lo + SEGMENT + LENGTH]
-        out.append(ROLL.ranges(ROLL.prefix(part), own, own + LENGTH))
+        own = place[i:j] - lo
+        states = [range_hash(part, own + k, own + min(k + LANE_BYTES, LENGTH)) for k in range(0, LENGTH, LANE_BYTES)]
+        out.append(tuple(chained([s[lane] for s in states]) for lane in (0, 1)))
         i = j
-    return np.concatenate([np.zeros(0, np.uint64), *out])
+    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
+
+
+def chained(hashes: list[np.ndarray]) -> np.ndarray:
+    total = hashes[0]
+    for h in hashes[1:]:
+        total = mix(total) ^ h
+    return mix(total)
 
 
 def _runs_by_block(blocks: np.ndarray, first: np.ndarray, count: np.ndarray) -> pd.DataFrame:
@@ -272,9 +285,9 @@ def sort_part(frame: pd.DataFrame) -> pd.DataFrame:
 def count_part(frame: pd.DataFrame) -> pd.DataFrame:
     """Windows of a range of hashes that more than one block holds."""
     meta = [unpack(x) for x in frame["load"]]
-    h, place = (np.concatenate([m[k] for m in meta]) for k in range(2))
+    h, place, check = (np.concatenate([m[k] for m in meta]) for k in range(3))
     blocks = np.repeat(frame["block_id"].to_numpy(), [len(m[0]) for m in meta])
-    _, order, at = distinct(h.view(np.uint64))
+    _, order, at = distinct(h.view(np.uint64), check)
     size = np.diff(np.append(at, len(order)))
     hit = order[np.repeat(size > 1, size)]
     return _runs_by_block(blocks[hit], place[hit], np.ones(len(hit), np.int64))

@@ -10,7 +10,8 @@ Blocks hold whole documents and are sized in ids, so one reader decodes any bloc
 any document by the running sum of `sizes`.
 
 Texts are encoded by the tokenizers library, every distinct piece once.  Null and empty texts hold the end id only.
-Equal doc_ids stay together in one shard; null doc_ids come first.
+Equal doc_ids stay together in one shard, each row written by itself; null doc_ids come first.  Only doc_id and text
+are read, so no other column can clash.  An empty table gives an empty store.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from erasureml.llm.bpe import tokenizer
-from erasureml.llm.core import LOWER, NO_ID, Texts, few_rows, read_table, shuffle_parts
+from erasureml.llm.core import LOWER, NO_ID, Texts, few_rows, read_table, shared_folder, shuffle_parts
 from erasureml.llm.pieces import BLANK, CLASS, DIGIT, LETTER, DistinctCoder, gather
 
 END_ID = 2
@@ -136,7 +137,8 @@ class PieceCoder(DistinctCoder):
     def __init__(self, path: str) -> None:
         from tokenizers import Tokenizer, pre_tokenizers
 
-        super().__init__(tokenizer(path))
+        super().__init__(tokenizer(path, False))  # a special token's string in a text is that token, as in the library's plain call
+        self.special = tuple(t.content.encode() for t in self.full.get_added_tokens_decoder().values())
         self.light = Tokenizer(self.full.model)
         self.light.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         vocabulary = self.full.get_vocab()
@@ -259,12 +261,7 @@ def _decoded(spark: SparkSession, path: str, column: str, last, kind: pa.DataTyp
 
 def fresh_path(spark: SparkSession, name: str) -> str:
     """A new folder in the shared checkpoint folder."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        import tempfile
-
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
-    return f"{sc.getCheckpointDir()}/{name}-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def default_vocabulary() -> str:

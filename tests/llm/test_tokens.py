@@ -38,7 +38,6 @@ def test_store_against_the_library(spark, texts, tmp_path):
     path = f"{tmp_path}/store"
     tokens.write_store(docs, path, tokens.default_vocabulary(), block_ids=2000)
     tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
-    tok.encode_special_tokens = True
     at = 0
     got = {r.doc_id: r for r in tokens.checksums(spark, path).collect()}
     full = {r.doc_id: r.ids for r in tokens.read_store(spark, path).collect()}
