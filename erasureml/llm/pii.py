@@ -3,14 +3,20 @@
 1. Strict patterns give the *base* spans (validated e-mail addresses, IP addresses, cards and phone numbers).
 2. Loose high-recall generators propose overlapping candidates: anything around an at-sign (also written out in
    brackets) and any run of digits and separators, the latter once for each numeric kind.
-3. Boosted depth-2 trees score each candidate from flags of its format and of the words before it.  They are fitted to
-   weak labels - does a candidate coincide with a validated base span of its kind? - on at most about `fit_docs`
-   documents.  As all features are flags, candidates are first counted by feature pattern, so that the fit sees
-   a table whose size has a bound (2^features rows) whatever the corpus, and the model is one SQL expression.
-4. Each kind's threshold is calibrated on a held-out fold to a precision of `precision`; candidates at or over it that
-   meet no base span are added.
-
-Positions count code points, ends exclusive. Null texts are empty. The trees never remove a base span.
+3. Boosted depth-2 trees score each candidate from flags of its format and of the words before it.  There are no labels
+   for personal data, and the base spans can't serve, as only candidates that meet none may be added.  So the trees
+   are fitted to *planted* texts, made in SQL by arithmetic: values in formats that the base patterns miss (written-out
+   addresses, cards with other separators or a mistyped digit, phones without a plus) and decoys (dates, amounts, stamps,
+   order numbers), with and without words that announce them.  The number of planted rows is a parameter; candidates are
+   first counted by pattern of flags, so the fit sees a table of bounded size, and the model is one SQL expression.
+4. Each kind's threshold is calibrated to a precision of `precision` on a quarter of the planted rows that the fit didn't
+   see; candidates at or over it that meet no base span are added.  Whole formats take no part in fit and
+   calibration: `quality` gives precision and recall of the added spans on those.  Neither depends on the corpus, so every
+   row of every table is treated alike.
+
+Positions count code points, ends exclusive. Null and empty texts have no spans. The trees never remove a base span.  Rows
+are treated one by one: repeated and null doc_ids stay as they are.  `redacted` keeps all columns, also those named like the
+ones made on the way; `digest` returns doc_id and its own columns only.
 """
 
 from __future__ import annotations
@@ -21,9 +27,9 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import read_table
+from erasureml.llm.core import read_table, reliable
 
-FIT_DOCS = 20_000
+PLANTED_ROWS = 40_000
 KINDS = ("email", "ip", "card", "phone")
 # The base patterns.  Those of the contract, written so that no position is scanned again: repeats whose
 # end is decided take no backtracking (++), and a run that failed once isn't tried from its second character.
@@ -43,7 +49,12 @@ CUES = {
     "card": "card|visa|mastercard|credit|pay",
     "phone": "phone|tel|telephone|call|fax|mobile|cell",
 }
-FLAGS = ("full_at", "dotted", "short_tail", "plus", "bracket", "spaced", "dashed", "points3", "parts_ok", "luhn", "digits_7", "digits_8_15", "digits_16_19", "glued_left", "glued_right", "cue")
+#: Words that often stand before other numbers.
+OTHERWISE = "order|ref|id|no|version|total|page|invoice|serial|item|row|section|date|score|price|count|lot|at"
+FLAGS = (
+    "full_at", "written", "dotted", "short_tail", "plus", "bracket", "spaced", "dashed", "solid", "wide_gap", "fours", "bytes4", "three_three_four", "year_first", "zero_first", "luhn",
+    "digits_7", "digits_8_9", "digits_10", "digits_11_15", "digits_16_19", "glued_left", "glued_right", "cue", "otherwise",
+)
 
 
 def _lit(pattern: str) -> str:
@@ -103,21 +114,30 @@ def with_candidates(docs: DataFrame) -> DataFrame:
     def made(source: str, k: int, kind: str) -> str:
         flags = {
             "full_at": "contains(x.m, '@') and not contains(x.m, ' ')",
-            "dotted": "contains(x.m, '.')",
-            "short_tail": "x.m rlike '[.][A-Za-z]{2,4}$'",
+            "written": "x.m rlike '[(\\\\[]at[)\\\\]]'",
+            "dotted": "x.m rlike '[.]|[(\\\\[]dot[)\\\\]]'",
+            "short_tail": "x.m rlike '([.]|dot[)\\\\]]) ?[A-Za-z]{2,4}$'",
             "plus": "startswith(x.m, '+')",
-            "bracket": "contains(x.m, '(')",
+            "bracket": "x.m rlike '[(][0-9]'",
             "spaced": "contains(x.m, ' ')",
             "dashed": "contains(x.m, '-')",
-            "points3": "x.m rlike '^[0-9]+[.][0-9]+[.][0-9]+[.][0-9]+$'",
-            "parts_ok": _parts_ok("x.m"),
+            "solid": "x.m rlike '^[0-9]+$'",
+            "wide_gap": "x.m rlike '[ .()-]{2}'",
+            "fours": "x.m rlike '^[0-9]{4}([ .-]+[0-9]{4}){3}$'",
+            "bytes4": "x.m rlike '^[0-9]{1,3}([ .-]+[0-9]{1,3}){3}$' and forall(regexp_extract_all(x.m, '[0-9]+', 0), p -> try_cast(p as int) <= 255)",
+            "three_three_four": "x.m rlike '^[(]?[0-9]{3}[)]?[ .-]*[0-9]{3}[ .-]*[0-9]{4}$'",
+            "year_first": "x.m rlike '^(19|20)[0-9]{2}(-| |[.]|[01][0-9][0-3])'",
+            "zero_first": "x.m rlike '^00? ?[1-9]'",
             "luhn": _luhn("x.m"),
             "digits_7": f"length({digits}) < 8",
-            "digits_8_15": f"length({digits}) between 8 and 15",
+            "digits_8_9": f"length({digits}) between 8 and 9",
+            "digits_10": f"length({digits}) = 10",
+            "digits_11_15": f"length({digits}) between 11 and 15",
             "digits_16_19": f"length({digits}) between 16 and 19",
-            "glued_left": "x.s > 0 and substring(_text, x.s, 1) rlike '[A-Za-z0-9_=#/]'",
-            "glued_right": "substring(_text, x.e + 1, 1) rlike '[A-Za-z0-9_=#/]'",
+            "glued_left": "x.s > 0 and substring(_text, x.s, 1) rlike '[A-Za-z0-9_=#/\"]'",
+            "glued_right": "substring(_text, x.e + 1, 1) rlike '[A-Za-z0-9_=#/\"]'",
             "cue": f"{before} rlike '(^|[^a-z])({CUES[kind]})[^a-z]*$'",
+            "otherwise": f"{before} rlike '(^|[^a-z])({OTHERWISE})[^a-z]*$'",
         }
         said = ", ".join(f"'{f}', if({flags[f]}, 1, 0)" for f in FLAGS)
         return f"transform({source}, x -> named_struct('k', {k}, 's', x.s, 'e', x.e, 'base', exists(_base, b -> b.k = {k} and b.s < x.e and x.s < b.e), {said}))"
@@ -126,6 +146,113 @@ def with_candidates(docs: DataFrame) -> DataFrame:
     return out.withColumn("_found", F.expr(f"concat({', '.join(parts)})")).drop("_loose_at", "_loose_n")
 
 
+# ---------------------------------------------------------------- planted texts
+
+#: A candidate stands for the planted value if it is that, give or take a character.
+RIGHT = "{s} >= s - 1 and {e} <= e + 1 and 10 * ({e} - {s}) >= 8 * (e - s)"
+# Words to make texts of.
+FILLER = ("the", "and", "sent", "from", "then", "la", "und", "which", "very", "was", "des", "they", "near", "por")
+NAMES = ("anna", "j.miller", "k_ito", "office", "maria.p", "tom99")
+HOSTS = ("mailbox", "example", "post-box", "uni")
+ENDS = ("com", "org", "net", "de")
+
+
+def _draw(key: int, below: int) -> str:
+    return f"pmod(xxhash64(id, {key}), {below})"
+
+
+def _one(words: tuple[str, ...], key: int) -> str:
+    return f"element_at(array({', '.join(repr(w) for w in words)}), int(1 + {_draw(key, len(words))}))"
+
+
+def _some(n: int, key: int) -> str:
+    """n digits."""
+    return f"lpad({_draw(key, 10**n)}, {n}, '0')"
+
+
+def _formats() -> list[tuple[int, bool, str]]:
+    """(kind or -1 for decoys, held out, SQL of the value)."""
+    name, host, end, word = _one(NAMES, 1), _one(HOSTS, 2), _one(ENDS, 3), _one(FILLER, 4)
+    body = f"concat('4', {_some(14, 5)})"
+    card = f"concat({body}, element_at(filter(sequence(0, 9), c -> {_luhn(f'concat({body}, c)')}), 1))"
+    wrong = f"concat({body}, element_at(filter(sequence(0, 9), c -> not {_luhn(f'concat({body}, c)')}), int(1 + {_draw(6, 9)})))"
+    byte = [_draw(k, 256) for k in (10, 11, 12, 13)]
+    a, b, c = _some(3, 7), _some(3, 8), _some(4, 9)
+    date = f"concat(1950 + {_draw(14, 80)}, '-', lpad(1 + {_draw(15, 12)}, 2, '0'), '-', lpad(1 + {_draw(16, 28)}, 2, '0'))"
+
+    def fours(number: str, between: str) -> str:
+        return f"concat_ws('{between}', substring({number}, 1, 4), substring({number}, 5, 4), substring({number}, 9, 4), substring({number}, 13, 4))"
+
+    email, ip, card_, phone = range(4)
+    return [
+        (email, False, f"concat({name}, '(at)', {host}, '.', {end})"),
+        (email, False, f"concat({name}, ' [at] ', {host}, ' [dot] ', {end})"),
+        (email, False, f"concat({name}, ' @ ', {host}, '.', {end})"),
+        (email, True, f"concat({name}, '(at)', {host}, '(dot)', {end})"),
+        (email, True, f"concat({name}, '[at]', {host}, '.', {end})"),
+        (ip, False, f"concat_ws(' . ', {', '.join(byte)})"),
+        (ip, False, f"concat_ws('-', {', '.join(byte)})"),
+        (ip, True, f"concat_ws('. ', {', '.join(byte)})"),
+        (card_, False, fours(card, ".")),
+        (card_, False, fours(card, "  ")),
+        (card_, False, fours(wrong, " ")),
+        (card_, False, wrong),
+        (card_, True, fours(wrong, "-")),
+        (card_, True, fours(card, " - ")),
+        (phone, False, f"concat('(', {a}, ') ', {b}, '-', {c})"),
+        (phone, False, f"concat_ws('-', {a}, {b}, {c})"),
+        (phone, False, f"concat_ws('.', {a}, {b}, {c})"),
+        (phone, False, f"concat('00', 1 + {_draw(17, 98)}, ' ', {a}, ' ', {b}, {c})"),
+        (phone, True, f"concat_ws(' ', {a}, {b}, {c})"),
+        (phone, True, f"concat('(', {a}, ') ', {b}.{c})".replace(f"{b}.{c}", f"concat_ws('.', {b}, {c})")),
+        (-1, False, f"concat({word}, ' @ ', {_one(FILLER, 18)})"),
+        (-1, False, f"concat({_some(2, 19)}, ' @ ', {_some(1, 20)}, '.', {_some(2, 21)})"),
+        (-1, True, f"concat({word}, '(at)', {_one(FILLER, 18)})"),
+        (-1, False, f"concat_ws('.', {_some(1, 22)}, 256 + {_draw(23, 700)}, {_some(2, 24)}, {_some(1, 25)})"),
+        (-1, False, f"concat_ws('-', {_some(2, 22)}, 256 + {_draw(23, 700)}, {_some(2, 24)})"),
+        (-1, False, f"concat('7', {_some(15, 26)})"),
+        (-1, False, f"concat('20', {_some(18, 27)})"),
+        (-1, False, f"concat('2', {_some(8, 28)}, {_some(13, 29)})"),
+        (-1, False, f"concat(replace({date}, '-', ''), {_some(6, 30)})"),
+        (-1, False, date),
+        (-1, False, f"concat(1900 + {_draw(31, 120)}, '-', 1900 + {_draw(32, 120)})"),
+        (-1, False, f"concat({_some(1, 33)}, ' ', {_some(3, 34)}, ' ', {_some(3, 35)}, '.', {_some(2, 36)})"),
+        (-1, False, f"concat_ws('-', '978', {_some(1, 37)}, {_some(2, 38)}, {_some(6, 39)}, {_some(1, 40)})"),
+        (-1, False, f"concat('b', {_some(9, 44)}, 'f', {_some(12, 45)}, 'c')"),
+        (-1, False, f"concat('{chr(34)}a', {_some(14, 46)}, 'd', {_some(2, 47)}, 'e')"),
+        (-1, True, f"concat({date}, ' ', {_some(2, 41)}, '.', {_some(2, 42)})"),
+        (-1, True, f"concat('8', {_some(11, 43)})"),
+    ]
+
+
+def planted(spark: SparkSession, rows: int = PLANTED_ROWS) -> DataFrame:
+    """(id, text, kind, s, e, fold): one value or decoy (kind -1) a text. fold: fit, held, or test for whole formats."""
+    formats = _formats()
+    n = len(formats)
+
+    def choose(at: int) -> str:
+        return "case pmod(id, " + str(n) + ") " + " ".join(f"when {i} then {f[at] if at != 1 else str(f[1]).lower()}" for i, f in enumerate(formats)) + " end"
+
+    cue = "case kind " + " ".join(f"when {i} then {_one(tuple(CUES[k].split('|')), 51)}" for i, k in enumerate(KINDS)) + f" else {_one(tuple(OTHERWISE.split('|')), 52)} end"
+    any_cue = _one(tuple(w for k in KINDS for w in CUES[k].split("|")), 53)
+    filler = "concat_ws(' ', " + ", ".join(_one(FILLER, 60 + k) for k in range(4)) + ")"
+    # values: announced in over half, else bare; decoys: mostly announced as what they are, now and then as personal data
+    said = f"case when kind >= 0 then if({_draw(54, 100)} < 55, concat({cue}, {_one((': ', ' ', ' is '), 55)}), '') when {_draw(54, 100)} < 88 then concat({cue}, {_one((' ', ' #', '=', ': '), 55)}) when {_draw(54, 100)} < 92 then concat({any_cue}, ' ') else '' end"
+    out = spark.range(rows).withColumns({"kind": F.expr(choose(0)), "whole": F.expr(choose(1)), "value": F.expr(f"cast({choose(2)} as string)")})
+    out = out.withColumn("before", F.expr(f"concat({filler}, ' ', {said})"))
+    fold = F.expr(f"case when whole then 'test' when {_draw(56, 4)} = 0 then 'held' else 'fit' end")
+    text = F.expr(f"concat(before, value, {_one((' ', '. ', ', ', '; '), 57)}, {_one(FILLER, 58)})")
+    made = out.select("id", text.alias("text"), "kind", F.length("before").alias("s"), (F.length("before") + F.length("value")).alias("e"), fold.alias("fold"))
+    return reliable(made)  # a table of a few MB: what reads it needn't make the texts again in each of its expressions
+
+
+def planted_candidates(spark: SparkSession, rows: int) -> DataFrame:
+    """(fold, k, FLAGS, pos) of the candidates that meet no base span."""
+    found = with_candidates(with_base(planted(spark, rows))).select("kind", "s", "e", "fold", F.explode(F.expr("filter(_found, c -> not exists(_base, b -> b.s < c.e and c.s < b.e))")).alias("c"))
+    pos = F.expr(f"int(c.k = kind and {RIGHT.format(s='c.s', e='c.e')})").alias("pos")
+    return found.select("fold", "c.k", *(f"c.{f}" for f in FLAGS), pos)
+
+
 # ---------------------------------------------------------------- boosting on counted feature patterns
 
 
@@ -185,7 +312,7 @@ def boost(rows: list[dict], rounds: int = 30, depth: int = 2, rate: float = 0.3,
     n, pos = sum(r["n"] for r in rows), sum(r["pos"] for r in rows)
     if not pos:
         return Booster()
-    model = Booster(math.log((pos + 0.5) / (n - pos + 0.5)))
+    model = Booster(round(math.log((pos + 0.5) / (n - pos + 0.5)), 6))  # six places, as in the SQL
     rows = [r | {"odds": model.start} for r in rows]
     for _ in range(rounds):
         for r in rows:
@@ -199,7 +326,7 @@ def boost(rows: list[dict], rounds: int = 30, depth: int = 2, rate: float = 0.3,
 
 
 def _shrunk(tree: Leaf | Split, rate: float) -> Leaf | Split:
-    return Leaf(tree.value * rate) if isinstance(tree, Leaf) else Split(tree.flag, _shrunk(tree.no, rate), _shrunk(tree.yes, rate))
+    return Leaf(round(tree.value * rate, 6)) if isinstance(tree, Leaf) else Split(tree.flag, _shrunk(tree.no, rate), _shrunk(tree.yes, rate))
 
 
 def calibrate(model: Booster, rows: list[dict], precision: float) -> None:
@@ -216,21 +343,33 @@ def calibrate(model: Booster, rows: list[dict], precision: float) -> None:
             model.cut = odds - 1e-6
 
 
-def fit(docs: DataFrame, fit_docs: int = FIT_DOCS, precision: float = 0.9) -> list[Booster]:
-    total = docs.count()
-    share = 1.0 if total <= fit_docs else fit_docs / total
-    sample = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_003)) < int(share * 1_000_003) + 1)
-    found = with_candidates(with_base(sample.select("doc_id", "text"))).select((F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(4)) == 0).alias("held"), F.explode("_found").alias("c"))
-    table = found.groupBy("held", "c.k", *(f"c.{f}" for f in FLAGS)).agg(F.count("*").alias("n"), F.sum(F.col("c.base").cast("long")).alias("pos")).collect()
+def fit(spark: SparkSession, rows: int = PLANTED_ROWS, precision: float = 0.9) -> list[Booster]:
+    """A model for every kind."""
+    found = planted_candidates(spark, rows)
+    table = found.where("fold <> 'test'").groupBy("fold", "k", *FLAGS).agg(F.count("*").alias("n"), F.sum("pos").alias("pos")).collect()
     models = []
     for k in range(len(KINDS)):
-        own = [r.asDict() for r in table if r["k"] == k]
-        model = boost(sorted((r for r in own if not r["held"]), key=lambda r: [r[f] for f in FLAGS]))
-        calibrate(model, [r for r in own if r["held"]], precision)
+        own = sorted((r.asDict() for r in table if r["k"] == k), key=lambda r: [r[f] for f in FLAGS])
+        model = boost([r for r in own if r["fold"] == "fit"])
+        calibrate(model, [r for r in own if r["fold"] == "held"], precision)
         models.append(model)
     return models
 
 
+def quality(spark: SparkSession, models: list[Booster], rows: int = PLANTED_ROWS, fold: str = "test") -> DataFrame:
+    """(kind, planted, added, right, precision, recall) of the spans added to a fold's texts, base spans left out on both sides."""
+    texts = planted(spark, rows).where(F.col("fold") == fold)
+    spans = with_spans(texts, models).withColumn("_new", F.expr("array_except(_spans, _base)"))
+    hit = f"exists(_new, x -> x.k = kind and {RIGHT.format(s='x.s', e='x.e')})"
+    met = "exists(_base, b -> b.s < e and s < b.e)"
+    by = spans.select("kind", F.expr(f"int(kind >= 0 and not {met})").alias("planted"), F.expr(f"int(kind >= 0 and not {met} and {hit})").alias("right"), F.expr("transform(_new, x -> x.k)").alias("new"))
+    added = by.select(F.explode("new").alias("k")).groupBy("k").agg(F.count("*").alias("added"))
+    per = by.where("kind >= 0").groupBy("kind").agg(F.sum("planted").alias("planted"), F.sum("right").alias("right"))
+    name = F.element_at(F.array(*map(F.lit, KINDS)), F.col("kind") + 1).alias("kind")
+    out = per.join(added, F.col("kind") == F.col("k"), "left").withColumn("added", F.coalesce("added", F.lit(0)))
+    return out.select(name, "planted", "added", "right", F.expr("if(added = 0, 1d, right / added)").alias("precision"), F.expr("if(planted = 0, 1d, right / planted)").alias("recall"))
+
+
 def with_spans(docs: DataFrame, models: list[Booster]) -> DataFrame:
     """docs with _base and _spans (base and added, by kind and start)."""
     out = with_candidates(with_base(docs))
@@ -273,10 +412,10 @@ def digest(docs: DataFrame, models: list[Booster]) -> DataFrame:
 
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
-    return digest(docs, fit(docs))
+    return digest(docs, fit(spark))
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, personal data redacted; n_chars follows the text."""
-    out = redacted(docs, fit(docs))
+    out = redacted(docs, fit(spark))
     return out.withColumn("n_chars", F.length("text").cast("bigint")) if "n_chars" in docs.columns else out
