@@ -40,7 +40,7 @@ BASE = {
     "phone": r"\+[0-9][ ().0-9-]+[0-9]",
 }
 GATE = {"email": "@", "ip": ".", "card": "", "phone": "+"}
-LOOSE_AT = r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++ ?(?:@|\(at\)|\[at\]) ?[A-Za-z0-9-]++(?: ?(?:\.|\(dot\)|\[dot\]) ?[A-Za-z0-9-]++)*+"
+LOOSE_AT = r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++ ?(?:@|\(at\)|\[at\]) ?[A-Za-z0-9-]++(?:(?:\.| ?\(dot\) ?| ?\[dot\] ?)[A-Za-z0-9-]++)*+"
 LOOSE_NUMBER = r"[+(]?[0-9][0-9 ().-]{5,}[0-9]"
 # Words that often stand before each kind, lower case.
 CUES = {
@@ -330,7 +330,8 @@ def _shrunk(tree: Leaf | Split, rate: float) -> Leaf | Split:
 
 
 def calibrate(model: Booster, rows: list[dict], precision: float) -> None:
-    """The lowest cut at which the held-out candidates at or over it reach the precision; without any, nothing is added."""
+    """The lowest cut, of even odds or more, at which the held-out candidates at or over it reach the precision; without any,
+    nothing is added."""
     n = pos = 0
     model.cut = math.inf
     by: dict[float, list[int]] = {}
@@ -339,7 +340,7 @@ def calibrate(model: Booster, rows: list[dict], precision: float) -> None:
         at[0], at[1] = at[0] + r["n"], at[1] + r["pos"]
     for odds in sorted(by, reverse=True):
         n, pos = n + by[odds][0], pos + by[odds][1]
-        if pos >= precision * n:
+        if pos >= precision * n and odds >= 0:
             model.cut = odds - 1e-6
 
 
