@@ -9,8 +9,14 @@ miss n - ceil(threshold n) of them, so with one more than that in the sketch eve
 a sketch hash: m depends on the item's size, which is why items are partitioned by size, and documents with fewer
 shingles than the smallest item of a partition needs skip it.  Candidates are verified with the shingles themselves.
 
-The index of the items is sent to the tasks if their text has at most `index_bytes`; beyond that, sketches, documents'
-shingles and items' shingles are joined.  Null texts are empty; items without a word are contained in nothing.
+The index of the items is sent to the tasks if their text has at most `index_bytes`.  Beyond that, the documents are
+kept with a number for every row; the hashes of theirs that pass a bit map of the sketches (of a fixed size) meet the
+sketches in a join, and each row then gets its candidates' texts and verifies them in the same way, by the shingles.  Both
+ways give the same rows: a document is a row, whatever its doc_id, so null and repeated ids are told apart.
+
+Null and empty texts hold no item; items without a word are contained in nothing, and items of the same id are items of
+their own.  Documents of any length are read whole.  `pairs` returns no column of the caller's but doc_id and item_id;
+`stage` returns all columns of the documents as they came.  Empty tables, of documents or of items, give no pairs.
 """
 
 from __future__ import annotations
@@ -25,7 +31,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import Texts, Words, complete, ngram_hash, few_rows, read_table
+from erasureml.llm.core import Texts, Words, complete, few_rows, mix, ngram_hash, read_table, reliable
 
 SIZE, THRESHOLD = 5, 0.8
 INDEX_BYTES = 32 << 20
@@ -145,39 +151,111 @@ def small_index(items: DataFrame, threshold: float = THRESHOLD, size: int = SIZE
     return Index([(r["item_id"], r["text"]) for r in items.select("item_id", "text").orderBy("item_id").collect()], threshold, size)
 
 
+ROW = "_containment_row"
+MAP_BITS = 25
+
+
+def rows_numbered(docs: DataFrame) -> DataFrame:
+    """docs, kept, with a number for every row."""
+    return reliable(docs.withColumn(ROW, F.monotonically_increasing_id()))
+
+
+def sketches(items: DataFrame, threshold: float, size: int) -> DataFrame:
+    """(item_no, length, least, h): the sketch of every item."""
+    fields = "item_no long, length int, least int, h long"
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            got: list[tuple] = []
+            for no, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                n = len(_WORD.findall((text or "").lower()))
+                if n:
+                    own = np.unique(hashed(lowered(pa.array([text])), min(n, size))[0])
+                    got += [(no, min(n, size), need(len(own), threshold), int(h)) for h in own[: sketch_size(len(own), threshold)].view(np.int64)]
+            columns = list(zip(*got, strict=True)) or [()] * 4
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int32(), pa.int32(), pa.int64()), strict=True)], ["item_no", "length", "least", "h"])
+
+    return items.select("item_no", "text").mapInArrow(run, fields)
+
+
+def bit_map(sketch: DataFrame) -> dict[int, np.ndarray]:
+    """By shingle length, which bits the sketches' hashes set: 2^MAP_BITS bits, whatever their number."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, np.ndarray] = {}
+        for batch in batches:
+            length, h = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            for n in np.unique(length).tolist():
+                at = np.unique(bit_of(h[length == n].view(np.uint64)))
+                held[n] = np.union1d(held[n], at) if n in held else at
+        for n, at in held.items():
+            yield pa.RecordBatch.from_pydict({"length": pa.array(np.full(len(at), n, np.int32)), "bit": pa.array(at)})
+
+    found = sketch.select("length", "h").mapInArrow(run, "length int, bit long").distinct()
+    words = found.groupBy("length", F.floor(F.col("bit") / 64).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, int(bit % 64))")).alias("bits")).toPandas()
+    out = {}
+    for n, own in words.groupby("length"):  # at most size x 2^MAP_BITS / 64 rows
+        out[int(n)] = np.zeros(1 << MAP_BITS - 6, np.uint64)
+        out[int(n)][own["word"].to_numpy()] = own["bits"].to_numpy(np.int64).view(np.uint64)
+    return out
+
+
+def bit_of(h: np.ndarray) -> np.ndarray:
+    return (mix(h) >> np.uint64(64 - MAP_BITS)).astype(np.int64)
+
+
+def candidate_rows(docs: DataFrame, items: DataFrame, threshold: float, size: int) -> DataFrame:
+    """(row, its text, texts: (item_id, text) of the items that share a sketch hash with it). docs: with ROW."""
+    numbered = reliable(items.select("item_id", "text").withColumn("item_no", F.monotonically_increasing_id()))
+    sketch = reliable(sketches(numbered, threshold, size))
+    bits = bit_map(sketch)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            text, keys = lowered(batch.column(1)), batch.column(0)
+            for length, marks in bits.items():
+                h, row = hashed(text, length)
+                at = bit_of(h)
+                hit = (marks[at >> 6] >> (at & 63).astype(np.uint64) & np.uint64(1)).astype(bool)
+                h, row = h[hit], row[hit]
+                order = np.lexsort((h, row))
+                h, row = h[order], row[order]
+                new = np.concatenate([[True], (h[1:] != h[:-1]) | (row[1:] != row[:-1])])[: len(h)]
+                yield pa.RecordBatch.from_arrays([keys.take(pa.array(row[new])), pa.array(np.full(int(new.sum()), length, np.int32)), pa.array(h[new].view(np.int64))], [ROW, "length", "h"])
+
+    have = few_rows(docs).select(ROW, "text").mapInArrow(run, f"{ROW} long, length int, h long")
+    met = have.join(sketch, ["length", "h"]).select(ROW, "item_no").distinct()
+    texts = met.join(numbered, "item_no").groupBy(ROW).agg(F.collect_list(F.struct("item_id", "text")).alias("_items"))
+    return docs.join(texts, ROW)
+
+
+def verified(batch: pa.RecordBatch, threshold: float, size: int) -> Iterator[tuple]:
+    """(row of the batch, item_id, the item's shingles, those found) from text and _items."""
+    for row, (text, items) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)):
+        own: dict[int, set] = {}
+        for item in items:
+            length = min(len(_WORD.findall((item["text"] or "").lower())), size)
+            wanted = shingles(item["text"], length)
+            if length not in own:
+                own[length] = shingles(text, length)
+            shared = len(wanted & own[length])
+            if shared >= need(len(wanted), threshold):
+                yield row, item["item_id"], len(wanted), shared
+
+
 def joined(docs: DataFrame, items: DataFrame, threshold: float = THRESHOLD, size: int = SIZE) -> DataFrame:
-    """The same pairs without an index in memory: joins on sketch hashes, then on shingles of candidates."""
+    """The same pairs without an index in memory."""
+    kind = dict(items.dtypes)["item_id"]
+    found = candidate_rows(rows_numbered(docs.select(F.col("doc_id").cast("long"), "text")), items, threshold, size)
 
-    def own(df: DataFrame, key: str, short: bool) -> DataFrame:
-        kind = dict(df.dtypes)[key]
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column(2).to_pylist()
+            got = [(ids[r], item, n, s, s / n) for r, item, n, s in verified(batch, threshold, size)]
+            if got:
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*got, strict=True)], ["doc_id", "item_id", "n_item", "n_shared", "containment"])
 
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                text, keys = lowered(batch.column(1)), batch.column(0)
-                count = [len(_WORD.findall(t)) for t in text.to_pylist()] if short else []
-                for length in range(1, size + 1):
-                    h, row = hashed(text, length)
-                    if short:
-                        keep = np.array([min(n, size) == length for n in count], bool)[row] if len(row) else np.zeros(0, bool)
-                        h, row = h[keep], row[keep]
-                    for lo in range(0, len(h), 1 << 20):
-                        part = slice(lo, lo + (1 << 20))
-                        yield pa.RecordBatch.from_arrays([keys.take(pa.array(row[part])), pa.array(np.full(len(row[part]), length, np.int32)), pa.array(h[part].view(np.int64))], [key, "length", "h"])
-
-        return df.select(key, "text").mapInArrow(run, f"{key} {kind}, length int, h long").distinct()
-
-    wanted = own(items, "item_id", True)
-    sizes = wanted.groupBy("item_id").agg(F.count("*").alias("n_item"), F.sort_array(F.collect_list(F.col("h"))).alias("all"))
-    missing = F.col("n_item") - F.greatest(F.lit(1), F.ceil(F.col("n_item") * threshold - 1e-9)).cast("int")
-    sketch = sizes.select("item_id", F.explode(F.slice("all", 1, missing.cast("int") + 1)).alias("h"))
-    have = own(docs, "doc_id", False)
-    candidates = have.join(sketch.join(wanted, ["item_id", "h"]).select("item_id", "h", "length"), ["h", "length"]).select("doc_id", "item_id").distinct()
-    shared = candidates.join(wanted, "item_id").join(have, ["doc_id", "length", "h"]).groupBy("doc_id", "item_id").agg(F.count("*").alias("n_shared"))
-    return (
-        shared.join(sizes.select("item_id", "n_item"), "item_id")
-        .where(F.col("n_shared") >= F.greatest(F.lit(1), F.ceil(F.col("n_item") * threshold - 1e-9)))
-        .select("doc_id", "item_id", "n_item", "n_shared", (F.col("n_shared") / F.col("n_item")).alias("containment"))
-    )
+    return found.select("text", "_items", "doc_id").mapInArrow(run, f"doc_id long, item_id {kind}, n_item long, n_shared long, containment double")
 
 
 def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -202,10 +280,23 @@ FROM m JOIN t ON m.item_id = t.item_id WHERE m.n_shared >= 0.8 * t.n_item - 1e-9
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that contain no item."""
-    items = read_table(spark, sf_dir, "benchmark")
-    index = small_index(items)
+    return uncontaminated(docs, read_table(spark, sf_dir, "benchmark"))
+
+
+def uncontaminated(docs: DataFrame, items: DataFrame, index_bytes: int = INDEX_BYTES) -> DataFrame:
+    index = small_index(items, index_bytes=index_bytes)
     if index is None:
-        return docs.join(joined(docs, items, THRESHOLD, SIZE).select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+        columns = docs.columns
+        numbered = rows_numbered(docs.toDF(*(f"c{i}" for i in range(len(columns)))).withColumn("text", F.col(f"c{columns.index('text')}")))
+        found = candidate_rows(numbered, items, THRESHOLD, SIZE)
+
+        def dirty(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                rows = sorted({r for r, *_ in verified(batch, THRESHOLD, SIZE)})
+                yield pa.RecordBatch.from_arrays([batch.column(2).take(pa.array(rows, pa.int64()))], [ROW])
+
+        gone = found.select("text", "_items", ROW).mapInArrow(dirty, f"{ROW} long")
+        return numbered.join(gone, ROW, "left_anti").select(*(F.col(f"c{i}").alias(c) for i, c in enumerate(columns)))
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

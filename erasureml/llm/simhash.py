@@ -18,7 +18,10 @@ each of 32 hash ranges, equal with high probability in at least one range.  Thes
 fingerprints decides, only the sets themselves.  A bucket of up to 32 gives all its pairs; in a larger one the search itself compares the sets of shingles, so a member is only ever taken
 out by a link that holds, and every link of the bucket is either found or between members already connected.
 
-Null and empty texts have fingerprint 0. Rows with a null doc_id aren't linked (component null).
+Null and empty texts have fingerprint 0. Rows with a null doc_id aren't linked (component null).  Each row has a fingerprint
+of its own; rows with the same doc_id share a component, as each other's copies do.  (Where the stage compares sets of
+shingles, the row with the greatest set stands for its doc_id.)  Only doc_id and text are read; `stage` returns
+all columns as they came.  An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -260,12 +263,20 @@ def grouped(prints: DataFrame, limit: int = RADIUS, radius: int = RADIUS, find=N
     tables = F.array(*(F.struct(F.lit(t).alias("t"), F.col("f")[0].bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))
     seen = F.transform("views", lambda k: F.struct(F.lit(-1).alias("t"), k.alias("key")))
     keys = distinct.select("node", F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "node")
-    roots = components(find(keys) if find else links(keys, distinct.select("node", "f"), limit))
+    found = find(keys) if find else links(keys, distinct.select("node", "f"), limit)
+    roots = components(found.select("a", "b").union(same_ids(prints, distinct)))
     named = distinct.join(roots, "node", "left").select("f", "views", F.coalesce("root", "node").alias("component_id"))
     linked = prints.join(named, ["f", "views"], "left")
     return linked.select("doc_id", "f", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
+def same_ids(prints: DataFrame, distinct: DataFrame) -> DataFrame:
+    """Links (a, b) of a doc_id with the nodes of its rows, where those have different prints."""
+    own = prints.where(F.col("doc_id").isNotNull()).select("doc_id", F.xxhash64("f", "views").alias("x"))
+    several = own.groupBy("doc_id").agg(F.min("x").alias("low"), F.max("x").alias("high")).where("low != high").select("doc_id")
+    return prints.join(several, "doc_id").join(distinct, ["f", "views"]).select(F.col("doc_id").alias("a"), F.col("node").alias("b")).where("a != b")
+
+
 def shingle_sets(docs: DataFrame, nodes: DataFrame, size: int) -> DataFrame:
     """(id, h): the sorted set of shingle hashes of the texts named by the only column of nodes."""
 
@@ -274,8 +285,8 @@ def shingle_sets(docs: DataFrame, nodes: DataFrame, size: int) -> DataFrame:
             held = [np.unique(shingle_hashes(t, size)).tobytes() for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_pydict({"id": batch.column(0).cast(pa.int64()), "h": pa.array(held, pa.binary())})
 
-    texts = docs.select("doc_id", "text").join(nodes.toDF("n"), F.col("doc_id") == F.col("n"), "left_semi").dropDuplicates(["doc_id"])
-    return texts.mapInArrow(sets, "id long, h binary")
+    texts = docs.select("doc_id", "text").join(nodes.toDF("n"), F.col("doc_id") == F.col("n"), "left_semi")
+    return texts.mapInArrow(sets, "id long, h binary").groupBy("id").agg(F.max("h").alias("h"))
 
 
 def alike(found: DataFrame, docs: DataFrame, size: int, similarity: float) -> DataFrame:
@@ -314,7 +325,8 @@ def near_groups(docs: DataFrame, similarity: float = 0.8, size: int = 5) -> Data
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the smallest id; of rows with the same id, one. Null ids stay."""
+    """Of each group of near copies the document with the smallest id, with all its rows if there are several; rows with a
+    null id stay."""
     dropped = near_groups(docs).where("doc_id != component_id").select(F.col("doc_id").alias("_drop")).distinct()
     kept = docs.join(dropped, docs["doc_id"] == dropped["_drop"], "left_anti")
     return kept

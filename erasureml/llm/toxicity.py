@@ -7,7 +7,10 @@ labelled rows of at most `fit_rows` documents (smallest hash of doc_id first); t
 calibrated on a held-out fifth of them.
 
 Where `labels` has no column `severity`, toxic documents with more indicative words than the median are graded 2.
-Null and empty texts have no feature and score as clean; null labels are left out; without labels all is clean.
+Null and empty texts have no feature and score as clean; texts of any length are read whole.  Null labels are left out;
+a document that is labelled several times has the highest of its labels; without labels all is clean.  Repeated rows are
+scored alike.  `score` keeps the caller's columns, but those named like one of its own give way to it; `keep_clean` returns
+all columns as they came.
 """
 
 from __future__ import annotations
@@ -101,11 +104,12 @@ def labelled(docs: DataFrame, labels: DataFrame, fit_rows: int) -> DataFrame:
     sample = (
         labels.where(F.col("doc_id").isNotNull() & target.isNotNull())
         .select(F.col("doc_id").alias("label_id"), target.cast("int").alias("target"))
-        .dropDuplicates(["label_id"])
+        .groupBy("label_id").agg(F.max("target").alias("target"))
         .orderBy(F.xxhash64("label_id"), "label_id")
         .limit(fit_rows)
     )  # at most fit_rows rows of two numbers: safe to broadcast
-    return docs.select("doc_id", "text").join(F.broadcast(sample), F.col("doc_id") == F.col("label_id")).select("doc_id", "text", "target")
+    rows = docs.select(F.col("doc_id").cast("long"), "text")
+    return rows.join(F.broadcast(sample), F.col("doc_id") == F.col("label_id")).select("doc_id", "text", "target")
 
 
 def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, features: int = FEATURES) -> SeverityModel:
@@ -148,7 +152,7 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, features:
                 {"doc_id": batch.column(0), "target": batch.column(2), "at": pa.array([list(c) for c in found], pa.list_(pa.int32())), "n": pa.array([list(c.values()) for c in found], pa.list_(pa.int32()))}
             )
 
-    got = rows.mapInArrow(vectors, "doc_id long, target int, at array<int>, n array<int>").orderBy("doc_id").collect()  # at most fit_rows rows of the chosen features
+    got = rows.mapInArrow(vectors, "doc_id long, target int, at array<int>, n array<int>").orderBy("doc_id", "at", "n").collect()  # at most fit_rows rows of the chosen features
     x, y = np.zeros((len(got), len(chosen)), np.float32), np.array([r["target"] for r in got])
     for i, r in enumerate(got):
         x[i, r["at"]] = np.log1p(r["n"])

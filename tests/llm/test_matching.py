@@ -92,3 +92,18 @@ def test_containment_against_sql(spark):
     want = con.execute(containment.ORACLE).fetchall()
     got = [tuple(r) for r in containment.op8_decontamination(spark, at).collect()]
     assert sorted(got) == sorted(want)
+
+
+ROWS = [(None, "x one two three four five six y", 1), (1, "x ONE two, three four five six y", 2), (1, "clean", 3), (2, "clean too", 4), (2, "clean too", 5), (None, None, 6), (3, "", 7), (4, "w " * 90000 + "one two three four five six", 8)]
+
+
+@pytest.mark.parametrize("limit", [1 << 20, 0])
+def test_rows_without_or_with_equal_ids_are_told_apart(spark, limit):
+    docs = spark.createDataFrame([(i, t, n, "c", "d") for i, t, n in ROWS], "doc_id long, text string, item_id int, h string, _items string")
+    items = spark.createDataFrame([(7, "one two three four five six", 0), (7, "w w w w w w", 0), (None, "one two three four five six", 0), (8, None, 0)], "item_id long, text string, text2 int")
+    kept = containment.uncontaminated(docs, items, limit)
+    assert kept.columns == docs.columns and sorted(r.item_id for r in kept.collect()) == [3, 4, 5, 6, 7]
+    got = sorted((str(r.doc_id), str(r.item_id), r.n_item, r.n_shared) for r in containment.pairs(docs, items, index_bytes=limit).collect())
+    assert got == sorted([(d, i, 2, 2) for d in ("None", "1", "4") for i in ("7", "None")] + [("4", "7", 1, 1)])
+    assert containment.uncontaminated(docs.limit(0), items, limit).collect() == []
+    assert containment.uncontaminated(docs, items.limit(0), limit).count() == len(ROWS)

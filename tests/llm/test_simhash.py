@@ -186,3 +186,23 @@ def test_repeats_and_short_texts_against_all_pairs(spark):
     got = {r.doc_id: r.component_id for r in simhash.near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     want = jaccard_roots(rows)
     assert got == want and all(want[i + 1] == i for i in range(0, len(rows), 2))
+
+
+def test_rows_of_one_id_share_a_component(spark):
+    rng = random.Random(12)
+    words = [f"u{i}" for i in range(900)]
+    a, b, c = (" ".join(rng.choices(words, k=60)) for _ in range(3))
+    rows = [(2, a), (5, a), (5, b), (7, b), (9, c), (9, c), (11, c), (3, ""), (4, None), (None, a)]
+    want = {2: 2, 5: 2, 7: 2, 9: 9, 11: 9, 3: 3, 4: 3, None: None}
+    docs = spark.createDataFrame([(i, t, k, "x") for k, (i, t) in enumerate(rows)], "doc_id long, text string, n int, component_id string")
+    for found in (simhash.near_groups(docs), simhash.grouped(simhash.fingerprints(docs))):
+        assert {r.doc_id: r.component_id for r in found.collect()} == want and found.count() == len(rows)
+    kept = simhash.stage(spark, docs, "")
+    assert kept.columns == docs.columns and sorted(r.n for r in kept.collect()) == [0, 4, 5, 7, 9]
+
+
+def test_a_very_long_text_and_its_edit(spark):
+    rng = random.Random(13)
+    words = [rng.choice("abcdefgh") + str(rng.randrange(10**6)) for _ in range(120000)]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join([*words[:-50], "end"])), (3, " ".join(words[:40000]))], "doc_id long, text string")
+    assert {r.doc_id: r.component_id for r in simhash.near_groups(docs).collect()} == {1: 1, 2: 1, 3: 3}

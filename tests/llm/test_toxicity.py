@@ -60,3 +60,57 @@ def test_ordinal_fit_recovers_order():
     y = (latent > -1).astype(int) + (latent > 1)
     w, theta = toxicity.fit_ordinal(x, y, 3)
     assert np.allclose(w, [1.5, -1.0, 0.0], atol=0.2) and np.allclose(theta, [-1, 1], atol=0.2)
+
+
+def test_labels_that_disagree_don_t_depend_on_order(spark):
+    docs, labels = table(spark)
+    more = spark.createDataFrame([(i, 1, k) for i in range(60, 120) for k in (0, 1)], "doc_id long, quality int, toxic int")
+    one, two = labels.union(more).coalesce(1), more.orderBy("toxic").union(labels).coalesce(1)
+    three = labels.where("doc_id < 60 or doc_id >= 120").union(more.where("toxic = 1")).coalesce(1)
+    a, b, c = (toxicity.fit(docs, x) for x in (one, two, three))
+    assert a.names == b.names == c.names and np.array_equal(a.weights, b.weights) and np.array_equal(a.weights, c.weights) and a.cut == b.cut == c.cut
+
+
+def test_scores_against_the_formula(spark):
+    """P(grade > k) = logistic(w . log(1 + counts) - theta_k), counted by a regular expression and plain loops."""
+    import math
+    import re
+    from collections import Counter
+
+    docs, labels = table(spark)
+    model = toxicity.fit(docs, labels)
+    weight = dict(zip(model.names, model.weights, strict=True))
+    clash = docs.withColumnsRenamed({"grade": "p_toxic"})
+    got = {r.doc_id: r for r in toxicity.score(clash, model).collect()}
+    for r in docs.collect():
+        counts = Counter()
+        for w in re.findall(r"[^\W\d_]+", (r.text or "").lower()):
+            counts.update(f for f in [w, *(w[:n] + "~" for n in (4, 5, 6, 7) if len(w) > n)] if f in weight)
+        at = sum(weight[f] * math.log(1 + n) for f, n in counts.items())
+        above = [1 / (1 + math.exp(-max(-40, min(40, at - t)))) for t in model.thetas]
+        mass = [1 - above[0], above[0] - above[1], above[1]]
+        mine = got[r.doc_id]
+        assert math.isclose(mine.expected_severity, sum(above), rel_tol=1e-6, abs_tol=1e-9) and math.isclose(mine.p_toxic, above[0], rel_tol=1e-6, abs_tol=1e-9)
+        assert mine.grade == mass.index(max(mass)) and mine.toxic == (above[0] >= model.cut)
+
+
+def test_ordinal_gradient_is_that_of_the_likelihood():
+    """At the fit no small move of a weight or threshold raises the penalised likelihood."""
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(300, 4))
+    y = np.digitize(x @ np.array([1.0, -2.0, 0.5, 0.0]) + rng.logistic(size=300), [-1, 1])
+    w, theta = toxicity.fit_ordinal(x, y, 3, l2=0.3, steps=3000)
+
+    def loss(w, theta):
+        edges = np.concatenate([[-np.inf], theta, [np.inf]])
+        s = x @ w
+        p = 1 / (1 + np.exp(-(edges[y + 1] - s))) - 1 / (1 + np.exp(-(edges[y] - s)))
+        return -np.log(p).mean() + 0.15 * w @ w / len(y)
+
+    best = loss(w, theta)
+    for k in range(4):
+        for d in (-0.02, 0.02):
+            assert loss(w + d * np.eye(4)[k], theta) > best
+    for k in range(2):
+        for d in (-0.02, 0.02):
+            assert loss(w, theta + d * np.eye(2)[k]) > best
