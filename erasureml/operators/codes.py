@@ -44,10 +44,10 @@ class Code:
         return self.rows(0, self.N)
 
     def apply(self, x: np.ndarray) -> np.ndarray:
-        """S x; rows that x lacks are zero."""
+        """S x along the first axis; rows that x lacks are zero."""
         if len(x) < self.n:
             x = np.concatenate([x, np.zeros((self.n - len(x), *x.shape[1:]))])
-        return self.fast(x) if self.fast else self.matrix() @ x
+        return self.fast(x) if self.fast else np.tensordot(self.matrix(), x, 1)
 
     def apply_t(self, z: np.ndarray) -> np.ndarray:
         return self.matrix().T @ z

@@ -1,8 +1,8 @@
 """What the workers answer: partial gradients, losses and curvatures of encoded rows, by worker.
 
 `ScanPartials` runs one job a round; the filter on worker is pushed to a layout by worker, so erased workers' files
-are not read.  `GramPartials` reads the data once and keeps p x p sums for each worker: for p up to about 2000 all rounds
-then cost nothing.  Both give the same numbers.
+are not read.  `GramPartials` reads the data once and keeps p x p sums for each worker on the driver: all rounds then cost
+nothing, but only up to GRAM_BYTES, beyond which it refuses; `partials_of` chooses.  Both give the same numbers.
 """
 
 from __future__ import annotations
@@ -14,18 +14,19 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from erasureml.operators.encode import stacked
+from erasureml.operators.encode import ALWAYS, group_of, stacked
 
 SUMS = "worker int, sums array<double>"
 
 
-def _summed(df: DataFrame, tree: int = 0) -> dict[int, np.ndarray]:
-    """Element-wise sums by worker: in tasks first, then by worker (and by worker mod tree, where the driver needs the total only)."""
+def _summed(df: DataFrame, tree: int = 0, keep: int | None = None) -> dict[int, np.ndarray]:
+    """Element-wise sums by worker: in tasks first, then by worker (and by worker mod tree, where the driver needs the total
+    only; the worker `keep` stays by itself)."""
 
     def add(frame: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"worker": frame["worker"][:1].to_list(), "sums": [stacked(frame["sums"]).sum(0)]})
 
-    key = (F.col("worker") % tree).alias("worker") if tree else F.col("worker")
+    key = F.when(F.col("worker") == (keep if keep is not None else -(1 << 30)), F.col("worker")).otherwise(F.col("worker") % tree).cast("int").alias("worker") if tree else F.col("worker")
     rows = df.select(key, "sums").groupBy("worker").applyInPandas(add, SUMS).collect()  # as many rows as logical workers
     return {r["worker"]: np.array(r["sums"]) for r in rows}
 
@@ -51,7 +52,7 @@ def _accumulated(df: DataFrame, value) -> DataFrame:
 
 
 class ScanPartials:
-    """enc: (worker, x, y). tree: sum over worker mod tree before the driver."""
+    """enc: (worker, x, y), best laid out by worker (encode.write_by_worker), so that erased workers' files aren't read."""
 
     def __init__(self, enc: DataFrame, m: int, p: int) -> None:
         self.enc, self.m, self.p = enc, m, p
@@ -59,6 +60,23 @@ class ScanPartials:
     def _live(self, active: np.ndarray) -> DataFrame:
         return self.enc.where(F.col("worker").isin(np.flatnonzero(active).tolist()))
 
+    def total(self, w: np.ndarray, active: np.ndarray, tree: int = 16) -> tuple[np.ndarray, float]:
+        """The sum over active workers only: two levels of sums, so the driver gets `tree` rows whatever m is.
+
+        Rows that are never erased count in full beside the others' sum times m / k, so that the total stands for all.
+        """
+        k, m = int(active.sum()), self.m
+
+        def value(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+            r = x @ w - y
+            return np.append(x.T @ r, r @ r)
+
+        live = self.enc.where(F.col("worker").isin([ALWAYS, *np.flatnonzero(active).tolist()]))
+        out = np.zeros(self.p + 1)
+        for i, v in _summed(_accumulated(live, value), tree, keep=ALWAYS).items():
+            out += v if i == ALWAYS else v * (m / max(k, 1))
+        return out[:-1], float(out[-1])
+
     def gradients(self, w: np.ndarray, active: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(m, p) partial gradients E'(E w - e), zero where erased, and (m,) losses |E w - e|^2."""
 
@@ -79,8 +97,19 @@ class ScanPartials:
         return out
 
 
+#: Bytes of sums by worker that a driver may hold.
+GRAM_BYTES = 1 << 30
+
+
+def partials_of(enc: DataFrame, m: int, p: int, gram_bytes: int = GRAM_BYTES):
+    """Sums kept on the driver if they fit in gram_bytes, a scan a round beyond."""
+    return GramPartials(enc, m, p) if 8 * m * (p * p + p + 1) <= gram_bytes else ScanPartials(enc, m, p)
+
+
 class GramPartials:
     def __init__(self, enc: DataFrame, m: int, p: int) -> None:
+        if 8 * m * (p * p + p + 1) > GRAM_BYTES:
+            raise MemoryError(f"{m} workers' sums of {p} x {p} don't fit in GRAM_BYTES: use ScanPartials")
         self.m, self.p = m, p
         self.G, self.c, self.s = np.zeros((m, p, p)), np.zeros((m, p)), np.zeros(m)
         sums = _accumulated(enc, lambda x, y: np.concatenate([(x.T @ x).ravel(), x.T @ y, [y @ y]]))
@@ -125,7 +154,7 @@ class OnlinePartials:
             return pd.DataFrame({"worker": [worker], "sums": [np.append(x.T @ (s.T @ r), r @ r)]})
 
         live = self.support.where(F.col("worker").isin(np.flatnonzero(active).tolist()))
-        parts = live.groupBy("worker", (F.col("row_id") / code.n).cast("long")).applyInPandas(lambda f: value(f), SUMS)
+        parts = live.groupBy("worker", group_of(F.col("row_id"), code.n)).applyInPandas(lambda f: value(f), SUMS)
         g, loss = np.zeros((self.m, self.p)), np.zeros(self.m)
         for i, v in _summed(parts).items():
             g[i], loss[i] = v[:-1], v[-1]
