@@ -1,8 +1,14 @@
 """Matrix factorisation by alternating ridge problems, coded where they are large.
 
 A rating is x_user . y_item + u_user + v_item + b; every half epoch solves, for each user (item), a ridge problem of
-dimension p + 1 on the ratings it has.  Users with fewer than `threshold` ratings are solved exactly where their
-rows are; larger ones go through coded quasi-Newton steps over m logical workers of which k reply.
+dimension q = p + 1 on the ratings it has.  Ids with fewer than `threshold` ratings are solved exactly where their rows are;
+larger ones go through quasi-Newton steps over m logical workers of which k reply.
+
+Several schemes run side by side: factors carry a `scheme`, and a half epoch is one job for all of them.  An id's rows are
+taken in groups of `GROUP`; all groups of a batch are encoded in one product (S is block-diagonal), and what a worker
+would hold of an id is summed to a q x q matrix at once.  All that follows acts on these sums, for many ids at a time.
+An id with more than SPREAD ratings is dealt over several tasks, whose sums are added in two steps, so no id's ratings
+have to meet in one task.
 """
 
 from __future__ import annotations
@@ -11,97 +17,276 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from erasureml.functions.uniform import uniform, uniform_np
-from erasureml.operators.codes import CodeBank, assign
+from erasureml.operators.codes import Code, CodeBank, assign
 from erasureml.operators.encode import stacked
-from erasureml.operators.partials import GramPartials
-from erasureml.operators.solvers import Problem, lbfgs
+
+GROUP, SPREAD, BATCH_BYTES = 32, 1 << 14, 16 << 20
+DELAY = 0.01
+EXACT, COPIES = "exact", "replication"
+_BANKS: dict[str, CodeBank] = {}
+
+
+def code_of(scheme: str) -> Code:
+    """The code of a scheme's groups, from a bank made once in a Python worker."""
+    name = "uncoded" if scheme in (EXACT, COPIES) else scheme
+    return _BANKS.setdefault(name, CodeBank(name, GROUP, GROUP)).get(GROUP)
 
 
-def coded_ridge(x: np.ndarray, y: np.ndarray, lam: float, scheme: str, m: int, k: int, rounds: int, seed: int, bank: CodeBank) -> np.ndarray:
-    """min |x w - y|^2 + lam |w|^2 from the first k of m replies a round."""
-    n = len(y)
-    copies = None
-    if scheme == "replication":
+def workers_of(scheme: str, m: int) -> int:
+    """Different parts among m workers."""
+    return 1 if scheme == EXACT else m // 2 if scheme == COPIES else m
+
+
+def reply_delays(rounds: int, m: int, seed: int) -> np.ndarray:
+    """(2 rounds, m) exponential delays: a row a phase (gradient, line search)."""
+    return -DELAY * np.log(uniform_np(np.arange(2 * rounds)[:, None], np.arange(m)[None, :], seed))
+
+
+def round_weights(scheme: str, m: int, k: int, delays: np.ndarray) -> np.ndarray:
+    """(phases, parts): by how much each part's sum counts: k of m replies, of copies the first, scaled to stand for all."""
+    rank = delays.argsort(1, kind="stable").argsort(1, kind="stable")
+    live = rank < k
+    if scheme == EXACT:
+        return np.ones((len(delays), 1))
+    if scheme == COPIES:
         parts = m // 2
-        blocks = [(x[np.arange(n) % parts == i % parts], y[np.arange(n) % parts == i % parts]) for i in range(m)]
-        copies = np.arange(m) % parts
-    else:
-        code = bank.get(n)
-        e, worker = code.apply(np.c_[x, y]), assign(code, m, "scatter", 1)
-        blocks = [(e[worker == i, :-1], e[worker == i, -1]) for i in range(m)]
-    delay = uniform_np(np.arange(2 * rounds)[:, None], np.arange(m)[None, :], seed)
-    active = delay.argsort(1).argsort(1) < k
-    problem = Problem(GramPartials.of(blocks), n, m, x.shape[1], 2 * lam / n / 2, None, copies)
-    return lbfgs(problem, active[:rounds], active[rounds:], memory=5).w
-
-
-def half_epoch(ratings: DataFrame, other: DataFrame, own: str, by: str, *, rank: int, lam: float, base: float, scheme: str, m: int, k: int, rounds: int, threshold: int, seed: int) -> DataFrame:
-    """(own, f, bias) for every id with a rating, from the other side's factors."""
-    joined = ratings.select(own, by, "rating").join(other.withColumnRenamed("bias", "o_bias").withColumnRenamed("f", "o_f"), by)
-
-    def solve(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-        if len(y) < threshold or scheme == "exact":
-            return np.linalg.solve(x.T @ x + lam * np.eye(rank + 1), x.T @ y)
-        return coded_ridge(x, y, lam, scheme, m, k, rounds, seed, _bank(scheme))
-
-    def whole(frame: pd.DataFrame, cuts: np.ndarray) -> pd.DataFrame:
-        """The groups between the cuts, solved; arrays are made once for all of them."""
-        x = np.c_[stacked(frame["o_f"]), np.ones(len(frame))] if len(frame) else np.zeros((0, rank + 1))
-        y, ids = frame["rating"].to_numpy() - frame["o_bias"].to_numpy() - base, frame[own].to_numpy()
-        w = [solve(x[i:j], y[i:j]) for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
-        return pd.DataFrame({own: ids[cuts[:-1]], "f": [v[:-1] for v in w], "bias": [v[-1] for v in w]})
-
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        rest: list[pd.DataFrame] = []  # of the group that the next batch may go on with
-        for frame in frames:
-            frame = pd.concat([*rest, frame], ignore_index=True)
-            ids = frame[own].to_numpy()
-            cuts = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]]))
+        got = live[:, : 2 * parts].reshape(len(live), 2, parts).any(1)
+        return got * (parts / np.maximum(got.sum(1, keepdims=True), 1))
+    return live * (m / k)
+
+
+def clock_of(scheme: str, m: int, k: int, delays: np.ndarray) -> float:
+    """Seconds that the coordinator waits for replies in all phases."""
+    return float(np.sort(delays, 1)[:, (m if scheme == EXACT else k) - 1].sum())
+
+
+def quasi_newton(gram: np.ndarray, c: np.ndarray, lam: float, weights: np.ndarray, rounds: int, memory: int = 5, rho: float = 0.9) -> np.ndarray:
+    """min |X w - y|^2 + lam |w|^2 for many ids at once, from the sums of their parts.
+
+    gram: (ids, parts, q, q), c: (ids, parts, q); weights: those of the gradient phases, then those of the line searches.
+    Curvature pairs come from the parts that counted in two rounds on end.
+    """
+    b, _, q = c.shape
+    w = np.zeros((b, q))
+    pairs: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    scale = np.ones(b)
+    step_before = None
+    for t in range(rounds):
+        a = weights[t]
+        g = np.einsum("bij,bj->bi", np.tensordot(a, gram, (0, 1)), w) - np.tensordot(a, c, (0, 1)) + lam * w
+        if step_before is not None:
+            both = (weights[t] > 0) & (weights[t - 1] > 0)
+            if both.any():
+                u = step_before
+                r = np.einsum("bij,bj->bi", np.tensordot(both * (len(both) / both.sum()), gram, (0, 1)), u) + lam * u
+                ur, uu = (u * r).sum(1), (u * u).sum(1)
+                ok = ur > 1e-12 * uu
+                inverse = np.where(ok, 1 / np.where(ok, ur, 1), 0)
+                pairs = [*pairs, (u, r, inverse)][-memory:]
+                rr = (r * r).sum(1)
+                scale = np.where(ok, ur / np.where(ok, rr, 1), scale)
+        d, back = g.copy(), []
+        for u, r, inverse in reversed(pairs):
+            x = inverse * (u * d).sum(1)
+            back.append(x)
+            d = d - x[:, None] * r
+        d = d * scale[:, None] if pairs else d
+        for (u, r, inverse), x in zip(pairs, reversed(back), strict=True):
+            d = d + u * np.where(inverse > 0, x - inverse * (r * d).sum(1), 0)[:, None]
+        bend = np.einsum("bi,bij,bj->b", d, np.tensordot(weights[rounds + t], gram, (0, 1)), d) + lam * (d * d).sum(1)
+        step_before = -(rho * np.where(bend > 0, (d * g).sum(1) / np.where(bend > 0, bend, 1), 0))[:, None] * d
+        w = w + step_before
+    return w
+
+
+class Sums:
+    """Sums by part of many ids' problems: gram (ids, parts, q, q) and c (ids, parts, q)."""
+
+    def __init__(self, gram: np.ndarray, c: np.ndarray) -> None:
+        self.gram, self.c = gram, c
+
+    @classmethod
+    def of(cls, x: np.ndarray, y: np.ndarray, cuts: np.ndarray, scheme: str, m: int) -> Sums:
+        """Of the rows between the cuts; groups of GROUP rows are encoded, all of them in one product."""
+        sizes = np.diff(cuts)
+        q, parts = x.shape[1], workers_of(scheme, m)
+        z = np.column_stack([x, y])
+        if parts == 1:
+            out = np.add.reduceat(z[:, :, None] * z[:, None, :], cuts[:-1], axis=0)[:, None]
+            return cls(out[..., :q, :q], out[..., :q, q])
+        code = code_of(scheme)
+        groups = -(-sizes // GROUP)
+        first = np.cumsum(groups) - groups
+        place = np.arange(len(z)) - np.repeat(cuts[:-1], sizes)
+        full = np.zeros((GROUP, int(groups.sum()), q + 1))
+        full[place % GROUP, np.repeat(first, sizes) + place // GROUP] = z
+        e, worker = code.apply(full), assign(code, parts, "scatter", 1)
+        gram, c = np.zeros((len(sizes), parts, q, q)), np.zeros((len(sizes), parts, q))
+        for i in range(parts):
+            own = e[worker == i].transpose(1, 0, 2)
+            total = np.add.reduceat(own.transpose(0, 2, 1) @ own, first, axis=0)
+            gram[:, i], c[:, i] = total[:, :q, :q], total[:, :q, q]
+        return cls(gram, c)
+
+    def packed(self) -> np.ndarray:
+        return np.concatenate([self.gram.reshape(len(self.c), -1), self.c.reshape(len(self.c), -1)], 1)
+
+    @classmethod
+    def unpacked(cls, rows: np.ndarray, q: int) -> Sums:
+        parts = rows.shape[1] // (q * q + q)
+        return cls(rows[:, : parts * q * q].reshape(-1, parts, q, q), rows[:, parts * q * q :].reshape(-1, parts, q))
+
+    def solved(self, lam: float, weights: np.ndarray | None, rounds: int) -> np.ndarray:
+        if weights is None or self.c.shape[1] == 1:
+            return np.linalg.solve(self.gram.sum(1) + lam * np.eye(self.c.shape[2]), self.c.sum(1)[..., None])[..., 0]
+        return quasi_newton(self.gram, self.c, lam, weights, rounds)
+
+
+def counted(ratings: DataFrame) -> DataFrame:
+    """ratings with n_user and n_item, the training ratings of each id."""
+    out = ratings
+    for own in ("user", "item"):
+        n = ratings.where(~F.col("is_test")).groupBy(own).agg(F.count("*").alias(f"n_{own}"))
+        out = out.join(n, own, "left")
+    return out
+
+
+def half_epoch(ratings: DataFrame, other: DataFrame, own: str, by: str, *, rank: int, lam: float, base: float, m: int, k: int, rounds: int, threshold: int, seed: int, save=None, spread: int = SPREAD) -> DataFrame:
+    """(scheme, own, f, bias) for every id with a rating, from the other side's factors (scheme, by, f, bias).
+
+    ratings: (user, item, rating, n_user, n_item). save cuts lineage where an id's sums are added over tasks.
+    """
+    q = rank + 1
+    delays = reply_delays(rounds, m, seed)
+    joined = ratings.select(own, by, "rating", F.col(f"n_{own}").alias("n")).join(other.withColumnRenamed("bias", "o_bias").withColumnRenamed("f", "o_f"), by)
+    slots = F.ceil(F.col("n") / spread).cast("int")
+    salted = joined.withColumn("salt", F.when(F.col("n") > spread, F.pmod(F.xxhash64(by), slots)).otherwise(0).cast("int"))
+
+    def weights_of(scheme: str) -> np.ndarray:
+        return round_weights(scheme, m, k, delays)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rest: pa.Table | None = None  # of the id that the next batch may go on with
+        for batch in batches:
+            table = pa.Table.from_batches([batch])
+            table = table if rest is None else pa.concat_tables([rest, table]).combine_chunks()
+            cuts = edges(table)
             if len(cuts) > 1:
-                yield whole(frame, cuts)
-            rest = [frame.iloc[cuts[-1] :]]
-        if rest:
-            yield whole(rest[0], np.array([0, len(rest[0])]))
+                yield from whole(table.slice(0, int(cuts[-1])), cuts)
+            rest = table.slice(int(cuts[-1]))
+        if rest is not None and len(rest):
+            yield from whole(rest, edges(rest))
+
+    def edges(table: pa.Table) -> np.ndarray:
+        new = np.zeros(len(table), bool)
+        new[:1] = True
+        for name in ("scheme", own, "salt"):
+            c = table[name].to_numpy(zero_copy_only=False)
+            new[1:] |= c[1:] != c[:-1]
+        return np.flatnonzero(new)
+
+    def whole(table: pa.Table, cuts: np.ndarray) -> Iterator[pa.RecordBatch]:
+        table = table.combine_chunks()
+        cuts = np.append(cuts[cuts < len(table)], len(table))
+        f = table["o_f"].combine_chunks()
+        x = np.column_stack([f.flatten().to_numpy().reshape(len(table), rank), np.ones(len(table))])
+        y = table["rating"].to_numpy() - table["o_bias"].to_numpy() - base
+        ids, n, schemes = table[own].to_numpy()[cuts[:-1]], table["n"].to_numpy()[cuts[:-1]], table["scheme"].to_numpy(zero_copy_only=False)[cuts[:-1]]
+        for scheme in pd.unique(schemes):
+            for kind, chosen in ((EXACT, n < threshold), (scheme, n >= threshold)):
+                own_ids = np.flatnonzero((schemes == scheme) & chosen)
+                room = max(1, BATCH_BYTES // (8 * q * q * workers_of(kind, m)))
+                for lo in range(0, len(own_ids), room):
+                    at = own_ids[lo : lo + room]
+                    rows = np.concatenate([np.arange(i, j) for i, j in zip(cuts[at], cuts[at + 1], strict=True)])
+                    sums = Sums.of(x[rows], y[rows], np.concatenate([[0], np.cumsum(cuts[at + 1] - cuts[at])]), kind, m)
+                    yield from told(scheme, kind, ids[at], n[at], sums)
 
+    def told(scheme: str, kind: str, ids: np.ndarray, n: np.ndarray, sums: Sums) -> Iterator[pa.RecordBatch]:
+        for part, done in ((n <= spread, True), (n > spread, False)):
+            if part.any():
+                some = Sums(sums.gram[part], sums.c[part])
+                w = some.solved(lam, None if kind == EXACT else weights_of(kind), rounds) if done else some.packed()
+                null = pa.nulls(int(part.sum()), pa.list_(pa.float64()))
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([scheme] * int(part.sum())), pa.array(ids[part]), lists(w[:, :-1]) if done else null, pa.array(w[:, -1] if done else np.zeros(int(part.sum()))), null if done else lists(w)],
+                    ["scheme", own, "f", "bias", "sums"],
+                )
+
+    fields = f"scheme string, {own} long, f array<double>, bias double, sums array<double>"
     # rows of an id side by side in one task, many ids a batch
-    return joined.repartition(own).sortWithinPartitions(own, by).select(own, "rating", "o_bias", "o_f").mapInPandas(run, f"{own} long, f array<double>, bias double")
+    dealt = salted.repartition("scheme", own, "salt").sortWithinPartitions("scheme", own, "salt", by)
+    out = dealt.select("scheme", own, "salt", "rating", "o_bias", "o_f", "n").mapInArrow(run, fields)
+    if save is None or not ratings.where(F.col(f"n_{own}") > spread).limit(1).count():
+        if save is None:
+            return out.where("sums is null").drop("sums").unionByName(_added(out, own, q, lam, m, rounds, threshold, weights_of))
+        return out.drop("sums")
+    out = save(out)
+    return out.where("sums is null").drop("sums").unionByName(_added(out, own, q, lam, m, rounds, threshold, weights_of))
 
 
-_BANKS: dict[str, CodeBank] = {}
+def _added(out: DataFrame, own: str, q: int, lam: float, m: int, rounds: int, threshold: int, weights_of) -> DataFrame:
+    """The solutions of ids whose sums come from several tasks."""
+
+    def add(frame: pd.DataFrame) -> pd.DataFrame:
+        return frame[:1].assign(sums=[stacked(frame["sums"]).sum(0)])
+
+    def solve(frame: pd.DataFrame) -> pd.DataFrame:
+        scheme, sums = frame["scheme"].iloc[0], Sums.unpacked(stacked(frame["sums"]).sum(0)[None], q)
+        w = sums.solved(lam, None if sums.c.shape[1] == 1 else weights_of(scheme), rounds)[0]
+        return pd.DataFrame({"scheme": [scheme], own: frame[own][:1].to_list(), "f": [w[:-1]], "bias": [w[-1]]})
+
+    several = out.where("sums is not null").select("scheme", own, "sums").withColumn("slot", F.pmod(F.xxhash64("sums"), F.lit(64)).cast("int"))
+    some = several.groupBy("scheme", own, "slot").applyInPandas(add, f"scheme string, {own} long, sums array<double>, slot int")
+    return some.groupBy("scheme", own).applyInPandas(solve, f"scheme string, {own} long, f array<double>, bias double")
 
 
-def _bank(scheme: str) -> CodeBank:
-    """Made once in a Python worker; columns are chosen by size."""
-    return _BANKS.setdefault(scheme, CodeBank(scheme, 16, 100_000))
+def lists(rows: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype=np.int32) * rows.shape[1]), pa.array(np.ascontiguousarray(rows).ravel()))
 
 
-def predicted(ratings: DataFrame, users: DataFrame, items: DataFrame, base: float) -> DataFrame:
-    """ratings with guess; ids without factors count as zero."""
-    u = users.select("user", F.col("f").alias("uf"), F.col("bias").alias("ub"))
-    v = items.select("item", F.col("f").alias("vf"), F.col("bias").alias("vb"))
+def predicted(ratings: DataFrame, users: DataFrame, items: DataFrame, base: float, schemes: list[str]) -> DataFrame:
+    """ratings by scheme with guess; ids without factors count as zero."""
+    u = users.select("scheme", "user", F.col("f").alias("uf"), F.col("bias").alias("ub"))
+    v = items.select("scheme", "item", F.col("f").alias("vf"), F.col("bias").alias("vb"))
     dot = F.coalesce(F.aggregate(F.zip_with("uf", "vf", lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x), F.lit(0.0))
-    return ratings.join(u, "user", "left").join(v, "item", "left").withColumn("guess", dot + F.coalesce("ub", F.lit(0.0)) + F.coalesce("vb", F.lit(0.0)) + base)
+    each = ratings.withColumn("scheme", F.explode(F.array(*map(F.lit, schemes))))
+    return each.join(u, ["scheme", "user"], "left").join(v, ["scheme", "item"], "left").withColumn("guess", dot + F.coalesce("ub", F.lit(0.0)) + F.coalesce("vb", F.lit(0.0)) + base)
 
 
 def rmse(predictions: DataFrame) -> DataFrame:
-    return predictions.groupBy("is_test").agg(F.sqrt(F.avg(F.pow(F.col("rating") - F.col("guess"), 2))).alias("rmse"))
+    return predictions.groupBy(*(c for c in ("scheme", "is_test") if c in predictions.columns)).agg(F.sqrt(F.avg(F.pow(F.col("rating") - F.col("guess"), 2))).alias("rmse"))
 
 
-def alternating(ratings: DataFrame, *, rank: int = 15, lam: float = 10.0, base: float = 3.0, epochs: int = 5, scheme: str = "paley", m: int = 8, k: int = 4, rounds: int = 12, threshold: int = 500, seed: int = 1, save=None) -> tuple[DataFrame, DataFrame, list[dict]]:
-    """(users, items, trace of train and test error by epoch). save cuts lineage after a half epoch."""
+def first_factors(items: DataFrame, rank: int, schemes: list[str], seed: int = 1) -> DataFrame:
+    """(scheme, item, f, bias) to begin with."""
+    f = F.transform(F.sequence(F.lit(0), F.lit(rank - 1)), lambda j: (uniform("item", j, seed + 17) - 0.5) / F.sqrt(F.lit(float(rank))))
+    return items.select("item").distinct().select(F.explode(F.array(*map(F.lit, schemes))).alias("scheme"), "item", f.alias("f"), F.lit(0.0).alias("bias"))
+
+
+def alternating(ratings: DataFrame, *, rank: int = 15, lam: float = 10.0, base: float = 3.0, epochs: int = 5, schemes: list[str] | str = "paley", m: int = 8, k: int = 4, rounds: int = 12, threshold: int = 500, seed: int = 1, save=None, each: bool = True, spread: int = SPREAD) -> tuple[DataFrame, DataFrame, list[dict]]:
+    """(users, items, trace of scheme, epoch, train and test error and clock). save cuts lineage after a half epoch.
+
+    each: errors after every epoch, else after the last.
+    """
+    schemes = [schemes] if isinstance(schemes, str) else list(schemes)
     save = save or (lambda df: df.persist())
+    ratings = save(counted(ratings))
     train = ratings.where(~F.col("is_test"))
-    f = F.transform(F.sequence(F.lit(0), F.lit(rank - 1)), lambda j: (uniform("item", j, seed + 17) - 0.5) / F.sqrt(F.lit(float(rank))))
-    items = train.select("item").distinct().select("item", f.alias("f"), F.lit(0.0).alias("bias"))
-    users, trace = None, []
-    kw = {"rank": rank, "lam": lam, "base": base, "scheme": scheme, "m": m, "k": k, "rounds": rounds, "threshold": threshold}
+    items, users, trace = first_factors(train, rank, schemes, seed), None, []
+    kw = {"rank": rank, "lam": lam, "base": base, "m": m, "k": k, "rounds": rounds, "threshold": threshold, "save": save, "spread": spread}
+    clock = dict.fromkeys(schemes, 0.0)
     for epoch in range(epochs):
         users = save(half_epoch(train, items, "user", "item", seed=seed + 2 * epoch, **kw))
         items = save(half_epoch(train, users, "item", "user", seed=seed + 2 * epoch + 1, **kw))
-        errors = {r["is_test"]: r["rmse"] for r in rmse(predicted(ratings, users, items, base)).collect()}
-        trace.append({"epoch": epoch, "train_rmse": errors.get(False), "test_rmse": errors.get(True)})
+        for s in schemes:
+            clock[s] += sum(clock_of(s, m, k, reply_delays(rounds, m, seed + 2 * epoch + half)) for half in (0, 1))
+        if each or epoch == epochs - 1:
+            errors = {(r["scheme"], r["is_test"]): r["rmse"] for r in rmse(predicted(ratings, users, items, base, schemes)).collect()}
+            trace += [{"scheme": s, "epoch": epoch, "train_rmse": errors.get((s, False)), "test_rmse": errors.get((s, True)), "clock": clock[s]} for s in schemes]
     return users, items, trace

@@ -687,10 +687,36 @@ def rmse_bias_model(spark: SparkSession, sf: str) -> DataFrame:
 def _factorise(scheme: str, m: int, k: int):
     def run(spark: SparkSession, sf: str) -> DataFrame:
         """Planted ratings, 2 epochs of rank 5; groups of 16 ratings and more are coded."""
-        r = saved(fixtures.ratings_planted(spark, sf))
-        _, _, trace = factorization.alternating(r, rank=5, lam=2.0, epochs=2, scheme=scheme, m=m, k=k, threshold=16, rounds=8, save=saved)
-        _, clock = compare.replies(spark, stragglers.exponential(), 8, m, k, 1, ("grad", "line"))
-        return spark.createDataFrame([(scheme, m, k, t["epoch"], t["train_rmse"], t["test_rmse"], float(clock[-1] * 2 * (t["epoch"] + 1))) for t in trace], "scheme string, m long, k long, epoch long, train_rmse double, test_rmse double, clock double")
+        _, _, trace = factorization.alternating(fixtures.ratings_planted(spark, sf), rank=5, lam=2.0, epochs=2, schemes=scheme, m=m, k=k, threshold=16, rounds=8, save=saved)
+        return spark.createDataFrame([(scheme, m, k, t["epoch"], t["train_rmse"], t["test_rmse"], t["clock"]) for t in trace], "scheme string, m long, k long, epoch long, train_rmse double, test_rmse double, clock double")
+
+
+MF_SCHEMES = ["exact", "uncoded", "replication", "gaussian", "paley", "hadamard"]
+
+
+def mf_table(spark: SparkSession, sf: str, m: int, k: int, raw: bool) -> DataFrame:
+    """All schemes side by side at rank 15, lambda 10, base 3, 5 epochs; ids with 8 ratings or more are coded ('exact': none)."""
+    r = fixtures.ratings(spark, sf) if raw else fixtures.ratings_planted(spark, sf)
+    _, _, trace = factorization.alternating(r, schemes=MF_SCHEMES, m=m, k=k, threshold=8, rounds=8, save=saved, each=False)
+    return spark.createDataFrame([(t["scheme"], m, m if t["scheme"] == "exact" else k, t["train_rmse"], t["test_rmse"], t["clock"]) for t in trace], "scheme string, m long, k long, train_rmse double, test_rmse double, clock double")
+
+
+for _m, _k in ((8, 1), (8, 4), (8, 6), (24, 3), (24, 12)):
+    query(f"mf_table_m{_m}_k{_k}")(lambda spark, sf, m=_m, k=_k: mf_table(spark, sf, m, k, False))
+query("mf_table_raw_ratings")(lambda spark, sf: mf_table(spark, sf, 8, 4, True))
+
+
+@query(
+    "mf_exact_half_epoch",
+    f"""WITH r AS ({_SPLIT}), t AS (SELECT "user", rating - 3 AS y, {uniform_sql("item", "0", 18)} - 0.5e0 AS f FROM r WHERE NOT is_test),
+    g AS (SELECT "user", sum(f * f) + 10 AS a, sum(f) AS b, count(*) + 10e0 AS d, sum(f * y) AS p, sum(y) AS q FROM t GROUP BY 1)
+    SELECT "user", round((d * p - b * q) / (a * d - b * b), 5) + 0e0 AS factor, round((a * q - b * p) / (a * d - b * b), 5) + 0e0 AS bias FROM g""",
+)
+def mf_exact_half_epoch(spark: SparkSession, sf: str) -> DataFrame:
+    """One half epoch of rank 1 for the users, exactly: the 2 x 2 normal equations of every user."""
+    r = factorization.counted(fixtures.ratings(spark, sf)).where(~F.col("is_test"))
+    out = factorization.half_epoch(r, factorization.first_factors(r, 1, ["exact"]), "user", "item", rank=1, lam=10.0, base=3.0, m=8, k=8, rounds=4, threshold=8, seed=1)
+    return out.select("user", (F.round(F.col("f")[0], 5) + 0.0).alias("factor"), (F.round("bias", 5) + 0.0).alias("bias"))
 
     return run
 

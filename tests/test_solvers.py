@@ -237,7 +237,7 @@ def test_factorisation_learns_planted_ratings(spark):
     r = fixtures.ratings_planted(spark, AT).persist()
     error = {}
     for scheme in ("exact", "hadamard", "uncoded"):
-        _, _, trace = factorization.alternating(r, rank=3, lam=1.0, epochs=2, scheme=scheme, m=8, k=4, threshold=8, rounds=8)
+        _, _, trace = factorization.alternating(r, rank=3, lam=1.0, epochs=2, schemes=scheme, m=8, k=4, threshold=8, rounds=8)
         error[scheme] = trace[-1]["train_rmse"]
     base = float(np.std([x.rating for x in r.select("rating").collect()]))
     assert error["exact"] < base and error["exact"] <= error["hadamard"] + 1e-9
@@ -255,3 +255,81 @@ def test_a_real_race_cancels_the_rest(spark):
     began = time.time()
     done = compare.wall_clock_round(spark, answer, 4, 3, pool=4)
     assert set(done) == {0, 1, 2} and time.time() - began < 15
+
+
+def test_batched_quasi_newton_is_the_single_one():
+    rng = np.random.default_rng(4)
+    cuts = np.array([0, 40, 100, 190])
+    x, y = rng.normal(size=(190, 5)), rng.normal(size=190)
+    delays = factorization.reply_delays(10, 8, 3)
+    for scheme, k in (("hadamard", 6), ("paley", 5), ("uncoded", 8), ("replication", 5)):
+        sums = factorization.Sums.of(x, y, cuts, scheme, 8)
+        weights = factorization.round_weights(scheme, 8, k, delays)
+        got = sums.solved(2.0, weights, 10)
+        again = factorization.Sums.unpacked(sums.packed(), 5).solved(2.0, weights, 10)
+        assert np.array_equal(got, again)
+        whole = np.stack([np.linalg.solve(x[i:j].T @ x[i:j] + 2 * np.eye(5), x[i:j].T @ y[i:j]) for i, j in zip(cuts[:-1], cuts[1:], strict=True)])
+        assert np.allclose(factorization.Sums.of(x, y, cuts, "exact", 8).solved(2.0, None, 0), whole)
+        if scheme != "replication":
+            assert np.allclose(sums.gram.sum(1), factorization.Sums.of(x, y, cuts, "exact", 8).gram[:, 0])
+        for i, (lo, hi) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+            if scheme == "replication":
+                continue
+            problem = solvers.Problem(partials.GramPartials.of([(np.linalg.cholesky(sums.gram[i, j] + 1e-13 * np.eye(5)).T, np.zeros(5)) for j in range(8)]), 1, 8, 5, 2.0)
+            problem.partials.G, problem.partials.c = sums.gram[i], sums.c[i]
+            rank = delays.argsort(1).argsort(1) < k
+            one = solvers.lbfgs(problem, rank[:10], rank[10:], memory=5).w
+            assert np.allclose(one, got[i], atol=1e-6), (scheme, i)
+
+
+def test_a_hot_id_is_solved_from_several_tasks(spark):
+    rng = np.random.default_rng(8)
+    rows = [(0, i, float(rng.integers(1, 6)), False) for i in range(600)] + [(u, int(i), float(rng.integers(1, 6)), False) for u in range(1, 30) for i in rng.choice(600, 20, replace=False)]
+    r = spark.createDataFrame(rows, "user long, item long, rating double, is_test boolean")
+    runs = []
+    for spread in (1 << 14, 100):
+        users, _, trace = factorization.alternating(r, rank=2, lam=1.0, epochs=1, schemes=["exact"], m=8, k=8, rounds=4, threshold=50, spread=spread)
+        runs.append({x.user: [*x.f, x.bias] for x in users.collect()})
+    assert all(np.allclose(runs[0][u], runs[1][u]) for u in runs[0])
+    coded, _, _ = factorization.alternating(r, rank=2, lam=1.0, epochs=1, schemes=["hadamard"], m=8, k=8, rounds=12, threshold=50, spread=100)
+    got = {x.user: [*x.f, x.bias] for x in coded.collect()}
+    assert np.allclose(got[0], runs[0][0], atol=1e-4)
+
+
+def test_encoding_refuses_what_no_sum_can_stand_for(spark):
+    code = codes.hadamard(8, 2, 1)
+    good = [(i, [float(i), 1.0], 2.0) for i in range(20)]
+    schema = "row_id long, x array<double>, y double"
+
+    def energy(rows):
+        e = encode.encode_rows(spark.createDataFrame(rows, schema), code, 4)
+        return sum(sum(v * v for v in r.x) + r.y * r.y for r in e.collect())
+
+    assert np.isclose(energy(good), sum(i * i + 5 for i in range(20)))
+    for bad in ((3, [1.0, 2.0], 0.0), (None, [1.0, 2.0], 0.0), (99, None, 0.0), (99, [1.0], 0.0), (99, [1.0, None], 0.0), (99, [1.0, 2.0], None)):
+        with pytest.raises(Exception, match="BadRows"):
+            energy([*good, bad])
+    big = (1 << 53) + 1
+    e = encode.encode_rows(spark.createDataFrame([(big * 8 + i, [1.0, float(i)], 0.0) for i in range(8)], schema), code, 4).collect()
+    assert {r.enc_row for r in e} == set(range(big * 16, big * 16 + 16))
+    df = spark.createDataFrame([(None, [float(i)], 0.0) for i in range(37)], schema).repartition(5)
+    assert sorted(r.row_id for r in encode.numbered(df).collect()) == list(range(37))
+    assert encode.encode_rows(spark.createDataFrame([], schema), code, 4).collect() == []
+
+
+def test_absorbed_ridge_rows_are_never_erased(spark):
+    rng = np.random.default_rng(2)
+    x, y, w, lam = rng.normal(size=(56, 3)), rng.normal(size=56), rng.normal(size=3), 0.7
+    df = spark.createDataFrame([(i, x[i].tolist(), float(y[i])) for i in range(56)], "row_id long, x array<double>, y double")
+    both = encode.absorb_ridge(df, lam, 3)
+    for mode in ("grouped", "join"):
+        enc = encode.encode_rows(both, codes.hadamard_etf(3), 8, mode=mode)
+        rows = enc.collect()
+        assert np.isclose(sum(sum(v * v for v in r.x) for r in rows), (x * x).sum() + 3 * lam)
+        assert sorted(r.enc_row for r in rows if r.worker == encode.ALWAYS) == [-3, -2, -1]
+        g, _ = partials.ScanPartials(enc, 8, 3).total(w, np.ones(8, bool))
+        assert np.allclose(g, x.T @ (x @ w - y) + lam * w)
+        live = np.arange(8) < 6
+        g, _ = partials.ScanPartials(enc, 8, 3).total(w, live)
+        part = sum(np.array(r.x) * (np.dot(r.x, w) - r.y) for r in rows if 0 <= r.worker < 6) * 8 / 6
+        assert np.allclose(g, part + lam * w)
