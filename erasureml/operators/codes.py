@@ -17,6 +17,9 @@ from erasureml.functions.transforms import fwht, haar as haar_transform
 from erasureml.functions.uniform import counted_np, normal_np, ranked, uniform_np
 
 
+SLAB_BYTES = 64 << 20
+
+
 @dataclass(frozen=True)
 class Code:
     """n source rows to N encoded rows. maker(i, j) gives entries; fast(X), if any, gives S X."""
@@ -29,6 +32,7 @@ class Code:
     block: int = 1
     tight: bool = True
     copies: int = 1
+    fast_t: Callable[[np.ndarray], np.ndarray] | None = field(default=None, repr=False)
 
     @property
     def beta(self) -> float:
@@ -47,10 +51,19 @@ class Code:
         """S x along the first axis; rows that x lacks are zero."""
         if len(x) < self.n:
             x = np.concatenate([x, np.zeros((self.n - len(x), *x.shape[1:]))])
-        return self.fast(x) if self.fast else np.tensordot(self.matrix(), x, 1)
+        if self.fast:
+            return self.fast(x)
+        return np.concatenate([np.tensordot(self.rows(lo, hi), x, 1) for lo, hi in self._slabs()])
 
     def apply_t(self, z: np.ndarray) -> np.ndarray:
-        return self.matrix().T @ z
+        """S'z; like `apply` it never holds more than SLAB_BYTES of S."""
+        if self.fast_t:
+            return self.fast_t(z)
+        return sum(np.tensordot(self.rows(lo, hi).T, z[lo:hi], 1) for lo, hi in self._slabs())
+
+    def _slabs(self) -> list[tuple[int, int]]:
+        step = max(1, SLAB_BYTES // (8 * self.n))
+        return [(lo, min(lo + step, self.N)) for lo in range(0, self.N, step)]
 
     def support(self, rows: np.ndarray) -> np.ndarray:
         """Source rows that these encoded rows touch."""
@@ -107,7 +120,7 @@ def _spread(n: int, at: np.ndarray, size: int, signs: np.ndarray | None = None):
 
 
 def identity(n: int) -> Code:
-    return Code("uncoded", n, n, lambda i, j: (i == j).astype(float), lambda x: np.array(x, float))
+    return Code("uncoded", n, n, lambda i, j: (i == j).astype(float), lambda x: np.array(x, float), fast_t=lambda z: np.array(z, float))
 
 
 def replication(n: int, r: int = 2) -> Code:
@@ -121,7 +134,11 @@ def hadamard(n: int, beta: float = 2, seed: int = 1, signs: bool = False) -> Cod
     at = np.sort(ranked(size, seed)[:n])
     sign = np.where(uniform_np(np.arange(n), 1, seed) < 0.5, -1.0, 1.0) if signs else np.ones(n)
     put = _spread(n, at, size, sign)
-    return Code("hadamard", n, size, lambda i, j: _sign(i, at[j]) * sign[j] / np.sqrt(size), lambda x: fwht(put(x)) / np.sqrt(size))
+
+    def back(z: np.ndarray) -> np.ndarray:  # a Sylvester matrix is its own transpose
+        return fwht(z)[at] * sign.reshape(-1, *[1] * (z.ndim - 1)) / np.sqrt(size)
+
+    return Code("hadamard", n, size, lambda i, j: _sign(i, at[j]) * sign[j] / np.sqrt(size), lambda x: fwht(put(x)) / np.sqrt(size), fast_t=back)
 
 
 def hadamard_full(size: int) -> Code:
@@ -269,6 +286,20 @@ def columns_of(code: Code, n: int, seed: int = 1) -> Code:
     return Code(code.name, n, code.N, lambda i, j: code.maker(i, at[j]), (lambda x: code.fast(put(x))) if code.fast else None, code.block, code.tight)
 
 
+def padded(code: Code, n: int) -> Code:
+    """A code for n source rows from one for more, the missing rows being zeros: the first n columns, S'S = I is kept."""
+    if n > code.n:
+        raise ValueError(f"{code.name} has {code.n} source rows")
+    put = _spread(n, np.arange(n), code.n)
+    return Code(code.name, n, code.N, code.maker, (lambda x: code.fast(put(x))) if code.fast else None, code.block, code.tight)
+
+
+def fitted(make: Callable[[int, int], Code], n: int, pad: str = "subsample", seed: int = 1) -> Code:
+    """The family's code for at least n rows brought to n: by a choice of columns ('subsample') or by zero rows ('zeros')."""
+    whole = make(n, 1)
+    return columns_of(whole, n, seed) if pad == "subsample" else padded(whole, n)
+
+
 def _prime_over(n: int) -> int:
     q = 2 * n - 1
     while q % 4 != 1 or any(q % d == 0 for d in range(2, int(q**0.5) + 1)):
