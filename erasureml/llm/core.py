@@ -9,6 +9,8 @@ block sends a hash once, a key that a third of all rows hold costs one entry a b
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import hashlib
 import shutil
 import tempfile
@@ -33,14 +35,18 @@ _MASK = (1 << 64) - 1
 # ---------------------------------------------------------------- session
 
 
-BATCH_ROWS = 512
+BATCH_ROWS, BATCH_BYTES = 512, 8 << 20
 
 
 def few_rows(df: DataFrame) -> DataFrame:
-    """df itself; from here on the session sends Python at most BATCH_ROWS rows at once, as rows hold whole texts."""
-    conf, name = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(conf.get(name)) <= BATCH_ROWS:
-        conf.set(name, str(BATCH_ROWS))
+    """df itself; from here on the session sends Python at most BATCH_ROWS rows or about BATCH_BYTES at once, as rows hold whole
+    texts.  (The plan reads both settings when it runs, which is after this returns, so they can't be put back here.)"""
+    conf = df.sparkSession.conf
+    for name, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        name = f"spark.sql.execution.arrow.{name}"
+        now = (conf.get(name, None) or "").removesuffix("b")
+        if not (now.isdigit() and 0 < int(now) <= most):
+            conf.set(name, str(most))
     return df
 
 
@@ -89,6 +95,13 @@ def reliable(df: DataFrame, dealt: bool = False) -> DataFrame:
         conf.set(name, before)
 
 
+def give_back() -> None:
+    """Hand freed memory back to the system, as a Python worker outlives its task and the next one runs in the JVM beside it."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 # ---------------------------------------------------------------- packing
 
 

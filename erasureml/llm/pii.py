@@ -106,8 +106,9 @@ def with_base(docs: DataFrame) -> DataFrame:
 
 
 def with_candidates(docs: DataFrame) -> DataFrame:
-    """Adds _found: candidates (k, s, e, base: meets a base span of its kind, and FLAGS as 0/1)."""
-    out = docs.withColumns({"_loose_at": F.expr(located("_text", LOOSE_AT, "_at")), "_loose_n": F.expr(located("_text", LOOSE_NUMBER, "_digit"))})
+    """Adds _found: the candidates that meet no base span (k, s, e and FLAGS as 0/1)."""
+    free = "filter({}, x -> not exists(_base, b -> b.s < x.e and x.s < b.e))"  # most meet one: their flags aren't needed
+    out = docs.withColumns({"_loose_at": F.expr(free.format(located("_text", LOOSE_AT, "_at"))), "_loose_n": F.expr(free.format(located("_text", LOOSE_NUMBER, "_digit")))})
     digits = _digits("x.m")
     before = "lower(substring(_text, greatest(1, x.s - 23), least(24, x.s)))"
 
@@ -140,7 +141,7 @@ def with_candidates(docs: DataFrame) -> DataFrame:
             "otherwise": f"{before} rlike '(^|[^a-z])({OTHERWISE})[^a-z]*$'",
         }
         said = ", ".join(f"'{f}', if({flags[f]}, 1, 0)" for f in FLAGS)
-        return f"transform({source}, x -> named_struct('k', {k}, 's', x.s, 'e', x.e, 'base', exists(_base, b -> b.k = {k} and b.s < x.e and x.s < b.e), {said}))"
+        return f"transform({source}, x -> named_struct('k', {k}, 's', x.s, 'e', x.e, {said}))"
 
     parts = [made("_loose_at" if k == "email" else "_loose_n", i, k) for i, k in enumerate(KINDS)]
     return out.withColumn("_found", F.expr(f"concat({', '.join(parts)})")).drop("_loose_at", "_loose_n")
@@ -248,7 +249,7 @@ def planted(spark: SparkSession, rows: int = PLANTED_ROWS) -> DataFrame:
 
 def planted_candidates(spark: SparkSession, rows: int) -> DataFrame:
     """(fold, k, FLAGS, pos) of the candidates that meet no base span."""
-    found = with_candidates(with_base(planted(spark, rows))).select("kind", "s", "e", "fold", F.explode(F.expr("filter(_found, c -> not exists(_base, b -> b.s < c.e and c.s < b.e))")).alias("c"))
+    found = with_candidates(with_base(planted(spark, rows))).select("kind", "s", "e", "fold", F.explode("_found").alias("c"))
     pos = F.expr(f"int(c.k = kind and {RIGHT.format(s='c.s', e='c.e')})").alias("pos")
     return found.select("fold", "c.k", *(f"c.{f}" for f in FLAGS), pos)
 
@@ -375,8 +376,7 @@ def with_spans(docs: DataFrame, models: list[Booster]) -> DataFrame:
     """docs with _base and _spans (base and added, by kind and start)."""
     out = with_candidates(with_base(docs))
     scored = " ".join(f"when {k} then ({m.sql('c')}) - ({m.cut if math.isfinite(m.cut) else 1e9}D)" for k, m in enumerate(models))
-    free = "filter(_found, c -> not exists(_base, b -> b.s < c.e and c.s < b.e))"
-    out = out.withColumn("_more", F.expr(f"filter(transform({free}, c -> named_struct('k', c.k, 's', c.s, 'e', c.e, 'over', case c.k {scored} end)), c -> c.over >= 0)"))
+    out = out.withColumn("_more", F.expr(f"filter(transform(_found, c -> named_struct('k', c.k, 's', c.s, 'e', c.e, 'over', case c.k {scored} end)), c -> c.over >= 0)"))
     # of overlapping candidates the one furthest over its threshold stays, then the earlier kind and start
     out = out.withColumn("_more", F.expr("filter(_more, c -> not exists(_more, d -> d.s < c.e and c.s < d.e and (d.over > c.over or d.over = c.over and (d.k < c.k or d.k = c.k and d.s < c.s))))"))
     return out.withColumn("_spans", F.expr("array_sort(concat(_base, transform(_more, c -> named_struct('k', c.k, 's', c.s, 'e', c.e))))")).drop("_found", "_more", "_digit", "_at")

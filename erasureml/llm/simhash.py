@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from erasureml.llm.core import mix, few_rows, read_table, reliable
+from erasureml.llm.core import few_rows, give_back, mix, read_table, reliable
 
 RADIUS = 4
 SEED = 42
@@ -79,7 +79,7 @@ def _signed(x: int) -> int:
 
 
 def fingerprints(docs: DataFrame, size: int = 4, views: int = 0) -> DataFrame:
-    """(doc_id, f, views). f: the SimHash; with views, that of the set of shingles and a digest of the set."""
+    """(doc_id, f, views). f: the SimHash; with views, that of the set of shingles, a digest of the set and its size."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -87,9 +87,10 @@ def fingerprints(docs: DataFrame, size: int = 4, views: int = 0) -> DataFrame:
             for text in batch.column(1).to_pylist():
                 h = shingle_hashes(text, size)
                 h = np.unique(h) if views else h
-                prints.append([_signed(majority(h)), *([_signed(xxhash.xxh64_intdigest(h.tobytes(), SEED))] if views else [])])
+                prints.append([_signed(majority(h)), *([_signed(xxhash.xxh64_intdigest(h.tobytes(), SEED)), len(h)] if views else [])])
                 seen.append(thinned(h, views) if views else [])
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column(0).cast(pa.int64()), "f": pa.array(prints, pa.list_(pa.int64())), "views": pa.array(seen, pa.list_(pa.int64()))})
+        give_back()
 
     return few_rows(docs).select("doc_id", "text").mapInArrow(run, "doc_id long, f array<long>, views array<long>")
 
@@ -167,6 +168,8 @@ def by_bucket(dealt: DataFrame, links_of) -> DataFrame:
             yield found(frame, at[:-1], at[1:])
         if kept is not None:
             yield found(kept, np.array([0]), np.array([len(kept)]))
+        kept = None
+        give_back()
 
     def found(frame: pd.DataFrame, lo: np.ndarray, hi: np.ndarray) -> pd.DataFrame:
         out: list[tuple[int, int]] = []
@@ -178,10 +181,13 @@ def by_bucket(dealt: DataFrame, links_of) -> DataFrame:
     return dealt.repartition("bucket").sortWithinPartitions("bucket").mapInPandas(run, "a long, b long").where("a != b").distinct()
 
 
-def all_pairs(keys: DataFrame) -> DataFrame:
-    """(a, b), a < b: the pairs of nodes that share a key of a table; for buckets of few members."""
-    members = keys.groupBy("t", "key").agg(F.array_sort(F.collect_set("node")).alias("m")).select("m").distinct()
-    return members.select("m", F.explode("m").alias("a")).select("a", F.explode("m").alias("b")).where("a < b").distinct()
+def all_pairs(keys: DataFrame, similarity: float) -> DataFrame:
+    """(a, b), a < b: the pairs of nodes that share a key of a table and whose sets' sizes allow the similarity: the smaller is at
+    least that share of the larger. For buckets of few members. keys: (t, key, node, size)."""
+    members = keys.groupBy("t", "key").agg(F.array_sort(F.collect_set(F.struct("node", "size"))).alias("m")).select("m").distinct()
+    both = members.select("m", F.explode("m").alias("x")).select("x", F.explode("m").alias("y")).where("x.node < y.node")
+    fits = F.least("x.size", "y.size") >= F.greatest("x.size", "y.size") * similarity - 1e-9
+    return both.where(fits).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
 
 
 def forest(sets: list[np.ndarray], node: np.ndarray, similarity: float) -> list[tuple[int, int]]:
@@ -262,7 +268,7 @@ def grouped(prints: DataFrame, limit: int = RADIUS, radius: int = RADIUS, find=N
     masks = covering_masks(radius)
     tables = F.array(*(F.struct(F.lit(t).alias("t"), F.col("f")[0].bitwiseAND(F.lit(_signed(m))).alias("key")) for t, m in enumerate(masks)))
     seen = F.transform("views", lambda k: F.struct(F.lit(-1).alias("t"), k.alias("key")))
-    keys = distinct.select("node", F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "node")
+    keys = distinct.select("node", F.get("f", F.lit(2)).alias("size"), F.explode(F.concat(tables, seen)).alias("k")).select("k.t", "k.key", "node", "size")
     found = find(keys) if find else links(keys, distinct.select("node", "f"), limit)
     roots = components(found.select("a", "b").union(same_ids(prints, distinct)))
     named = distinct.join(roots, "node", "left").select("f", "views", F.coalesce("root", "node").alias("component_id"))
@@ -284,6 +290,7 @@ def shingle_sets(docs: DataFrame, nodes: DataFrame, size: int) -> DataFrame:
         for batch in batches:
             held = [np.unique(shingle_hashes(t, size)).tobytes() for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_pydict({"id": batch.column(0).cast(pa.int64()), "h": pa.array(held, pa.binary())})
+        give_back()
 
     texts = docs.select("doc_id", "text").join(nodes.toDF("n"), F.col("doc_id") == F.col("n"), "left_semi")
     return texts.mapInArrow(sets, "id long, h binary").groupBy("id").agg(F.max("h").alias("h"))
@@ -300,6 +307,7 @@ def alike(found: DataFrame, docs: DataFrame, size: int, similarity: float) -> Da
                 both = len(np.intersect1d(x, y, True))
                 keep.append(both >= similarity * (len(x) + len(y) - both))
             yield pa.RecordBatch.from_arrays([c.filter(pa.array(keep, pa.bool_())) for c in batch.columns[:2]], ["a", "b"])
+        give_back()
 
     nodes = found.select(F.col("a").alias("n")).union(found.select("b")).distinct()
     h = reliable(shingle_sets(docs, nodes, size))
@@ -318,7 +326,7 @@ def near_groups(docs: DataFrame, similarity: float = 0.8, size: int = 5) -> Data
     def find(keys: DataFrame) -> DataFrame:
         n = keys.groupBy("t", "key").agg(F.count("*").alias("n")).where("n >= 2")
         held = reliable(keys.join(n, ["t", "key"]))
-        few = all_pairs(held.where(F.col("n") <= ALL_PAIRS))
+        few = all_pairs(held.where(F.col("n") <= ALL_PAIRS), similarity)
         return alike(reliable(few), docs, size, similarity).union(crowded(held.where(F.col("n") > ALL_PAIRS), docs, size, similarity))
 
     return grouped(fingerprints(docs, size, VIEWS), find=find).select("doc_id", "component_id")

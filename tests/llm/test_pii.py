@@ -78,7 +78,8 @@ def test_added_spans_against_the_trees_in_python(spark):
     added = 0
     for r in pii.with_candidates(pii.with_base(docs)).join(pii.digest(docs, models).select("doc_id", "spans"), "doc_id").collect():
         base = [(b.k, b.s, b.e) for b in r._base]
-        free = [c.asDict() for c in r._found if not any(b[1] < c.e and c.s < b[2] for b in base)]
+        assert not any(b[1] < c.e and c.s < b[2] for b in base for c in r._found)
+        free = [c.asDict() for c in r._found]
         over = [(models[c["k"]].odds(c) - models[c["k"]].cut, c["k"], c["s"], c["e"]) for c in free]
         over = [o for o in over if o[0] >= 0]
         wins = [o for o in over if not any(p[2] < o[3] and o[2] < p[3] and (p[0] > o[0] + 1e-9 or abs(p[0] - o[0]) <= 1e-9 and p[1:3] < o[1:3]) for p in over if p is not o)]
