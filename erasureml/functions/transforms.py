@@ -88,3 +88,26 @@ def register(spark) -> None:
     spark.udtf.register("steiner_rows", table(codes.steiner))
     spark.udtf.register("paley_rows", table(codes.paley))
     spark.udtf.register("haar_rows", table(codes.haar_full))
+
+
+def vec_sum():
+    """Grouped aggregate: the element-wise sum of arrays of one length."""
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("array<double>")
+    def total(v: pd.Series) -> list:
+        return np.sum([np.asarray(x, float) for x in v], axis=0).tolist()
+
+    return total
+
+
+def gram():
+    """Grouped aggregate: the inner products of the columns of arrays, row by row."""
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("array<double>")
+    def products(v: pd.Series) -> list:
+        x = np.stack([np.asarray(r, float) for r in v])
+        return (x.T @ x).ravel().tolist()
+
+    return products

@@ -65,6 +65,17 @@ def speculated(delays: DataFrame, quantile: float, seed: int, mean: float) -> Da
     return late.select("t", "phase", "worker", F.when(F.col("delay") > F.col("at"), F.least("delay", F.col("at") + again)).otherwise(F.col("delay")).alias("delay"))
 
 
+def speculated_after(delays: DataFrame, replies: int, seed: int, mean: float) -> DataFrame:
+    """`speculated`, second copies starting exactly at the given number of replies of a round."""
+    from erasureml.operators.stragglers import first_k
+
+    ranked = first_k(delays, replies)
+    at = ranked.where(F.col("rank") == replies).select("t", "phase", F.col("delay").alias("at"))
+    again = -mean * F.log(uniform("t", "worker", seed + 77))
+    late = delays.join(at, ["t", "phase"])
+    return late.select("t", "phase", "worker", F.when(F.col("delay") > F.col("at"), F.least("delay", F.col("at") + again)).otherwise(F.col("delay")).alias("delay"))
+
+
 def coded_replication(df: DataFrame, code: codes.Code, m: int, p: int, lam: float, r: int = 2) -> solvers.Problem:
     """m / r encoded blocks, each on r workers; the first copy of a block counts."""
     blocks_ = m // r

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -74,3 +75,22 @@ def communication(p: int, k: int, n: int, kind: str) -> int:
 def trial_summary(traces: DataFrame) -> DataFrame:
     """Trials by scheme and round: mean, spread and quartiles of the objective."""
     return traces.groupBy("scheme", "t").agg(F.avg("objective").alias("mean"), F.stddev_samp("objective").alias("sd"), F.expr("percentile(objective, 0.25)").alias("q1"), F.expr("percentile(objective, 0.75)").alias("q3"), F.count("*").alias("trials"))
+
+
+def async_replay(delays: DataFrame, horizon: float) -> DataFrame:
+    """(run, worker, updates, stalest): asynchronous runs replayed event by event, a group a run, so that many go on at once.
+
+    delays: (run, t, worker, delay). A run's events are rounds x workers: the state of one coordinator.
+    """
+
+    def replay(frame: pd.DataFrame) -> pd.DataFrame:
+        frame = frame.sort_values(["worker", "t"])
+        done = frame.groupby("worker")["delay"].cumsum()
+        live = frame.assign(done=done)[done <= horizon].sort_values(["done", "worker"]).reset_index(drop=True)
+        last, updates, stalest = {}, {}, {}
+        for k, worker in enumerate(live["worker"].tolist(), 1):
+            stale = k - last.get(worker, 0) - 1
+            last[worker], updates[worker], stalest[worker] = k, updates.get(worker, 0) + 1, max(stale, stalest.get(worker, 0))
+        return pd.DataFrame({"run": [int(frame["run"].iloc[0])] * len(last), "worker": list(last), "updates": [updates[i] for i in last], "stalest": [stalest[i] for i in last]})
+
+    return delays.groupBy("run").applyInPandas(replay, "run long, worker long, updates long, stalest long")

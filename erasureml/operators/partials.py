@@ -127,12 +127,11 @@ class GramPartials:
         return out
 
     def gradients(self, w: np.ndarray, active: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        g = self.G @ w - self.c
-        loss = np.einsum("i,mij,j->m", w, self.G, w) - 2 * self.c @ w + self.s
-        return g * active[:, None], loss * active
+        gw = self.G @ w
+        return (gw - self.c) * active[:, None], (gw @ w - 2 * self.c @ w + self.s) * active
 
     def curvature(self, d: np.ndarray, active: np.ndarray) -> np.ndarray:
-        return np.einsum("i,mij,j->m", d, self.G, d) * active
+        return (self.G @ d) @ d * active
 
 
 class OnlinePartials:

@@ -100,6 +100,26 @@ def adaptive_k(delays_: DataFrame, k: int, beta: float) -> DataFrame:
     return found.select("t", "phase", F.when(F.col("t") == 0, F.lit(k)).otherwise(F.coalesce("need", "last")).cast("int").alias("k"))
 
 
+def adaptive_k_in_order(delays_: DataFrame, k: int, beta: float) -> list[tuple[int, int]]:
+    """(t, k) like `adaptive_k`, but against the replies that the round before really used, round by round.
+
+    How many replies a round needs is found for every number that the round before may have used (rounds x workers rows); the
+    coordinator then follows the chain.
+    """
+    ranked = first_k(delays_.where(F.col("phase") == "grad"), k)
+    m = ranked.agg(F.max("rank")).first()[0] or 0
+    before = ranked.select((F.col("t") + 1).alias("t"), "worker", F.col("rank").alias("was_rank"))
+    w = Window.partitionBy("t", "was").orderBy("rank")
+    seen = ranked.join(before, ["t", "worker"]).withColumn("was", F.explode(F.sequence(F.lit(1), F.lit(m)))).withColumn("overlap", F.sum((F.col("was_rank") <= F.col("was")).cast("int")).over(w))
+    need = seen.groupBy("t", "was").agg(F.coalesce(F.min(F.when((F.col("overlap") > m / beta) & (F.col("rank") >= k), F.col("rank"))), F.lit(m)).alias("need"))
+    table = {(r["t"], r["was"]): r["need"] for r in need.collect()}
+    rounds = sorted(r["t"] for r in ranked.select("t").distinct().collect())
+    out: list[tuple[int, int]] = []
+    for t in rounds:
+        out.append((int(t), int(table.get((t, out[-1][1]), m)) if out else k))
+    return out
+
+
 def first_copies(delays_: DataFrame, k: int, parts: int) -> DataFrame:
     """Of the first k replies the first of every part (worker mod parts); the others are dropped."""
     w = Window.partitionBy("t", "phase", "part").orderBy("delay", "worker")

@@ -1,6 +1,6 @@
 """All queries of the engine and their SQL."""
 
-from erasureml.plans import relational, streams, workloads
+from erasureml.plans import experiments, relational, streams, workloads
 
-QUERIES = workloads.QUERIES | relational.QUERIES | streams.QUERIES
-ORACLES = workloads.ORACLES | relational.ORACLES | streams.ORACLES
+QUERIES = workloads.QUERIES | experiments.QUERIES | relational.QUERIES | streams.QUERIES
+ORACLES = workloads.ORACLES | experiments.ORACLES | relational.ORACLES | streams.ORACLES

@@ -82,10 +82,45 @@ def tfidf(docs: DataFrame, min_df: int = 2, key: str = "doc_id") -> DataFrame:
 
 def hashed_rows(docs: DataFrame, labels: DataFrame, target: str, p: int = 256, kept: float = 0.69) -> DataFrame:
     """(row_id, x dense of p hashed features, y = -1 or 1, is_test): a subset of tokens, tf-idf, summed by hash."""
-    token_key = F.aggregate(F.transform(F.split("token", ""), lambda c: F.ascii(c).cast("long")), F.lit(7).cast("long"), lambda s, c: (s * 31 + c) % 2147483647)
-    val = tfidf(docs.join(labels.select("doc_id"), "doc_id", "left_semi")).withColumn("h", token_key).where(uniform("h", F.lit(2), FEATURE_SEED) < kept)
+    val = tfidf(docs.join(labels.select("doc_id"), "doc_id", "left_semi")).withColumn("h", feature_key("token")).where(uniform("h", F.lit(2), FEATURE_SEED) < kept)
     sums = val.groupBy("doc_id", (F.col("h") % p).cast("int").alias("feat")).agg(F.sum("val").alias("val"))
     x = sums.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("feat", "val"))).alias("m"))
     dense = F.transform(F.sequence(F.lit(0), F.lit(p - 1)), lambda j: F.coalesce(F.element_at("m", j), F.lit(0.0)))
     y = F.when(F.col(target) > 0, 1.0).otherwise(-1.0)
     return x.join(labels, "doc_id").select(F.col("doc_id").alias("row_id"), dense.alias("x"), y.alias("y"), (uniform("doc_id", F.lit(3), SPLIT_SEED) < 0.143).alias("is_test"))
+
+
+def feature_key(token: Column | str) -> Column:
+    """A number of a token's letters, which SQL can follow."""
+    return F.aggregate(F.transform(F.split(token, ""), lambda c: F.ascii(c).cast("long")), F.lit(7).cast("long"), lambda s, c: (s * 31 + c) % 2147483647)
+
+
+def sparse_rows(docs: DataFrame, labels: DataFrame, target: str, p: int, kept: float = 0.69) -> DataFrame:
+    """(row_id, idx, val, y = -1 or 1, is_test): tf-idf of a random share of the features, hashed to p places, as sparse rows."""
+    val = tfidf(docs.join(labels.select("doc_id"), "doc_id", "left_semi")).withColumn("h", feature_key("token")).where(uniform("h", F.lit(2), FEATURE_SEED) < kept)
+    sums = val.groupBy("doc_id", (F.col("h") % p).cast("int").alias("feat")).agg(F.sum("val").alias("v"))
+    rows = sums.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("feat", "v"))).alias("m"))
+    idx, values = F.transform("m", lambda s: s["feat"]), F.transform("m", lambda s: s["v"])
+    y = F.when(F.col(target) > 0, 1.0).otherwise(-1.0)
+    test = (uniform("doc_id", F.lit(3), SPLIT_SEED) < 0.143).alias("is_test")
+    return rows.join(labels, "doc_id").select(F.col("doc_id").alias("row_id"), idx.alias("idx"), values.alias("val"), y.alias("y"), test)
+
+
+def onehot_lines(spark: SparkSession, sf_dir: str, noise: float = 0.5) -> tuple[DataFrame, int]:
+    """((row_id, x, y), p): brand, type, size and flags of order lines as indicators, y planted; row_id counts the rows.
+
+    The categories are those of the tables; there are as many of them as the table `part` is designed with.
+    """
+    from erasureml.operators.encode import numbered
+
+    lines = table(spark, sf_dir, "lineitem").join(table(spark, sf_dir, "part"), F.col("l_partkey") == F.col("p_partkey"))
+    names = ("p_brand", "p_type", "p_size", "l_returnflag", "l_linestatus")
+    seen = {c: [r[0] for r in table(spark, sf_dir, "part" if c[0] == "p" else "lineitem").select(c).distinct().orderBy(c).collect()] for c in names}
+
+    def marks(c: str) -> Column:
+        return F.transform(F.array(*map(F.lit, seen[c])), lambda v: F.when(F.col(c) == v, 1.0).otherwise(0.0))
+
+    parts = [marks(c) for c in names]
+    p = sum(map(len, seen.values()))
+    rows = numbered(lines.select(F.concat(*parts).alias("x")))
+    return rows.withColumn("y", linear("x", planted(p, 0.15)) + (uniform("row_id", F.lit(1), NOISE_SEED) - 0.5) * 2 * noise).select("row_id", "x", "y"), p

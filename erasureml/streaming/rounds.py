@@ -6,6 +6,8 @@ runs a stream over what is there and gives its result as a table in the shared f
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -18,9 +20,17 @@ EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value do
 
 
 def shared(spark: SparkSession, name: str) -> str:
+    """A new path in the checkpoint folder that the session names.  Without one, a temporary folder that goes with the process
+    if Spark runs in one JVM; on a cluster that would be the driver's own disk, so there it is an error."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt"))
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        if not named:
+            named = tempfile.mkdtemp(prefix="ckpt")
+            atexit.register(shutil.rmtree, named, True)
+        sc.setCheckpointDir(named)
     return f"{sc.getCheckpointDir()}/{name}-{uuid.uuid4().hex}"
 
 
@@ -48,6 +58,11 @@ def first_k(stream: DataFrame, k: int) -> DataFrame:
     return stream.groupBy("t").applyInPandasWithState(accept, "t int, worker int, event_id long, payload double", "count int", "append", "NoTimeout")
 
 
+def late_replies(stream: DataFrame, k: int) -> DataFrame:
+    """(t, replies, late): how many replies come to a round and how many of them are over its first k, which drops them."""
+    return stream.groupBy("t").agg(F.count("*").alias("replies")).withColumn("late", F.greatest(F.lit(0), F.col("replies") - k).cast("long"))
+
+
 def participation(stream: DataFrame, width: str = "1 hour", late: str = "2 hours") -> DataFrame:
     """Replies by worker and hour; later ones than the watermark are dropped."""
     return stream.withWatermark("arrival_ts", late).groupBy(F.window("arrival_ts", width).alias("w"), "worker").agg(F.count("*").alias("n")).select(F.unix_timestamp("w.start").alias("start"), "worker", "n")
