@@ -16,7 +16,9 @@ as that can differ in more bits than covering tables allow.  There the fingerpri
 repeats, and beside the covering tables there are *thinned views*: the SimHash of the smallest few shingle hashes in
 each of 32 hash ranges, equal with high probability in at least one range.  These propose pairs; no distance of
 fingerprints decides, only the sets themselves.  A bucket of up to 32 gives all its pairs; in a larger one the search itself compares the sets of shingles, so a member is only ever taken
-out by a link that holds, and every link of the bucket is either found or between members already connected.
+out by a link that holds, and every link of the bucket is either found or between members already connected.  A first search
+takes each node in its largest bucket only; then pairs within what that connected are left out, and so are buckets all
+of whose members are connected.
 
 Null and empty texts have fingerprint 0. Rows with a null doc_id aren't linked (component null).  Each row has a fingerprint
 of its own; rows with the same doc_id share a component, as each other's copies do.  (Where the stage compares sets of
@@ -182,12 +184,12 @@ def by_bucket(dealt: DataFrame, links_of) -> DataFrame:
 
 
 def all_pairs(keys: DataFrame, similarity: float) -> DataFrame:
-    """(a, b), a < b: the pairs of nodes that share a key of a table and whose sets' sizes allow the similarity: the smaller is at
-    least that share of the larger. For buckets of few members. keys: (t, key, node, size)."""
-    members = keys.groupBy("t", "key").agg(F.array_sort(F.collect_set(F.struct("node", "size"))).alias("m")).select("m").distinct()
+    """(a, b), a < b: the pairs of nodes that share a key of a table, have different roots, and whose sets' sizes allow the
+    similarity: the smaller is at least that share of the larger. For buckets of few members. keys: (t, key, node, size, root)."""
+    members = keys.groupBy("t", "key").agg(F.array_sort(F.collect_set(F.struct("node", "size", "root"))).alias("m")).select("m").distinct()
     both = members.select("m", F.explode("m").alias("x")).select("x", F.explode("m").alias("y")).where("x.node < y.node")
     fits = F.least("x.size", "y.size") >= F.greatest("x.size", "y.size") * similarity - 1e-9
-    return both.where(fits).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
+    return both.where("x.root != y.root").where(fits).select(F.col("x.node").alias("a"), F.col("y.node").alias("b")).distinct()
 
 
 def forest(sets: list[np.ndarray], node: np.ndarray, similarity: float) -> list[tuple[int, int]]:
@@ -326,8 +328,16 @@ def near_groups(docs: DataFrame, similarity: float = 0.8, size: int = 5) -> Data
     def find(keys: DataFrame) -> DataFrame:
         n = keys.groupBy("t", "key").agg(F.count("*").alias("n")).where("n >= 2")
         held = reliable(keys.join(n, ["t", "key"]))
-        few = all_pairs(held.where(F.col("n") <= ALL_PAIRS), similarity)
-        return alike(reliable(few), docs, size, similarity).union(crowded(held.where(F.col("n") > ALL_PAIRS), docs, size, similarity))
+        many = held.where(F.col("n") > ALL_PAIRS)
+        # each node in its largest bucket first: that joins most of a large group, so that what is left to compare are
+        # pairs and buckets over what is not yet connected, and few sets of shingles are sent twice
+        largest = many.groupBy("node").agg(F.max(F.struct("n", "t", "key")).alias("k")).select("k.t", "k.key", "node")
+        first = reliable(crowded(largest, docs, size, similarity))
+        named = reliable(held.join(components(first), "node", "left").withColumn("root", F.coalesce("root", "node")))
+        few = all_pairs(named.where(F.col("n") <= ALL_PAIRS), similarity)
+        apart = named.where(F.col("n") > ALL_PAIRS).groupBy("t", "key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low != high")
+        rest = many.join(apart.select("t", "key"), ["t", "key"])
+        return first.union(alike(reliable(few), docs, size, similarity)).union(crowded(rest, docs, size, similarity))
 
     return grouped(fingerprints(docs, size, VIEWS), find=find).select("doc_id", "component_id")
 
