@@ -333,3 +333,47 @@ def test_absorbed_ridge_rows_are_never_erased(spark):
         g, _ = partials.ScanPartials(enc, 8, 3).total(w, live)
         part = sum(np.array(r.x) * (np.dot(r.x, w) - r.y) for r in rows if 0 <= r.worker < 6) * 8 / 6
         assert np.allclose(g, part + lam * w)
+
+
+def test_sparse_scan_and_runs_side_by_side(spark):
+    rng = np.random.default_rng(21)
+    p, n = 12, 60
+    x = rng.normal(size=(n, p)) * (rng.random((n, p)) < 0.4)
+    y, test = np.where(rng.random(n) < 0.5, 1.0, -1.0), rng.random(n) < 0.2
+    rows = [([int(j) for j in np.flatnonzero(x[i])], [float(v) for v in x[i][x[i] != 0]], float(y[i]), bool(test[i])) for i in range(n)]
+    df = spark.createDataFrame(rows, "idx array<int>, val array<double>, y double, is_test boolean").repartition(3)
+    scan = blocks.SparseScan(df, p, blocks.LOGISTIC, 0.02)
+    own = blocks.LocalGradient(x[~test], y[~test], blocks.LOGISTIC, 0.02)
+    w = rng.normal(size=(p, 3))
+    value, g, wrong = scan(w)
+    for j in range(3):
+        f, h = own(w[:, j])
+        assert np.isclose(value[j], f) and np.allclose(g[:, j], h)
+        assert np.isclose(wrong[0, j], (x[~test] @ w[:, j] * y[~test] <= 0).mean()) and np.isclose(wrong[1, j], (x[test] @ w[:, j] * y[test] <= 0).mean())
+    assert scan.smoothness() >= own.smoothness() - 1e-12
+    active = np.stack([np.arange(4) != t % 4 for t in range(4)])
+    runs = blocks.side_by_side(scan, {"a": "hadamard", "b": "steiner"}, dict.fromkeys("ab", active), dict.fromkeys("ab", np.arange(4.0)), 0.3)
+    for name, scheme in (("a", "hadamard"), ("b", "steiner")):
+        alone = blocks.block_coordinate_descent(own, codes.FAMILIES[scheme](p, 1), active, step=0.3)
+        assert np.allclose(runs[runs["name"] == name]["objective"].to_numpy()[1:], alone.trace["objective"])
+    d = rng.exponential(size=(5, 4))
+    curve, events = blocks.async_side(scan, d, 0.3, 3.0, looks=100)
+    alone, same = blocks.async_block_descent(own, p, d, step=0.3, horizon=3.0)
+    assert np.allclose(curve["objective"].to_numpy()[1:], alone.trace["objective"]) and events["staleness"].tolist() == same["staleness"].tolist()
+
+
+def test_slabs_give_the_whole_matrix(monkeypatch):
+    for name, make in codes.FAMILIES.items():
+        code = make(13, 1)
+        s, v, z = code.matrix(), np.random.default_rng(1).normal(size=(13, 2)), np.random.default_rng(2).normal(size=code.N)
+        for slab in (64 << 20, 8 * 13 * 3):
+            monkeypatch.setattr(codes, "SLAB_BYTES", slab)
+            assert np.allclose(code.apply(v), s @ v) and np.allclose(code.apply_t(z), s.T @ z), name
+
+
+def test_late_commits_take_back_what_was_not_accepted():
+    states = blocks.BlockStates([2, 2])
+    states.reply({0: np.ones(2), 1: np.ones(2)}, 0.5)
+    states.hear(1, np.array([True, False]))
+    assert states.v[0].tolist() == [-0.5, -0.5] and states.v[1].tolist() == [0.0, 0.0]
+    assert states.committed == [1, -1] and states.pending == [None, None]
