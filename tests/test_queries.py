@@ -67,3 +67,15 @@ def test_stream_goes_on_after_a_restart(spark, tmp_path):
 
 def test_standardise_all_gives_every_row(spark):
     assert catalog.QUERIES["op_standardise_all"](spark, AT).count() == spark.read.parquet(f"{AT}/lineitem.parquet").count()
+
+
+@pytest.mark.parametrize("name", sorted(catalog.QUERIES))
+def test_every_query_is_a_function(name):
+    assert callable(catalog.QUERIES[name])
+
+
+@pytest.mark.parametrize("scheme", ["exact", "uncoded", "replication", "gaussian", "paley", "hadamard"])
+def test_factorisation_of_every_scheme_runs(spark, scheme):
+    rows = catalog.QUERIES[f"mf_altmin_{scheme}"](spark, AT).collect()
+    assert [(r["scheme"], r["epoch"]) for r in rows] == [(scheme, 0), (scheme, 1)]
+    assert all(0 < r["train_rmse"] < 5 and 0 < r["test_rmse"] < 5 for r in rows)
