@@ -2,6 +2,7 @@
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from erasureml.operators import codes, encode
 from erasureml.plans import catalog
@@ -97,3 +98,20 @@ def test_both_ways_of_encoding_leave_the_same_rows_out(spark):
     df = spark.createDataFrame([(i, [float(i + 1)], 1.0) for i in (0, 1, 30, 57)], "row_id long, x array<double>, y double")
     ways = [encode.encode_rows(df, codes.steiner(8), 4, mode=mode, untouched=False).collect() for mode in ("grouped", "join")]
     assert sorted(map(str, ways[0])) == sorted(map(str, ways[1])) and len(ways[0]) < 3 * 64
+
+
+FOLLOW = ["active_complement"]
+
+
+@pytest.mark.parametrize("name", FOLLOW)
+def test_query_follows_its_table(spark, tmp_path, name):
+    """Other events (or vectors) give other rows, and those of the SQL where there is SQL."""
+    spark.read.parquet(f"{AT}/events.parquet").withColumn("value", F.lit(400.0) - F.col("value")).where("user_id <> 3 AND (dayofyear(ts) % 5 > 0 OR user_id % 8 < 3)").write.parquet(f"{tmp_path}/events.parquet")
+    spark.read.parquet(f"{AT}/embeddings.parquet").withColumn("embedding", F.transform("embedding", lambda v: v * 2)).write.parquet(f"{tmp_path}/embeddings.parquet")
+    other = catalog.QUERIES[name](spark, str(tmp_path))
+    got = sorted(map(tuple, other.collect()), key=str)
+    assert got and got != sorted(map(tuple, catalog.QUERIES[name](spark, AT).collect()), key=str)
+    if name in catalog.ORACLES:
+        c = duckdb.connect()
+        c.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+        assert got == sorted(c.execute(f"SELECT {', '.join(other.columns)} FROM ({catalog.ORACLES[name]})").fetchall(), key=str)
