@@ -100,7 +100,7 @@ def test_both_ways_of_encoding_leave_the_same_rows_out(spark):
     assert sorted(map(str, ways[0])) == sorted(map(str, ways[1])) and len(ways[0]) < 3 * 64
 
 
-FOLLOW = ["active_complement", "active_overlap"]
+FOLLOW = ["active_complement", "active_overlap", "adaptive_k"]
 
 
 @pytest.mark.parametrize("name", FOLLOW)
