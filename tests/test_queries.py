@@ -100,7 +100,7 @@ def test_both_ways_of_encoding_leave_the_same_rows_out(spark):
     assert sorted(map(str, ways[0])) == sorted(map(str, ways[1])) and len(ways[0]) < 3 * 64
 
 
-FOLLOW = ["active_complement", "active_overlap", "adaptive_k", "adaptive_k_in_order", "adversary_never_replies", "async_replay", "async_staleness", "async_update_share", "bounds", "brip_epsilon", "brip_spectrum"]
+FOLLOW = ["active_complement", "active_overlap", "adaptive_k", "adaptive_k_in_order", "adversary_never_replies", "async_replay", "async_staleness", "async_update_share", "bounds", "brip_epsilon", "brip_spectrum", "brip_trace"]
 
 
 @pytest.mark.parametrize("name", FOLLOW)
