@@ -115,3 +115,16 @@ def test_query_follows_its_table(spark, tmp_path, name):
         c = duckdb.connect()
         c.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
         assert got == sorted(c.execute(f"SELECT {', '.join(other.columns)} FROM ({catalog.ORACLES[name]})").fetchall(), key=str)
+
+
+def test_requests_meet_only_the_rows_of_their_span(spark, tmp_path):
+    """Each pair once, also at an hour's edges and before 1970; the join is dealt by worker and span."""
+    at = ["1969-12-31 22:59:59.5", "1969-12-31 23:30:00", "1970-01-01 00:00:00", "1970-01-01 01:00:00", "1970-01-01 01:00:00.000001", "1970-01-01 01:59:59", "1970-01-01 03:00:00"]
+    rows = spark.createDataFrame([(i, 8 * i, 1.0, v) for i, v in enumerate(at)], "event_id long, user_id long, value double, at string").withColumn("ts", F.to_timestamp("at"))
+    replies = rounds.replies(rows, 8)
+    got = sorted((r["q_id"], r["event_id"]) for r in rounds.answered(replies, replies).collect())
+    a, b = replies.alias("a"), replies.alias("b")
+    plain = a.join(b, F.expr("b.arrival_ts > a.arrival_ts AND b.arrival_ts <= a.arrival_ts + interval 1 hour"))
+    assert got == sorted((r[0], r[1]) for r in plain.select("a.event_id", "b.event_id").collect()) and got
+    plan = rounds.answered(replies, replies)._jdf.queryExecution().optimizedPlan().toString()
+    assert "q_span" in plan.split("Join Inner")[1].splitlines()[0]
