@@ -377,3 +377,25 @@ def test_late_commits_take_back_what_was_not_accepted():
     states.hear(1, np.array([True, False]))
     assert states.v[0].tolist() == [-0.5, -0.5] and states.v[1].tolist() == [0.0, 0.0]
     assert states.committed == [1, -1] and states.pending == [None, None]
+
+
+def test_blocks_give_the_errors_and_factors_of_one_block(spark, monkeypatch):
+    """A block gets every factor row it names once, for all schemes; errors by block are those of the joined predictions."""
+    rng = np.random.default_rng(5)
+    rows = [(int(u), int(i), float(1 + (3 * u + 5 * i) % 5), bool((u + i) % 5 == 0)) for u in range(40) for i in rng.choice(30, 12, replace=False)]
+    r = spark.createDataFrame(rows, "user long, item long, rating double, is_test boolean")
+    kw = {"rank": 2, "lam": 1.0, "epochs": 1, "schemes": ["exact", "hadamard"], "m": 8, "k": 4, "rounds": 6, "threshold": 8}
+    users, items, one = factorization.alternating(r, **kw)
+    monkeypatch.setattr(factorization, "BLOCK", 40)
+    many_users, _, many = factorization.alternating(r, **kw)
+    train = factorization.counted(r).where("not is_test")
+    cuts = factorization.blocks_of(train, "user")
+    assert len(cuts) > 3
+    sent = factorization._sent(train.withColumn("block", factorization._block("user", cuts)), items, "item")
+    assert sent.count() == sent.select("to", "id").distinct().count() and all(r["names"] == ["exact", "hadamard"] for r in sent.collect())
+    assert np.allclose([[t["train_rmse"], t["test_rmse"]] for t in one], [[t["train_rmse"], t["test_rmse"]] for t in many])
+    a, b = ({(r["scheme"], r["user"]): [*r["f"], r["bias"]] for r in u.collect()} for u in (users, many_users))
+    assert a.keys() == b.keys() and all(np.allclose(a[x], b[x]) for x in a)
+    joined = {(x["scheme"], x["is_test"]): x["rmse"] for x in factorization.rmse(factorization.predicted(r, users, items, 3.0, ["exact", "hadamard"])).collect()}
+    for t in one:
+        assert np.allclose([t["train_rmse"], t["test_rmse"]], [joined[t["scheme"], False], joined[t["scheme"], True]])
