@@ -128,3 +128,9 @@ def test_requests_meet_only_the_rows_of_their_span(spark, tmp_path):
     assert got == sorted((r[0], r[1]) for r in plain.select("a.event_id", "b.event_id").collect()) and got
     plan = rounds.answered(replies, replies)._jdf.queryExecution().optimizedPlan().toString()
     assert "q_span" in plan.split("Join Inner")[1].splitlines()[0]
+
+
+def test_all_events_ask_in_the_same_keyed_join(spark):
+    """Of pairs from all requests, those of every tenth are the other query's."""
+    some, every = ({(r["q_id"], r["event_id"]) for r in catalog.QUERIES[f"stream_request_reply{n}"](spark, AT).collect()} for n in ("", "_all"))
+    assert some == {p for p in every if p[0] % 10 == 0}
