@@ -399,3 +399,36 @@ def test_blocks_give_the_errors_and_factors_of_one_block(spark, monkeypatch):
     joined = {(x["scheme"], x["is_test"]): x["rmse"] for x in factorization.rmse(factorization.predicted(r, users, items, 3.0, ["exact", "hadamard"])).collect()}
     for t in one:
         assert np.allclose([t["train_rmse"], t["test_rmse"]], [joined[t["scheme"], False], joined[t["scheme"], True]])
+
+
+@pytest.mark.parametrize("scheme", ["uncoded", "replication", "gaussian", "paley", "hadamard"])
+@pytest.mark.parametrize(("m", "k"), [(8, 4), (24, 3)])
+def test_rows_are_solved_as_their_workers_sums_are(scheme, m, k):
+    """With no matrix for each worker, whose number (24) made the time; ids of under, just and over one group."""
+    rng = np.random.default_rng(6)
+    cuts = np.array([0, 9, 41, 74, 74 + 100])
+    x, y = rng.normal(size=(174, 6)), rng.normal(size=174)
+    weights = factorization.round_weights(scheme, m, k, factorization.reply_delays(8, m, 2))
+    rows, sums = (kind(x, y, cuts, scheme, m) if kind is factorization.Rows else kind.of(x, y, cuts, scheme, m) for kind in (factorization.Rows, factorization.Sums))
+    assert np.allclose(rows.solved(3.0, weights, 8), sums.solved(3.0, weights, 8), rtol=1e-9)
+    assert np.allclose(rows.solved(3.0, None, 8), factorization.Sums.of(x, y, cuts, "exact", m).solved(3.0, None, 8))
+    assert rows.x.size == 8 * factorization.GROUP * 6
+
+
+def test_schemes_that_take_their_turn_give_the_same(spark, monkeypatch):
+    """One scheme at a time, also with ids that are dealt over tasks, whose factors go to every block of theirs."""
+    rng = np.random.default_rng(7)
+    rows = [(int(u), int(i), float(1 + (3 * u + 5 * i) % 5), bool((u + i) % 5 == 0)) for u in range(20) for i in rng.choice(60, 30, replace=False)]
+    r = spark.createDataFrame(rows, "user long, item long, rating double, is_test boolean")
+    kw = {"rank": 2, "lam": 1.0, "epochs": 2, "schemes": ["hadamard", "exact", "replication"], "m": 8, "k": 4, "rounds": 6, "threshold": 8, "spread": 20, "save": workloads.saved, "drop": workloads.dropped}
+    monkeypatch.setattr(factorization, "BLOCK", 300)
+    users, items, together = factorization.alternating(r, **kw)
+    monkeypatch.setattr(factorization, "FACTOR_BYTES", 1)
+    one_users, _, single = factorization.alternating(r, **kw)
+    assert [(t["scheme"], t["epoch"]) for t in single] == [(s, e) for e in (0, 1) for s in kw["schemes"]]
+    assert np.allclose([[t["train_rmse"], t["test_rmse"], t["clock"]] for t in single], [[t["train_rmse"], t["test_rmse"], t["clock"]] for t in together])
+    a, b = ({(x["scheme"], x["user"]): [*x["f"], x["bias"]] for x in u.collect()} for u in (users, one_users))
+    assert len(a) == 3 * 20 and a.keys() == b.keys() and all(np.allclose(a[x], b[x]) for x in a)
+    joined = {(x["scheme"], x["is_test"]): x["rmse"] for x in factorization.rmse(factorization.predicted(r, users, items, 3.0, kw["schemes"])).collect()}
+    for t in together[3:]:
+        assert np.allclose([t["train_rmse"], t["test_rmse"]], [joined[t["scheme"], False], joined[t["scheme"], True]])
