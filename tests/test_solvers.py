@@ -432,3 +432,19 @@ def test_schemes_that_take_their_turn_give_the_same(spark, monkeypatch):
     joined = {(x["scheme"], x["is_test"]): x["rmse"] for x in factorization.rmse(factorization.predicted(r, users, items, 3.0, kw["schemes"])).collect()}
     for t in together[3:]:
         assert np.allclose([t["train_rmse"], t["test_rmse"]], [joined[t["scheme"], False], joined[t["scheme"], True]])
+
+
+@pytest.mark.parametrize("scheme", ["uncoded", "replication", "gaussian", "paley", "hadamard"])
+def test_a_factorisation_makes_its_ratings_once(spark, scheme):
+    """What gives the ratings (joins of whole tables) must not run again for each side's counts."""
+    made = spark.sparkContext.accumulator(0)
+
+    def tally(batches):
+        for b in batches:
+            made.add(b.num_rows)
+            yield b
+
+    pairs = fixtures.ratings_planted(spark, AT).select("user", "item", "rating", "is_test").localCheckpoint()
+    r = pairs.mapInArrow(tally, pairs.schema)
+    factorization.alternating(r, rank=2, lam=2.0, epochs=1, schemes=scheme, m=8, k=4, threshold=8, rounds=2, save=workloads.spooled, drop=workloads.dropped)
+    assert made.value == pairs.count()
