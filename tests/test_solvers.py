@@ -2,7 +2,9 @@
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from erasureml.operators import blocks, codes, compare, encode, factorization, partials, solvers, spectrum, stragglers
 from erasureml.plans import workloads
@@ -448,3 +450,48 @@ def test_a_factorisation_makes_its_ratings_once(spark, scheme):
     r = pairs.mapInArrow(tally, pairs.schema)
     factorization.alternating(r, rank=2, lam=2.0, epochs=1, schemes=scheme, m=8, k=4, threshold=8, rounds=2, save=workloads.spooled, drop=workloads.dropped)
     assert made.value == pairs.count()
+
+
+def test_a_singular_system_does_not_end_the_run():
+    """Factors can grow until lambda is lost in rounding; then LAPACK refuses one id's system, and with it all of its batch."""
+    x = np.full((2, 4), 2.0**40)
+    y, cuts = np.array([2.0**40, 1.0]), np.array([0, 1, 2])
+    x[1] = [1.0, 2.0, 0.0, 1.0]
+    with pytest.raises(np.linalg.LinAlgError):
+        np.linalg.solve(x[:1].T @ x[:1] + 0.5 * np.eye(4), x[:1].T @ y[:1])
+    for problem in (factorization.Rows(x, y, cuts, "exact", 8), factorization.Sums.of(x, y, cuts, "exact", 8)):
+        w = problem.solved(0.5, None, 0)
+        assert np.allclose(w[0], 0.25) and np.allclose(w[1], np.linalg.solve(np.outer(x[1], x[1]) + 0.5 * np.eye(4), x[1]))
+
+
+def test_ids_of_as_many_groups_are_solved_as_among_others():
+    """A row of zeros between ids' groups changes nothing, whether all ids have one group, three, or each its own number."""
+    rng = np.random.default_rng(9)
+    for sizes in ([5, 32, 20], [70, 96, 65], [5, 70, 40]):
+        cuts = np.concatenate([[0], np.cumsum(sizes)])
+        x, y = rng.normal(size=(cuts[-1], 6)), rng.normal(size=cuts[-1])
+        weights = factorization.round_weights("hadamard", 8, 4, factorization.reply_delays(8, 8, 2))
+        rows = factorization.Rows(x, y, cuts, "hadamard", 8)
+        assert rows.even == (len({-(-n // factorization.GROUP) for n in sizes}) == 1)
+        assert np.allclose(rows.solved(3.0, weights, 8), factorization.Sums.of(x, y, cuts, "hadamard", 8).solved(3.0, weights, 8), rtol=1e-9)
+
+
+def test_only_hot_ids_are_counted_over_all_ratings(spark):
+    """The counts of the other ids are made where their ratings are packed, so ratings meet no join for them."""
+    rows = [(u, i, 1.0, i % 4 == 0) for u, n in ((1, 60), (2, 8), (3, 5)) for i in range(n)]
+    r = spark.createDataFrame(rows, "user long, item long, rating double, is_test boolean")
+    cold, none = factorization.with_hot(r, r.where("not is_test"), "user", 53, 100)
+    hot, some = factorization.with_hot(r, r.where("not is_test"), "user", 53, 40)
+    assert (none, some) == (False, True) and {(x.user, x.n_user) for x in cold.collect()} == {(1, None), (2, None), (3, None)}
+    assert {(x.user, x.n_user) for x in hot.collect()} == {(1, 45), (2, None), (3, None)}
+    for given in (cold, hot):
+        got = factorization._unpacked(pa.Table.from_batches(factorization.packed(given, "user", "item", 100, F.lit(0), F.lit(0)).toArrow().to_batches()))
+        assert {*zip(got["own"].tolist(), got["n"].tolist(), strict=True)} == {(1, 45), (2, 6), (3, 3)}
+
+
+def test_the_block_of_an_id_is_the_number_of_cuts_up_to_it(spark):
+    cuts = [3.0, 4.0, 7.5, 20.0, 21.0]
+    for some in ([], cuts[:1], cuts):
+        got = spark.range(30).select("id", factorization._block("id", some).alias("block")).collect()
+        assert all(r["block"] == sum(c <= r["id"] for c in some) for r in got)
+    assert "lambda" not in factorization._block("id", cuts)._jc.toString()  # a list searched by every row took most of packing
